@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, pii, sharding, storage, urlfilter
+from . import chat, decontamination, pii, quality, sharding, simhash, storage, urlfilter
 
 #: Arrivals that op1 deals the documents into, by doc_id ranges.
 ARRIVALS = 8
@@ -56,6 +56,26 @@ def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(pii.span_text(base), 256).alias("base_sha256"), pii.span_text(F.col("pii_spans")).alias("spans"))
 
 
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every (document, benchmark item) whose texts overlap, with the aligned segment."""
+    documents = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = decontamination.find_overlaps(documents, _table(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", F.explode("overlaps").alias("o")).select("doc_id", F.col("o.item").alias("item_id"), "o.matched", "o.segment", "o.item_tokens", "o.text_start", "o.item_start")
+
+
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts, the base rule and the verdict for every document."""
+    found = quality.assess(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    counts = [f"quality.{c}" for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
+    return found.select("doc_id", *counts, quality.base_failed().alias("base_failed"), quality.kept().alias("kept"), "quality.covered_words", "quality.longest_repeat")
+
+
+def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprint and component of every document."""
+    found = simhash.near_duplicates(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", F.lower(F.lpad(F.hex("fingerprint"), 16, "0")).alias("fingerprint"), "component_id")
+
+
 def op10_urlfilter(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every page's verdict by rules, then by the list of blocked domains."""
     pages = _table(spark, sf_dir, "pages").select("page_id", "url")
@@ -63,5 +83,13 @@ def op10_urlfilter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge(pages, RULES, listed).select("page_id", "host", "path", "rule", "verdict")
 
 
-QUERIES = {"op1_sharding": op1_sharding, "op2_chat": op2_chat, "op3_pii": op3_pii, "op10_urlfilter": op10_urlfilter}
+QUERIES = {
+    "op1_sharding": op1_sharding,
+    "op2_chat": op2_chat,
+    "op3_pii": op3_pii,
+    "op4_decontamination": op4_decontamination,
+    "op5_quality": op5_quality,
+    "op9_simhash": op9_simhash,
+    "op10_urlfilter": op10_urlfilter,
+}
 ORACLE_SQL: dict[str, str] = {}
