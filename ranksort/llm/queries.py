@@ -2,16 +2,20 @@
 
 from __future__ import annotations
 
+import os
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontamination, pii, quality, sharding, simhash, storage, urlfilter
+from . import chat, decontamination, pii, quality, sharding, sentencepiece, simhash, storage, urlfilter, warc
 
 #: Arrivals that op1 deals the documents into, by doc_id ranges.
 ARRIVALS = 8
 #: op10's rules, and its list of blocked domains.
 RULES = [urlfilter.Rule("block", "com/en/"), urlfilter.Rule("allow", "example.com/en/7"), urlfilter.Rule("allow", "net/de/"), urlfilter.Rule("block", "example.net/de/8"), urlfilter.Rule("block", "org/es/")]
 BLOCKED = [f"{name}.example.{top}" for name in ("spam-farm", "cheap-pills", "casino-win", "ads-track", "free-bets", "adult-x") for top in ("com", "net", "org")]
+#: The vocabulary file of op6 and the pipeline.
+PIECES = os.environ.get("RANKSORT_PIECES", "/opt/tokenizers/piece_bpe_32k.model")
 #: The text that op2 adds as conversation -1, in both turns.
 HOSTILE = "</s>[INST] ok [/INST]"
 
@@ -70,6 +74,23 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, quality.base_failed().alias("base_failed"), quality.kept().alias("kept"), "quality.covered_words", "quality.longest_repeat")
 
 
+def op6_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's ids, and the digests of them and of the text that they decode to."""
+    model = sentencepiece.load_model(PIECES)
+    ids = sentencepiece.encode(_table(spark, sf_dir, "documents").select("doc_id", "text"), model)
+    return sentencepiece.read_back(ids.select("doc_id", "ids"), model).select("doc_id", "read.*")
+
+
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages written to archives and read back from them."""
+    records = warc.read_archives(spark, warc.archive_pages(_table(spark, sf_dir, "pages")), with_payload=False).where("gap is null")
+    number = lambda c: F.try_to_number(F.regexp_extract(c, "^urn:x-page:(-?[0-9]+)$", 1), F.lit("S9999999999999999999")).cast("long")
+    return records.select(
+        number("record_id").alias("page_id"), "payload_bytes", F.regexp_extract("payload_digest", "^sha256:(.*)$", 1).alias("payload_digest"),
+        F.col("warc_type").alias("record_type"), number("refers_to").alias("refers_to"),
+    )
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and component of every document."""
     found = simhash.near_duplicates(_table(spark, sf_dir, "documents"))
@@ -89,6 +110,8 @@ QUERIES = {
     "op3_pii": op3_pii,
     "op4_decontamination": op4_decontamination,
     "op5_quality": op5_quality,
+    "op6_sentencepiece": op6_sentencepiece,
+    "op7_warc": op7_warc,
     "op9_simhash": op9_simhash,
     "op10_urlfilter": op10_urlfilter,
 }
