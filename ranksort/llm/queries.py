@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontamination, pii, quality, sharding, sentencepiece, simhash, storage, urlfilter, warc
+from . import chat, decontamination, kneserney, pii, quality, sharding, sentencepiece, simhash, storage, urlfilter, warc
 
 #: Arrivals that op1 deals the documents into, by doc_id ranges.
 ARRIVALS = 8
@@ -16,6 +16,8 @@ RULES = [urlfilter.Rule("block", "com/en/"), urlfilter.Rule("allow", "example.co
 BLOCKED = [f"{name}.example.{top}" for name in ("spam-farm", "cheap-pills", "casino-win", "ads-track", "free-bets", "adult-x") for top in ("com", "net", "org")]
 #: The vocabulary file of op6 and the pipeline.
 PIECES = os.environ.get("RANKSORT_PIECES", "/opt/tokenizers/piece_bpe_32k.model")
+#: The model's order.  Nearly every trigram of these texts is new, so order 3 would write over 5 times the input.
+LM_ORDER = 2
 #: The text that op2 adds as conversation -1, in both turns.
 HOSTILE = "</s>[INST] ok [/INST]"
 
@@ -91,6 +93,15 @@ def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op8_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's score by a bigram model of nine tenths of them."""
+    documents = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = kneserney.train(documents.where(~kneserney.held_out(F.col("doc_id"))), order=LM_ORDER)
+    scored = kneserney.score(documents, model).withColumn("train_tokens", F.lit(model.n_tokens).cast("long"))
+    perplexity = F.pow(F.lit(10.0), -F.col("lm.score") / F.col("lm.n_tokens"))
+    return scored.select("doc_id", kneserney.held_out(F.col("doc_id")).alias("held_out"), "lm.n_tokens", "lm.n_known", "train_tokens", "lm.base_score", "lm.score", perplexity.alias("perplexity"))
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and component of every document."""
     found = simhash.near_duplicates(_table(spark, sf_dir, "documents"))
@@ -112,6 +123,7 @@ QUERIES = {
     "op5_quality": op5_quality,
     "op6_sentencepiece": op6_sentencepiece,
     "op7_warc": op7_warc,
+    "op8_lm": op8_lm,
     "op9_simhash": op9_simhash,
     "op10_urlfilter": op10_urlfilter,
 }
