@@ -127,4 +127,39 @@ QUERIES = {
     "op9_simhash": op9_simhash,
     "op10_urlfilter": op10_urlfilter,
 }
-ORACLE_SQL: dict[str, str] = {}
+_RULES_SQL = ", ".join(f"('{r.rule}', '{r.host}', '{r.path}', '{r.verdict}')" for r in RULES)
+_BLOCKED_SQL = ", ".join(f"('{k}')" for k in BLOCKED)
+_CONTROL_SQL = "|".join(rf"{c[0]}\\*{c[1:]}".replace("[", r"\[").replace("]", r"\]") for c in chat.CONTROLS)
+
+#: SQL twins, where SQL can express all of a query.
+ORACLE_SQL: dict[str, str] = {
+    "op1_sharding": "SELECT doc_id, lang, source, n_chars, sha256(text) AS text_sha256 FROM documents",
+    "op2_chat": f"""
+        WITH turns AS (
+            SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+            UNION ALL SELECT -1, 0, 'user', '{HOSTILE}' UNION ALL SELECT -1, 1, 'assistant', '{HOSTILE}'),
+        sized AS (
+            SELECT *, length(text) + len(regexp_extract_all(text, '{_CONTROL_SQL}')) + CASE role WHEN 'user' THEN 13 WHEN 'assistant' THEN 10 WHEN 'system' THEN 11
+                ELSE 18 + length(role) + len(regexp_extract_all(role, '{_CONTROL_SQL}')) END AS n, CASE WHEN role = 'assistant' THEN text ELSE '' END AS loss
+            FROM turns)
+        SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+            CAST(sum(length(loss)) AS BIGINT) AS loss_chars, sha256(string_agg(loss, '' ORDER BY turn, role, text)) AS loss_sha256, CAST(3 + sum(n) AS BIGINT) AS formatted_chars
+        FROM sized GROUP BY conv_id""",
+    "op7_warc": """
+        WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
+        d AS (SELECT page_id, strlen(html) AS payload_bytes, sha256(html) AS payload_digest FROM p),
+        f AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS first FROM d)
+        SELECT page_id, payload_bytes, payload_digest, CASE WHEN payload_bytes >= 100 AND page_id > first THEN 'revisit' ELSE 'response' END AS record_type,
+            CASE WHEN payload_bytes >= 100 AND page_id > first THEN first END AS refers_to
+        FROM f""",
+    "op10_urlfilter": f"""
+        WITH r(rule, rhost, rpath, rverdict) AS (VALUES {_RULES_SQL}), b(name) AS (VALUES {_BLOCKED_SQL}),
+        u AS (SELECT page_id, CASE WHEN position('://' IN coalesce(url, '')) > 0 THEN substr(url, position('://' IN url) + 3) ELSE '' END AS rest FROM pages),
+        s AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+                regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+        h AS (SELECT page_id, rule, rverdict, row_number() OVER (PARTITION BY page_id ORDER BY length(rule) DESC, rule) AS k
+              FROM s JOIN r ON (host = rhost OR ends_with(host, '.' || rhost)) AND starts_with(path, rpath)),
+        l AS (SELECT DISTINCT page_id FROM s JOIN b ON host = name OR ends_with(host, '.' || name))
+        SELECT s.page_id, s.host, s.path, h.rule, coalesce(h.rverdict, CASE WHEN l.page_id IS NOT NULL THEN 'block' ELSE 'allow' END) AS verdict
+        FROM s LEFT JOIN h ON h.page_id = s.page_id AND h.k = 1 LEFT JOIN l ON l.page_id = s.page_id""",
+}

@@ -27,6 +27,7 @@ import os
 import re
 from collections.abc import Iterator
 from itertools import chain
+from struct import pack
 
 import numpy as np
 import pyarrow as pa
@@ -37,9 +38,11 @@ from .words import pieces
 
 MARK = "\u2581"
 _WORD = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
-#: Words that a worker remembers; beyond, it forgets all and starts again.
+#: Words that a worker remembers newly before it sets them aside for those it set aside before.
 _REMEMBERED = 400_000
 _MAX_MODEL_BYTES = 32 << 20
+#: Stands for no piece before the first; pairs of numbers are one number with this factor.
+_NONE, _WIDE = 1 << 21, 1 << 23
 
 
 class Vocabulary:
@@ -66,8 +69,24 @@ class Vocabulary:
         self.bytes = {int(plain.id_to_piece(i)[1:-1], 16): i for i in range(count) if plain.is_byte(i)}
         self.texts = {i: p.replace(MARK, " ").encode() for p, i in self.ids.items()} | {i: bytes([b]) for b, i in self.bytes.items()} | {self.unknown: " \u2047 ".encode()}
         self.floor = min(self.scores.values(), default=0.0) - 10.0
-        self.known: dict[str, list[int]] = {}
-        self._pairs: dict[tuple[str, str], bool] = {}
+        #: Words' ids as 32-bit numbers, and those set aside.
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+        self._pairs: dict[int, bool] = {}
+        self._names = {i: p for p, i in self.ids.items()}
+        self._items = {p: (plain.get_score(i), i, pack("i", i)) for p, i in self.ids.items()}
+        #: By a prefix's last three (else two) characters: lengths of the pieces that may end it, the longest first.
+        ends: dict[str, set[int]] = {}
+        for piece in self.ids:
+            for k in (2, 3):
+                if len(piece) >= k:
+                    ends.setdefault(piece[-k:], {1}).add(len(piece))
+        for tail, lengths in ends.items():
+            if len(tail) == 3 and tail[1:] in self.ids:
+                lengths.add(2)
+            elif len(tail) == 2:
+                lengths.intersection_update({1, 2})
+        self._ends = {tail: tuple(sorted(lengths, reverse=True)) for tail, lengths in ends.items()}
 
     def merge(self, word: str) -> list[str]:
         """BPE by merging the best pair first, the leftmost of equals."""
@@ -94,22 +113,13 @@ class Vocabulary:
                 offer(before[i])
         return [p for p in parts if p is not None]
 
-    def _stays(self, left: str, right: str) -> bool:
-        """Whether BPE of two pieces' text is just these two."""
-        pair = (left, right)
-        if (found := self._pairs.get(pair)) is None:
-            if len(self._pairs) >= 2 * _REMEMBERED:
-                self._pairs.clear()
-            found = self._pairs[pair] = self.merge(left + right) == [left, right]
-        return found
-
     def learn(self, words: list[str]) -> None:
         """Segment words, in sorted order: the cells of the prefix shared with the word before are kept."""
-        cells: list[tuple[float, str]] = [(0.0, "")]
-        last = ""
+        cells: list[tuple[float, int, bytes]] = [(0.0, _NONE, b"")]
+        last, step = "", self._best if self.unigram else self._surviving
         for word in words:
             if not self.unigram and word.startswith(MARK + MARK):
-                self.known[word] = self._as_ids(self.merge(word))
+                self.known[word] = self._joined(self.merge(word))
                 continue
             shared = 0
             for a, b in zip(last, word):
@@ -117,65 +127,92 @@ class Vocabulary:
                     break
                 shared += 1
             del cells[shared + 1 :]
-            for end in range(shared + 1, len(word) + 1):
-                cells.append(self._cell(cells, word, end))
+            step(cells, word)
             last = word
-            path, at = [], len(word)
-            while at:
-                path.append(cells[at][1])
-                at -= len(cells[at][1])
-            self.known[word] = self._as_ids(path[::-1])
-
-    def _cell(self, cells: list[tuple[float, str]], word: str, end: int) -> tuple[float, str]:
-        best: tuple[float, str] | None = None
-        for start in range(max(0, end - self.longest), end):
-            piece = word[start:end]
-            score = self.scores.get(piece)
-            if score is None:
-                if end - start > 1:
-                    continue
-                score = self.floor
-            if self.unigram:
-                total = cells[start][0] + score
-                if best is None or total > best[0]:
-                    best = (total, piece)
-            elif cells[start][1] is not None and (not start or self._stays(cells[start][1], piece)) and (start or self._whole(piece)):
-                return (cells[start][0] + score, piece)
-        if best is None:  # no path survived, which a vocabulary built by merges rules out
-            return (self.floor, self.merge(word[:end])[-1])
-        return best
-
-    def _whole(self, piece: str) -> bool:
-        """Whether BPE of a piece's own text is the piece."""
-        pair = (piece, "")
-        if (found := self._pairs.get(pair)) is None:
-            found = self._pairs[pair] = self.merge(piece) == [piece]
+            self.known[word] = cells[-1][2]
+
+    def _item(self, piece: str) -> tuple[float, int, bytes]:
+        """Score, number and packed ids of a piece; of a character outside the vocabulary, its bytes' ids."""
+        if (found := self._items.get(piece)) is None:
+            ids = [self.bytes[b] for b in piece.encode()] if self.bytes else [self.unknown]
+            found = (self.floor, -1 - ord(piece), pack(f"{len(ids)}i", *ids))
         return found
 
-    def _as_ids(self, path: list[str]) -> list[int]:
-        out: list[int] = []
+    def _after(self, ids: bytes, number: int, more: bytes) -> bytes:
+        """Ids with a piece's behind them; unknown ids in a row are one."""
+        return ids if number < 0 and not self.bytes and ids.endswith(more) else ids + more
+
+    def _joined(self, path: list[str]) -> bytes:
+        ids = b""
         for piece in path:
-            if (number := self.ids.get(piece)) is not None:
-                out.append(number)
-            elif self.bytes:
-                out += map(self.bytes.__getitem__, piece.encode())
-            elif not out or out[-1] != self.unknown:
-                out.append(self.unknown)
-        return out
+            _, number, more = self._item(piece)
+            ids = self._after(ids, number, more)
+        return ids
+
+    def _lengths(self, word: str, end: int) -> tuple[int, ...]:
+        """Lengths of pieces that may end at ``end``, the longest first; a single character always may."""
+        if end >= 3 and (found := self._ends.get(word[end - 3 : end])) is not None:
+            return found
+        return self._ends.get(word[end - 2 : end], (1,)) if end >= 2 else (1,)
+
+    def _best(self, cells: list[tuple[float, int, bytes]], word: str) -> None:
+        """Cells to the word's end, of a unigram model; of equal scores the longer last piece."""
+        for end in range(len(cells), len(word) + 1):
+            best, chosen, before = -np.inf, None, None
+            for length in self._lengths(word, end):
+                if length <= end and (length == 1 or word[end - length : end] in self.ids):
+                    item = self._item(word[end - length : end])
+                    if item[0] + cells[end - length][0] > best:
+                        best, chosen, before = item[0] + cells[end - length][0], item, cells[end - length]
+            cells.append((best, chosen[1], self._after(before[2], chosen[1], chosen[2])))
+
+    def _surviving(self, cells: list[tuple[float, int, bytes]], word: str) -> None:
+        """Cells to the word's end, of a BPE model: a step from piece to piece must be one that merging leaves."""
+        items, pairs, ends, count = self._items, self._pairs, self._ends, len(word)
+        for end in range(len(cells), count + 1):
+            for length in (ends.get(word[end - 3 : end]) if end > 2 else None) or self._lengths(word, end):
+                start = end - length
+                if start < 0:
+                    continue
+                if (item := items.get(word[start:end])) is None:
+                    if length > 1:
+                        continue
+                    item = self._item(word[start:end])
+                total, before, ids = cells[start]
+                score, number, more = item
+                if (stays := pairs.get(before * _WIDE + number)) is None:
+                    stays = self._stays(before, number)
+                if stays:
+                    cells.append((total + score, number, ids + more if number >= 0 else self._after(ids, number, more)))
+                    break
+            else:  # no path survived, which a vocabulary built by merges rules out
+                path = self.merge(word[:end])
+                cells.append((self.floor, self._item(path[-1])[1], self._joined(path)))
+
+    def _stays(self, left: int, right: int) -> bool:
+        """Whether BPE of two pieces' text is just these two (of a first piece, with nothing before it, the piece)."""
+        if len(self._pairs) >= 2 * _REMEMBERED:
+            self._pairs.clear()
+        parts = [self._names[n] if n >= 0 else chr(-1 - n) for n in (left, right) if n != _NONE]
+        found = self._pairs[left * _WIDE + right] = self.merge("".join(parts)) == parts
+        return found
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in one array, and where each text starts in it."""
         split = [_WORD.findall(((MARK if self.prefix else "") + t.replace(" ", MARK)) if t else "") for t in texts]
-        fresh = {w for words in split for w in words if w not in self.known}
+        distinct = set(chain.from_iterable(split))
+        fresh = distinct.difference(self.known)
         if len(self.known) + len(fresh) > _REMEMBERED:
-            self.known.clear()
-            fresh = set(chain.from_iterable(split))
-        self.learn(sorted(fresh))
+            self.known, self.older = {}, self.known
+            fresh = distinct
+        held = {w: ids for w in fresh if (ids := self.older.get(w)) is not None}
+        self.known.update(held)
+        self.learn(sorted(fresh.difference(held)))
         look = self.known.__getitem__
-        each = [list(chain.from_iterable(map(look, words))) for words in split]
+        each = [b"".join(map(look, words)) for words in split]
         starts = np.zeros(len(texts) + 1, np.int64)
-        np.cumsum([len(x) for x in each], out=starts[1:])
-        return np.fromiter(chain.from_iterable(each), np.int32, starts[-1]), starts
+        np.cumsum([len(x) // 4 for x in each], out=starts[1:])
+        return np.frombuffer(b"".join(each), np.int32), starts
 
     def decode(self, ids: list[int]) -> str:
         """The text of ids; byte pieces that are no UTF-8 become replacement characters."""

@@ -165,7 +165,7 @@ def links(distinct: DataFrame, *, fingerprint: str = "fingerprint", budget: int
         raise ValueError("the budget is from 0 to 15 bits")
     bounds = block_bounds(budget)
     value = F.col(fingerprint)
-    keyed = [F.struct(F.lit(k).alias("block"), F.call_function("shiftrightunsigned", value, F.lit(first)).bitwiseAND(F.lit((1 << width) - 1).cast("long")).alias("own")) for k, (first, width) in enumerate(bounds)]
+    keyed = [F.struct(F.lit(k).alias("block"), F.call_function("shiftrightunsigned", value, F.lit(first)).bitwiseAND(F.lit((1 << width) - 1 if width < BITS else -1).cast("long")).alias("own")) for k, (first, width) in enumerate(bounds)]
     dealt = distinct.select(F.explode(F.array(*keyed)).alias("key"), value.alias("value")).select("key.block", "key.own", "value")
     sorted_groups = dealt.repartition("block", "own").sortWithinPartitions("block", "own")
 

@@ -37,6 +37,7 @@ from .storage import Files, materialize, scratch
 # What the format prescribes.
 VERSION = b"WARC/1.1"
 END = b"\r\n\r\n"
+MANDATORY = ("warc-record-id", "warc-type", "warc-date", "content-length")
 MEMBER = b"\x1f\x8b\x08"
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -226,9 +227,11 @@ def _parse(data: bytes, start: int, limit: int) -> tuple[dict[str, str], bytes,
     if stop < 0:
         raise Damaged("headers without an end")
     headers = _fields(data[start:stop].split(b"\r\n")[1:])
-    length = headers.get("content-length", "")
+    if missing := [name for name in MANDATORY if not headers.get(name)]:
+        raise Damaged(f"no {missing[0]}")
+    length = headers["content-length"]
     if not length.isascii() or not length.isdigit():
-        raise Damaged("no Content-Length")
+        raise Damaged("no valid content-length")
     begin, count = stop + len(END), int(length)
     if count > limit:
         raise Damaged("longer than the limit")
@@ -255,7 +258,7 @@ def _plain(window: _Window, at: int, limit: int) -> list[Record]:
         raise Damaged("headers without an end")
     length = _fields(head[:stop].split(b"\r\n")[1:]).get("content-length", "")
     if not length.isascii() or not length.isdigit() or int(length) > limit:
-        raise Damaged("no Content-Length within the limit")
+        raise Damaged("no valid content-length within the limit")
     whole = window.read(at, stop + 2 * len(END) + int(length))
     headers, block, end = _parse(whole, 0, limit)
     return [Record(at, at + end, headers, block)]
