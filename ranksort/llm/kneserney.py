@@ -38,13 +38,14 @@ from pyspark.sql import functions as F
 
 from .storage import Files, materialize, scratch
 from .warc import file_system
-from .words import lower, pieces, sums
+from .words import lower, numbered, numbering, pieces, sums
 
 #: Hashes of the end token and the start mark; no word has them but by chance of 2^-63.
 END, START = np.uint64(0x5DEECE66D1234567), np.uint64(0xC2B2AE3D27D4EB4F)
 _MIX = np.uint64(0x9E3779B97F4A7C15)
-#: n-grams that a task holds before it packs them; and, on average, that a bucket holds.
-_HELD = 4_000_000
+#: Bytes of text that are numbered at once; counts that a task holds; and n-grams that a bucket holds on average.
+_PIECE = 8 << 20
+_HELD = 2_000_000
 _IN_BUCKET = 1_000_000
 
 
@@ -60,42 +61,44 @@ def chain(context: np.ndarray, word: np.ndarray) -> np.ndarray:
     return mix(context * _MIX + word)
 
 
-class Hashing:
-    """Hashes of words, remembered within a bound."""
-
-    def __init__(self, limit: int = 300_000):
-        self.known: dict[bytes, int] = {}
-        self.limit = limit
-
-    def texts(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Token hashes of all texts, each with its end, and where each text starts."""
-        from xxhash import xxh64_intdigest
-
-        split = [lower(t).split() for t in texts]
-        fresh = {w for words in split for w in words if w not in self.known}
-        if len(self.known) + len(fresh) > self.limit:
-            self.known.clear()
-            fresh = {w for words in split for w in words}
-        self.known.update((w, xxh64_intdigest(w, 0)) for w in fresh)
-        starts = np.zeros(len(texts) + 1, np.int64)
-        np.cumsum([len(w) + 1 for w in split], out=starts[1:])
-        out = np.full(starts[-1], END, np.uint64)
-        look = self.known.__getitem__
-        for words, at in zip(split, starts):
-            out[at : at + len(words)] = np.fromiter(map(look, words), np.uint64, len(words))
-        return out, starts
-
-
-def history(tokens: np.ndarray, starts: np.ndarray, order: int) -> list[np.ndarray]:
-    """The words before each token, the farthest first; start marks where there are none."""
-    place = np.arange(len(tokens)) - np.repeat(starts[:-1], np.diff(starts))
-    out = []
-    for back in range(order - 1, 0, -1):
-        before = np.full(len(tokens), START, np.uint64)
-        has = place >= back
-        before[has] = tokens[np.flatnonzero(has) - back]
-        out.append(before)
-    return out
+@dataclass(frozen=True)
+class Numbered:
+    """Texts as numbers of their distinct tokens.
+
+    hashes: of the distinct tokens, in ascending order; tokens: the number of each token, ends included;
+    starts: where each text starts; start: the number of the start mark, which no text has.
+    """
+
+    hashes: np.ndarray
+    tokens: np.ndarray
+    starts: np.ndarray
+    start: int
+
+    def before(self, back: int) -> np.ndarray:
+        """The token ``back`` places before each; the start mark where there is none."""
+        place = np.arange(len(self.tokens)) - np.repeat(self.starts[:-1], np.diff(self.starts))
+        out = np.full(len(self.tokens), self.start, np.int64)
+        has = np.flatnonzero(place >= back)
+        out[has] = self.tokens[has - back]
+        return out
+
+
+def number(texts: list[bytes]) -> Numbered:
+    from xxhash import xxh64_intdigest
+
+    numbers = numbering()
+    split = [lower(t).split() for t in texts]
+    words, word_starts = numbered(split, numbers)
+    hashes = np.append(np.fromiter(map(xxh64_intdigest, numbers), np.uint64, len(numbers)), [END, START])
+    order = np.argsort(hashes)
+    rank = np.empty(len(hashes), np.int64)
+    rank[order] = np.arange(len(hashes))
+    starts = word_starts + np.arange(len(texts) + 1)
+    tokens = np.full(starts[-1], rank[-2], np.int64)
+    inside = np.ones(starts[-1], bool)
+    inside[starts[1:] - 1] = False
+    tokens[inside] = rank[words]
+    return Numbered(hashes[order], tokens, starts, int(rank[-1]))
 
 
 def add_up(columns: list[np.ndarray], counts: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
@@ -166,6 +169,12 @@ def bucket_of(context: np.ndarray, word: np.ndarray, buckets: int, hot: np.ndarr
     return (spread % np.uint64(buckets)).astype(np.int64)
 
 
+def by_bucket(bucket: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """An order by bucket that keeps that within each, and where each bucket starts in it."""
+    order = np.argsort(bucket.astype(np.uint16) if buckets <= 1 << 16 else bucket, kind="stable")
+    return order, np.concatenate(([0], np.cumsum(np.bincount(bucket, minlength=buckets))))
+
+
 def context_hash(words: list[np.ndarray], n: int) -> np.ndarray:
     """The hash of the words of a context, in order; an empty one is zero."""
     out = np.zeros(n, np.uint64)
@@ -178,27 +187,25 @@ def context_hash(words: list[np.ndarray], n: int) -> np.ndarray:
 
 
 def _unigrams(texts: DataFrame, text: str) -> DataFrame:
-    """(word, n, docs): counts of tokens."""
+    """(word, n): counts of tokens."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashing, held, rows = Hashing(), [], 0
+        held, rows = [], 0
 
         def emit() -> pa.RecordBatch:
             (words,), counts = add_up([np.concatenate([h[0] for h in held])], np.concatenate([h[1] for h in held]))
             return pa.RecordBatch.from_arrays([pa.array(words.view(np.int64)), pa.array(counts)], ["word", "n"])
 
         for batch in batches:
-            for some in pieces(batch.column(0)):
-                words, counts = np.unique(hashing.texts(some)[0], return_counts=True)
-                held.append((words, counts))
-                rows += len(words)
-                if rows > _HELD:
-                    (words,), counts = add_up([np.concatenate([h[0] for h in held])], np.concatenate([h[1] for h in held]))
-                    if len(words) > _HELD // 2:
-                        yield emit()
-                        held, rows = [], 0
-                    else:
-                        held, rows = [(words, counts)], len(words)
+            for some in pieces(batch.column(0), _PIECE):
+                found = number(some)
+                counts = np.bincount(found.tokens, minlength=len(found.hashes))
+                seen = np.flatnonzero(counts)
+                held.append((found.hashes[seen], counts[seen]))
+                rows += len(seen)
+                if rows >= _HELD:
+                    yield emit()
+                    held, rows = [], 0
         if held:
             yield emit()
 
@@ -206,25 +213,19 @@ def _unigrams(texts: DataFrame, text: str) -> DataFrame:
 
 
 def _packed(texts: DataFrame, text: str, order: int, buckets: int, hot: np.ndarray) -> DataFrame:
-    """(bucket, data): n-grams of the texts, added up and packed by each task."""
+    """(bucket, data): n-grams of the texts, added up piece by piece and packed."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashing, held, rows = Hashing(), [], 0
-
-        def emit() -> Iterator[pa.RecordBatch]:
-            columns, counts = add_up([np.concatenate([h[k] for h in held]) for k in range(order)], np.concatenate([h[order] for h in held]))
-            yield from pack_by_bucket(columns, counts, buckets, hot)
-
         for batch in batches:
-            for some in pieces(batch.column(0)):
-                tokens, starts = hashing.texts(some)
-                held.append((*history(tokens, starts, order), tokens, np.ones(len(tokens), np.int64)))
-                rows += len(tokens)
-                if rows >= _HELD:
-                    yield from emit()
-                    held, rows = [], 0
-        if held:
-            yield from emit()
+            for some in pieces(batch.column(0), _PIECE):
+                found = number(some)
+                if order == 2:  # two numbers make one key, and numbers are in the order of the hashes
+                    keys, counts = np.unique(found.before(1) * len(found.hashes) + found.tokens, return_counts=True)
+                    columns = [found.hashes[keys // len(found.hashes)], found.hashes[keys % len(found.hashes)]]
+                else:
+                    columns = [found.hashes[found.before(back)] for back in range(order - 1, 0, -1)]
+                    columns, counts = add_up([*columns, found.hashes[found.tokens]], np.ones(len(found.tokens), np.int64))
+                yield from pack_by_bucket(columns, counts, buckets, hot)
 
     return texts.select(text).mapInArrow(count, "bucket long, data binary")
 
@@ -232,8 +233,7 @@ def _packed(texts: DataFrame, text: str, order: int, buckets: int, hot: np.ndarr
 def pack_by_bucket(columns: list[np.ndarray], counts: np.ndarray, buckets: int, hot: np.ndarray) -> Iterator[pa.RecordBatch]:
     """Sorted rows, dealt into packed buckets."""
     bucket = bucket_of(context_hash(columns[:-1], len(counts)), columns[-1], buckets, hot)
-    order = np.argsort(bucket, kind="stable")
-    edges = np.searchsorted(bucket[order], np.arange(buckets + 1))
+    order, edges = by_bucket(bucket, buckets)
     for b in np.flatnonzero(np.diff(edges)).tolist():
         own = order[edges[b] : edges[b + 1]]
         yield pa.RecordBatch.from_arrays([pa.array([b], pa.int64()), pa.array([pack([c[own] for c in columns], counts[own])], pa.binary())], ["bucket", "data"])
@@ -373,8 +373,9 @@ class Arrays:
     def look_up(self, kind: str, bucket: np.ndarray, keys: np.ndarray, rows: int = 1) -> np.ndarray:
         """The values of keys, 0 where there is none; ``rows`` of them each."""
         out = np.zeros((rows, len(keys)))
-        order = np.lexsort((keys, bucket))
-        edges = np.searchsorted(bucket[order], np.arange(self.model.buckets + 1))
+        by_key = np.argsort(keys)
+        order, edges = by_bucket(bucket[by_key], self.model.buckets)
+        order = by_key[order]
         for b in np.flatnonzero(np.diff(edges)).tolist():
             name = f"{kind}-{b}"
             if name not in self._maps:
@@ -391,25 +392,34 @@ class Arrays:
         """How often words were seen in training."""
         return self.look_up("words", ((words >> np.uint64(32)) % np.uint64(self.model.buckets)).astype(np.int64), words)[0]
 
-    def sums(self, k: int, context: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def sums(self, k: int, distinct: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Total and backing-off weight of contexts; 0 and 1 for one that was never seen."""
-        distinct, inverse = np.unique(context, return_inverse=True)
         found = self.look_up(f"contexts{k}", bucket_of(distinct, distinct, self.model.buckets, np.empty(0, np.uint64)), distinct, 4)
         for i in np.flatnonzero(np.isin(distinct, self.dealt)).tolist():
             found[:, i] = self.model.hot[k].get(int(distinct[i]), (0, 0, 0, 0))
         total = found[0]
-        gamma = np.where(total > 0, np.array(self.model.d[k]) @ found[1:] / np.maximum(total, 1), 1.0)
-        return total[inverse], gamma[inverse]
-
-    def probability(self, before: list[np.ndarray], words: np.ndarray) -> np.ndarray:
-        """p of each word after the words before it (the farthest first)."""
-        model, n = self.model, len(words)
-        p = np.full(n, 1.0 / (model.n_types + 1))
-        for k in range(1, model.order + 1):
-            context = context_hash(before[len(before) - k + 1 :], n)
-            total, gamma = self.sums(k, context)
-            count = self.look_up(f"grams{k}", bucket_of(context, words, model.buckets, self.dealt), chain(context, words))[0]
-            p = (count - _discount(count.astype(np.int64), model.d[k])) / np.maximum(total, 1) + gamma * p
+        return total, np.where(total > 0, np.array(self.model.d[k]) @ found[1:] / np.maximum(total, 1), 1.0)
+
+    def _level(self, k: int, context: np.ndarray, words: np.ndarray, total: np.ndarray, gamma: np.ndarray, lower: np.ndarray) -> np.ndarray:
+        count = self.look_up(f"grams{k}", bucket_of(context, words, self.model.buckets, self.dealt), chain(context, words))[0]
+        return (count - _discount(count.astype(np.int64), self.model.d[k])) / np.maximum(total, 1) + gamma * lower
+
+    def probability(self, found: Numbered) -> np.ndarray:
+        """p of each token after those before it; the first two orders' contexts are worked out for distinct tokens."""
+        model, distinct = self.model, found.hashes
+        none = np.zeros(len(distinct), np.uint64)
+        total, gamma = self.sums(1, none[:1])
+        p = self._level(1, none, distinct, total[0], gamma[0], np.full(len(distinct), 1.0 / (model.n_types + 1)))[found.tokens]
+        words, context = distinct[found.tokens], None
+        for k in range(2, model.order + 1):
+            if k == 2:
+                each, inverse = chain(none, distinct), found.before(1)
+                context = each[inverse]
+            else:
+                context = context_hash([distinct[found.before(back)] for back in range(k - 1, 0, -1)], len(words))
+                each, inverse = np.unique(context, return_inverse=True)
+            total, gamma = self.sums(k, each)
+            p = self._level(k, context, words, total[inverse], gamma[inverse], p)
         return p
 
 
@@ -418,16 +428,15 @@ def score(df: DataFrame, model: Model, *, text: str = "text", result: str = "lm"
     names = ["n_tokens", "n_known", "base_score", "score"]
 
     def each(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        arrays, hashing = Arrays(model), Hashing()
+        arrays = Arrays(model)
         for texts in batches:
             columns: list[list[np.ndarray]] = [[np.empty(0, np.int64)], [np.empty(0, np.int64)], [np.empty(0)], [np.empty(0)]]
-            for some in pieces(texts):
-                tokens, starts = hashing.texts(some)
-                distinct, inverse = np.unique(tokens, return_inverse=True)
-                seen = arrays.counts(distinct)[inverse]
-                base = np.log10((seen + 0.1) / (model.n_tokens + 0.1 * (model.n_types + 1)))
-                p = arrays.probability(history(tokens, starts, model.order), tokens)
-                for column, value in zip(columns, (np.diff(starts), sums((seen > 0).astype(np.int64), starts), sums(base, starts), sums(np.log10(p), starts))):
+            for some in pieces(texts, _PIECE):
+                found = number(some)
+                seen = arrays.counts(found.hashes)
+                base = np.log10((seen + 0.1) / (model.n_tokens + 0.1 * (model.n_types + 1)))[found.tokens]
+                p, starts = np.log10(arrays.probability(found)), found.starts
+                for column, value in zip(columns, (np.diff(starts), sums((seen > 0)[found.tokens].astype(np.int64), starts), sums(base, starts), sums(p, starts))):
                     column.append(value)
             ints, floats = [np.concatenate(c) for c in columns[:2]], [np.concatenate(c) for c in columns[2:]]
             yield pa.StructArray.from_arrays([*(pa.array(c, pa.int64()) for c in ints), *(pa.array(c, pa.float64()) for c in floats)], names)

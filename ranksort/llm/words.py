@@ -17,12 +17,12 @@ BLANKS = b" \t\n\x0b\x0c\r"
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
 
-def pieces(texts: pa.Array) -> Iterator[list[bytes]]:
-    """The batch's texts as UTF-8 bytes, null as empty, in lists of about PIECE_BYTES."""
+def pieces(texts: pa.Array, piece_bytes: int = PIECE_BYTES) -> Iterator[list[bytes]]:
+    """The batch's texts as UTF-8 bytes, null as empty, in lists of about ``piece_bytes``."""
     if not len(texts):
         return
     sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
-    part = (np.cumsum(sizes) - sizes) // PIECE_BYTES
+    part = (np.cumsum(sizes) - sizes) // piece_bytes
     cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(sizes)]
     raw = texts.cast(pa.large_binary())
     for a, b in zip(cuts, cuts[1:]):

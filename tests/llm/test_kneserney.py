@@ -68,13 +68,23 @@ def test_scores_against_brute_force(spark, monkeypatch, order):
 def test_probabilities_sum_to_one(spark):
     df = spark.createDataFrame([(t,) for t in corpus(3)], "text string")
     model = kn.train(df)
-    words = kn.Hashing().texts([" ".join({w for t in corpus(3) for w in tokens(t)[:-1]}).encode()])[0]
-    arrays = kn.Arrays(model)
-    assert len(words) == model.n_types
-    unknown = np.array([12345], np.uint64)
-    for before in (words[:1], words[3:4], np.array([kn.START], np.uint64), unknown):
-        every = np.append(words, unknown)
-        assert arrays.probability([np.full(len(every), before[0])], every).sum() == pytest.approx(1.0, abs=1e-9)
+    text = " ".join({w for t in corpus(3) for w in tokens(t)[:-1]})
+    known, arrays = kn.number([text.encode()]), kn.Arrays(model)
+    unknown = np.uint64(12345)
+    assert len(known.hashes) == model.n_types + 1  # and the start mark
+    hashes = np.sort(np.append(known.hashes, unknown))
+    at = {int(h): i for i, h in enumerate(hashes)}
+    every = [i for i, h in enumerate(hashes) if h != kn.START]
+    for before in (hashes[2], hashes[9], kn.END, kn.START, unknown):
+        # each text: the word before, then one of all words, whose p is the second of its text
+        pairs = np.array([[at[int(before)], i] for i in every])
+        if before == kn.START:
+            found = kn.Numbered(hashes, pairs[:, 1].copy(), np.arange(len(every) + 1), at[int(kn.START)])
+            p = arrays.probability(found)
+        else:
+            found = kn.Numbered(hashes, pairs.ravel(), np.arange(0, 2 * len(every) + 1, 2), at[int(kn.START)])
+            p = arrays.probability(found)[1::2]
+        assert p.sum() == pytest.approx(1.0, abs=1e-9)
 
 
 def test_held_out_texts_are_better_than_base(spark, sf):
