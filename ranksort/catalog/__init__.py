@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import sorting
+from . import relational, sorting
 
-QUERIES = {**sorting.QUERIES}
-ORACLES = {**sorting.ORACLES}
+QUERIES = {**sorting.QUERIES, **relational.QUERIES}
+ORACLES = {**sorting.ORACLES, **relational.ORACLES}
