@@ -39,7 +39,7 @@ from .words import pieces
 MARK = "\u2581"
 _WORD = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 #: Words that a worker remembers newly before it sets them aside for those it set aside before.
-_REMEMBERED = 250_000
+_REMEMBERED = 200_000
 _MAX_MODEL_BYTES = 32 << 20
 #: Stands for no piece before the first; pairs of numbers are one number with this factor.
 _NONE, _WIDE = 1 << 21, 1 << 23
@@ -252,6 +252,31 @@ def encode(df: DataFrame, model: bytes, *, text: str = "text", result: str = "id
     return df.withColumn(result, F.arrow_udf(each, "array<int>")(F.col(text)))
 
 
+def encode_checked(df: DataFrame, model: bytes, *, id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(id, ids, n_tokens, round_trip) of each row, the last whether the ids decode to the text with its marks as blanks.
+
+    One pass in one worker, piece by piece, where encode and decode after one another would keep two
+    vocabularies a task and the ids of a whole batch.
+    """
+    sent = df.sparkSession.sparkContext.broadcast(model)
+    kind = df.schema[id].dataType.simpleString()
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        vocabulary = _vocabulary(sent.value, None)
+        for batch in batches:
+            at = 0
+            for some in pieces(batch.column(1), 1 << 20):
+                said = [t.decode("utf-8", "replace") for t in some]
+                ids, starts = vocabulary.encode(said)
+                same = [vocabulary.decode(ids[a:b].tolist()) == t.replace(MARK, " ") for t, a, b in zip(said, starts, starts[1:])]
+                lists = pa.ListArray.from_arrays(pa.array(starts, pa.int32()), pa.array(ids, pa.int32()))
+                columns = [batch.column(0).slice(at, len(some)), lists, pa.array(np.diff(starts), pa.int64()), pa.array(same, pa.bool_())]
+                yield pa.RecordBatch.from_arrays(columns, [id, "ids", "n_tokens", "round_trip"])
+                at += len(some)
+
+    return df.select(id, text).mapInArrow(each, f"`{id}` {kind}, ids array<int>, n_tokens long, round_trip boolean")
+
+
 def decode(df: DataFrame, model: bytes, *, ids: str = "ids", result: str = "decoded") -> DataFrame:
     """Adds ``result``: the text of each row's ids."""
     sent = df.sparkSession.sparkContext.broadcast(model)

@@ -64,7 +64,10 @@ def test_operator_and_defined_cases(spark, model):
     rows = own.decode(ids, model).collect()
     assert all(r.decoded == (r.text or "").replace("\u2581", " ") for r in rows)
     assert [r.read.n_tokens for r in own.read_back(ids, model).collect()] == [len(r.ids) for r in rows]
-    assert own.encode(df.limit(0), model).count() == 0
+    checked = own.encode_checked(df, model).collect()
+    assert [(r.doc_id, r.ids) for r in checked] == [(r.doc_id, r.ids) for r in ids.collect()]
+    assert all(r.n_tokens == len(r.ids) and r.round_trip for r in checked)
+    assert own.encode(df.limit(0), model).count() == 0 == own.encode_checked(df.limit(0), model).count()
 
 
 def test_forgetting_changes_nothing(model, monkeypatch):
