@@ -12,7 +12,7 @@ from .. import ledger, verify
 from ..placement import schedule
 from ..plans import pivots as pv
 from ..plans.pivot_tree import SEGMENT, slots
-from ..plans.redistribute import POSITION, count_matrix, split_evenly, with_segments
+from ..plans.redistribute import POSITION, count_matrix, run_bounds, search_bounds, split_evenly, with_segments
 from ..plans.rounds import agree, agree_on_sample, sketch_splitters
 from ..plans import variants as v
 from ..operators.order import histogram
@@ -55,6 +55,7 @@ METHODS: dict[str, Callable[[DataFrame, object], v.Sorted]] = {
     "sort_m8_regular": lambda df, spec: v.sample_sort(df, spec, P, method="regular"),
     "sort_m4_sample": lambda df, spec: v.exchange_free_quicksort(df, spec, P, plan="sample"),
     "sort_m4_sketch": lambda df, spec: v.exchange_free_quicksort(df, spec, P, plan="sketch"),
+    "sort_m4_fused": lambda df, spec: v.exchange_free_quicksort(df, spec, P, plan="fused"),
     "sort_m6_fused": lambda df, spec: v.combined_quicksort(df, spec, 4 * P, fused=True),
 }
 
@@ -126,6 +127,7 @@ _pivots("pivots_random_element", fx.UNIFORM, pv.Chooser(pv.RandomElement(), pv.M
 _pivots("pivots_first_element", fx.UNIFORM, pv.Chooser(pv.FirstElement(), pv.Designated()), None)
 _pivots("pivots_approximate_middle", fx.UNIFORM, pv.Chooser(pv.ApproximateMiddle(), pv.MedianOfCandidates()), None)
 _pivots("pivots_sketch_rounds", fx.UNIFORM, pv.Sketch(), None)
+_pivots("pivots_kll_rounds", fx.UNIFORM, pv.Sketch(2048, "kll"), None)
 _pivots("empty_skip", fx.SKEWED, pv.Chooser(pv.Extremes(), pv.Midpoint("skip")), "midpoint", 32)
 _pivots("empty_neutral", fx.SKEWED, pv.Chooser(pv.Extremes(), pv.Midpoint("neutral")), "midpoint", 32)
 
@@ -181,6 +183,23 @@ def matrix(spark, folder):
     return count_matrix(_segmented(spark, folder))
 
 
+_BOUNDS = f"{_CHAIN}, z AS (SELECT r, s, count(*) AS n FROM {_END} GROUP BY r, s), w AS (SELECT r, s, n, sum(n) OVER (PARTITION BY r ORDER BY s) AS t FROM z) SELECT CAST(r AS INTEGER) AS rank, CAST(s AS INTEGER) AS segment, CAST(t - n AS BIGINT) AS start, CAST(t AS BIGINT) AS stop FROM w"
+
+
+@query("run_bounds", _BOUNDS)
+def bounds(spark, folder):
+    """Where each segment lies in its rank's order, from the counts."""
+    return run_bounds(_segmented(spark, folder))
+
+
+@query("run_bounds_searched", _BOUNDS)
+def bounds_searched(spark, folder):
+    """The same by binary search in sorted ranks."""
+    rows = fx.UNIFORM.rows(spark, folder)
+    local = rows.repartitionById(P, F.col("__rank")).sortWithinPartitions(*fx.UNIFORM.spec.orders())
+    return search_bounds(local, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, P))
+
+
 @query("rank_histogram", f"{_CHAIN} SELECT CAST(s AS INTEGER) AS rank, count(*) AS n, min(k) AS lo, max(k) AS hi FROM {_END} GROUP BY s")
 def rank_histogram(spark, folder):
     return histogram(_segmented(spark, folder), fx.UNIFORM.spec)
@@ -420,17 +439,19 @@ def _counts(spark: SparkSession, folder: str, variants: dict, ranks: list[int],
     """(variant, p, rows_moved, max_rows) of each variant and number of ranks; the pivots are shared."""
     out, n = None, fixture.rows(spark, folder, 1).count()
     for p in ranks:
-        segmented = _segmented(spark, folder, fixture, p, chooser)
-        largest = F.max("n").alias("max_rows")
-        by = segmented.groupBy(SEGMENT)
-        totals = [F.sum(ledger.moves(p, levels(p, n))).alias(name) for name, levels in variants.items()]
-        sums = by.agg(F.count("*").alias("n"), *totals).agg(largest, *(F.sum(name).cast("long").alias(name) for name in variants))
-        each = F.explode(F.array(*(F.struct(F.lit(name).alias("variant"), F.col(name).alias("rows_moved")) for name in variants)))
-        one = sums.select("max_rows", each.alias("x")).select("x.variant", F.lit(p).alias("p"), "x.rows_moved", "max_rows")
+        one = _totals(_segmented(spark, folder, fixture, p, chooser), p, {name: levels(p, n) for name, levels in variants.items()})
         out = one if out is None else out.unionByName(one)
     return out
 
 
+def _totals(segmented: DataFrame, p: int, variants: dict[str, int]) -> DataFrame:
+    """(variant, p, rows_moved, max_rows) by the variants' exchange levels, in one pass."""
+    moved = [F.sum(ledger.moves(p, levels)).alias(name) for name, levels in variants.items()]
+    sums = segmented.groupBy(SEGMENT).agg(F.count("*").alias("n"), *moved).agg(F.max("n").alias("max_rows"), *(F.sum(name).cast("long").alias(name) for name in variants))
+    each = F.explode(F.array(*(F.struct(F.lit(name).alias("variant"), F.col(name).alias("rows_moved")) for name in variants)))
+    return sums.select("max_rows", each.alias("x")).select("x.variant", F.lit(p).alias("p"), "x.rows_moved", "max_rows")
+
+
 def _counts_sql(variants: dict[str, Callable[[int], int]], ranks: list[int], rule: str, base: Callable[[int], str]) -> str:
     parts = []
     for p in ranks:
@@ -462,11 +483,23 @@ def strong_sort_first(spark, folder):
     return _counts(spark, folder, {"exchange_sort_first": _depth, "exchange_free_sort_first": _none}, _STRONG, pv.MIDDLE)
 
 
-@query("strong_combined")
+_COMBINED = [8, 16, 32, 64, 128, 256]
+
+
+def _combined_sql(p: int) -> str:
+    """Rows that the combined method moves: its switch level is worked out from the rows."""
+    d, wrong = p.bit_length() - 1, "xor(CAST(r AS BIGINT), CAST(s AS BIGINT))"
+    return (
+        f"{sql.chain(fx.UNIFORM.base(p), p)}, z AS (SELECT max(n) AS m FROM (SELECT count(*) AS n FROM {sql.last(p)} GROUP BY s)), "
+        f"l AS (SELECT CAST({d} - min(g.range) AS INTEGER) AS rest FROM range({d + 1}) g, (SELECT count(*) AS n FROM base) b WHERE g.range = {d} OR b.n::DOUBLE / {p} > 1500 * ({p} >> g.range::INTEGER) / log2(b.n)) "
+        f"SELECT 'combined_quicksort' AS variant, {p} AS p, CAST(sum(bit_count({wrong} >> l.rest) + CASE WHEN ({wrong} & ((1 << l.rest) - 1)) <> 0 THEN 1 ELSE 0 END) AS BIGINT) AS rows_moved, (SELECT m FROM z) AS max_rows FROM {sql.last(p)}, l"
+    )
+
+
+@query("strong_combined", _union([*map(_combined_sql, _COMBINED), _counts_sql({"exchange_quicksort": _depth, "exchange_free_quicksort": _none}, _COMBINED, "midpoint", fx.UNIFORM.base)]))
 def strong_combined(spark, folder):
-    """Fixed rows, more ranks: the combined method, whose switch depends on the rows."""
-    ranks = [8, 16, 32, 64, 128, 256]
-    return _counts(spark, folder, {"combined_quicksort": lambda p, n: v.switch_level(n, p), "exchange_quicksort": _depth, "exchange_free_quicksort": _none}, ranks, pv.MIDPOINT)
+    """Fixed rows, more ranks: the combined method, whose switch depends on the rows, and the pure ones."""
+    return _counts(spark, folder, {"combined_quicksort": lambda p, n: v.switch_level(n, p), "exchange_quicksort": _depth, "exchange_free_quicksort": _none}, _COMBINED, pv.MIDPOINT)
 
 
 _PARTS = [8, 4, 2, 1]
@@ -482,11 +515,9 @@ def weak_scaling(spark, folder):
     out = None
     for m in _PARTS:
         rows = fx.UNIFORM.rows(spark, folder, 16).where(F.pmod("l_orderkey", F.lit(m)) == 0)
-        segmented = with_segments(rows, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, 16))
-        largest = segmented.groupBy(SEGMENT).agg(F.count("*").alias("n")).agg(F.max("n").alias("max_rows"))
-        for name, levels in {"exchange_quicksort": 4, "exchange_free_quicksort": 0}.items():
-            one = ledger.rows_moved(segmented, 16, levels).join(F.broadcast(largest)).select(F.lit(16 * (8 // m)).alias("size"), F.lit(name).alias("variant"), F.lit(16).alias("p"), "rows_moved", "max_rows")
-            out = one if out is None else out.unionByName(one)
+        one = _totals(with_segments(rows, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, 16)), 16, {"exchange_quicksort": 4, "exchange_free_quicksort": 0})
+        one = one.select(F.lit(16 * (8 // m)).alias("size"), "variant", "p", "rows_moved", "max_rows")
+        out = one if out is None else out.unionByName(one)
     return out
 
 

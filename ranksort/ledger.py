@@ -148,6 +148,20 @@ def execute(df: DataFrame) -> None:
     df.write.format("noop").mode("overwrite").save()
 
 
+def shuffle_metrics(spark: SparkSession, run: Callable[[], object]) -> dict[str, int]:
+    """Bytes written to shuffles, bytes spilled to disk and tasks of the stages that ``run`` starts."""
+
+    def totals() -> list[int]:
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+        stages = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
+        all_stages = [stages.apply(i) for i in range(stages.size())]
+        return [sum(x) for x in zip(*((s.shuffleWriteBytes(), s.diskBytesSpilled(), s.numCompleteTasks()) for s in all_stages))] or [0, 0, 0]
+
+    before = totals()
+    run()
+    return dict(zip(("shuffle_bytes", "spilled_bytes", "tasks"), (b - a for a, b in zip(before, totals()))))
+
+
 def speedup(sequential: float, parallel: float) -> float:
     return sequential / parallel
 

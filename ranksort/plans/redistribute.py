@@ -79,6 +79,45 @@ def count_matrix(segmented: DataFrame) -> DataFrame:
     return segmented.groupBy(F.col(RANK).alias("src_rank"), F.col(SEGMENT).alias("dst_rank")).agg(F.count("*").alias("n"))
 
 
+def run_bounds(segmented: DataFrame) -> DataFrame:
+    """(rank, segment, start, stop): where each segment lies in its rank's sorted rows.
+
+    What a binary search for every pivot gives, read off the counts: p numbers a rank.
+    """
+    counts = segmented.groupBy(F.col(RANK).alias("rank"), F.col(SEGMENT).alias("segment")).agg(F.count("*").alias("n"))
+    stop = F.sum("n").over(Window.partitionBy("rank").orderBy("segment").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    return counts.withColumn("stop", stop).select("rank", "segment", (F.col("stop") - F.col("n")).alias("start"), "stop")
+
+
+def search_bounds(local: DataFrame, spec: KeySpec, tree: PivotTree) -> DataFrame:
+    """The same by binary search over ranks whose rows lie sorted in their partitions: p log(n / p) probes a rank.
+
+    For one numeric key that runs upwards.  Each batch is searched and its bounds are added up.
+    """
+    import numpy as np
+
+    splitters, key = np.array([float(x) for x in tree.in_order()]), spec.key[0]
+    if spec.reversed or len(spec.key) != 1:
+        raise ValueError("the search is for one key that runs upwards")
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            keys, ranks = batch.column(0).cast(pa.float64()).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False)
+            for rank in np.unique(ranks):
+                own = keys[ranks == rank]
+                stops = np.append(np.searchsorted(own, splitters, "right"), len(own))
+                sizes = np.diff(stops, prepend=0)
+                full = np.flatnonzero(sizes)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(full), rank), pa.int32()), pa.array(full, pa.int32()), pa.array(sizes[full], pa.int64())], ["rank", "segment", "n"])
+
+    found = local.where(F.col(key).isNotNull()).select(key, RANK).mapInArrow(search, "rank int, segment int, n long")
+    counts = found.groupBy("rank", "segment").agg(F.sum("n").alias("n"))
+    stop = F.sum("n").over(Window.partitionBy("rank").orderBy("segment").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    return counts.withColumn("stop", stop).select("rank", "segment", (F.col("stop") - F.col("n")).alias("start"), "stop")
+
+
 def deliver(segmented: DataFrame, spec: KeySpec, p: int, sort: bool = True) -> DataFrame:
     """Partition j of the result is segment j, in order if ``sort``."""
     sent = segmented.repartitionById(p, F.col(SEGMENT))

@@ -83,3 +83,32 @@ def sketch_splitters(df: DataFrame, spec: KeySpec, p: int, accuracy: int | None
         return PivotTree((), kind, spec.reversed)
     found = df.agg(F.percentile_approx(comparable(value, kind), shares, accuracy or max(10_000, 16 * p)).alias("q")).first()["q"] or [None] * (p - 1)
     return PivotTree.from_sorted(found[::-1] if spec.reversed else found, kind, spec.reversed)
+
+
+def agree_fused(df: DataFrame, spec: KeySpec, p: int, *, levels_a_pass: int = 3, accuracy: int | None = None) -> PivotTree:
+    """Pivots of several levels from each pass: the evenly spaced quantiles of every segment, by one sketch a segment.
+
+    log2 p / levels_a_pass passes over the keys instead of log2 p; numbers only.
+    """
+    spec.check(df)
+    value, kind = compared(df, spec, "left")
+    if not isinstance(kind, T.NumericType):
+        raise TypeError("a quantile sketch needs numbers")
+    tree = PivotTree((), kind, spec.reversed)
+    while tree.levels < levels_of(p):
+        step = min(levels_a_pass, levels_of(p) - tree.levels)
+        parts = 1 << step
+        shares = [i / parts for i in range(1, parts)]
+        rows = round_rows(df, value, kind, tree.segment(value, spec.nulls_first), F.lit(0).cast("long")).where("__value is not null")
+        found = rows.groupBy("__segment").agg(F.percentile_approx("__value", shares, accuracy or max(10_000, 16 * parts)).alias("q")).collect()  # a row a segment
+        by_segment = {r["__segment"]: (r["q"][::-1] if spec.reversed else r["q"]) for r in found}
+        first = tree.levels
+        for level in range(step):
+            width = parts >> (level + 1)
+            added = {}
+            for s in range(1 << (first + level)):
+                above, within = divmod(s, 1 << level)
+                if above in by_segment:
+                    added[s] = by_segment[above][(2 * within + 1) * width - 1]
+            tree = tree.extend(added, kind)
+    return tree

@@ -14,7 +14,7 @@ from .exchange import as_segments, exchange_levels, keep
 from .pivot_tree import SEGMENT, PivotTree
 from .pivots import MIDDLE, MIDPOINT
 from .redistribute import deliver, merge_runs, positions, with_segments
-from .rounds import agree, agree_on_sample, compared, sketch_splitters, splitters_of
+from .rounds import agree, agree_fused, agree_on_sample, compared, sketch_splitters, splitters_of
 
 
 @dataclass(frozen=True)
@@ -56,13 +56,16 @@ def exchange_sort_first(df: DataFrame, spec: KeySpec, p: int, chooser=MIDDLE, ti
 def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left", plan: str = "iterative", per_rank: int = 400) -> Sorted:
     """Only pivots travel; each row moves once, at the end.
 
-    plan: ``iterative`` (a round a level), ``sample`` (all levels on one sample) or ``sketch`` (one pass).
+    plan: ``iterative`` (a round a level), ``fused`` (three levels a round, by sketches), ``sample`` (all levels on
+    one sample) or ``sketch`` (one pass).
     """
     spec.check(df)
     if plan == "iterative":
         tree = agree(df, spec, p, chooser, ties=ties)
     elif plan == "sample":
         tree = agree_on_sample(df, spec, p, per_rank=per_rank, ties=ties)
+    elif plan == "fused":
+        tree = agree_fused(df, spec, p)
     elif plan == "sketch":
         tree = sketch_splitters(df, spec, p)
     else:
