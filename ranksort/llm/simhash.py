@@ -7,7 +7,8 @@ the sorted array and its children are split by the next bit's prefix count.  The
 pairs of nodes down together, adds one to their error when they take different bits and drops a
 pair beyond the budget; all pairs of a level, of all groups of a task, are worked on at once.
 
-A task keeps of its links a spanning forest, which connects the same fingerprints, and the
+A group of very many fingerprints is dealt again by parts of its other bits, of which a link leaves
+one whole too, so no task gets a hot group alone.  A task keeps of its links a spanning forest, which connects the same fingerprints, and the
 components of all forests are found by alternating star contractions over tables in the shared
 folder.  Copies share a fingerprint and are joined back at the end; they never pair up.
 
@@ -24,7 +25,7 @@ from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .storage import materialize
@@ -33,6 +34,8 @@ from .words import lower, pieces
 BITS = 64
 #: Node pairs that are walked down at once; more are cut in two and walked one part after the other.
 _FRONTIER = 1 << 20
+#: Keys of hot groups that are broadcast; more are shuffled.
+_HOT_BROADCAST = 100_000
 #: A node pair with at most so many leaf pairs is compared leaf by leaf.
 _LEAVES = 16
 
@@ -159,30 +162,62 @@ def block_bounds(budget: int) -> list[tuple[int, int]]:
     return [(a, b - a) for a, b in zip(cuts, cuts[1:])]
 
 
-def links(distinct: DataFrame, *, fingerprint: str = "fingerprint", budget: int = 2) -> DataFrame:
+def _bits(value: Column, first: int, width: int) -> Column:
+    """``width`` bits from bit ``first`` on, wrapping around."""
+    first %= BITS
+    turned = value if not first else F.call_function("shiftrightunsigned", value, F.lit(first)).bitwiseOR(F.call_function("shiftleft", value, F.lit(BITS - first)))
+    return turned.bitwiseAND(F.lit((1 << width) - 1 if width < BITS else -1).cast("long"))
+
+
+def _dealt(distinct: DataFrame, fingerprint: str, budget: int, hot_group: int) -> DataFrame:
+    """(block, own, part, rest, value): a row for each block of each fingerprint.
+
+    Groups of over ``hot_group`` fingerprints are dealt again by the bits outside their block, into
+    budget + 1 parts of these, on one of which two that link agree whole; the others have part -1.
+    """
+    bounds, value = block_bounds(budget), F.col(fingerprint)
+    keyed = [F.struct(F.lit(k).alias("block"), _bits(value, first, width).alias("own")) for k, (first, width) in enumerate(bounds)]
+    rows = distinct.select(F.explode(F.array(*keyed)).alias("key"), value.alias("value")).select("key.block", "key.own", "value")
+    hot = rows.groupBy("block", "own").agg(F.count("*").alias("n")).where(F.col("n") > hot_group).drop("n")
+    hot = materialize(hot, "simhash-hot")
+    n_hot = hot.limit(_HOT_BROADCAST + 1).count()
+    if not n_hot:
+        return rows.select("block", "own", F.lit(-1).alias("part"), F.lit(0).cast("long").alias("rest"), "value")
+    if n_hot <= _HOT_BROADCAST:
+        hot = F.broadcast(hot)
+    marked = rows.join(hot.withColumn("hot", F.lit(True)), ["block", "own"], "left")
+    split = F.lit(None).cast("array<struct<part:int,rest:bigint>>")
+    for k, (first, width) in enumerate(bounds):
+        left = BITS - width
+        cuts = [left * i // (budget + 1) for i in range(budget + 2)]
+        parts = F.array(*(F.struct(F.lit(i).alias("part"), _bits(F.col("value"), first + width + a, b - a).alias("rest")) for i, (a, b) in enumerate(zip(cuts, cuts[1:]))))
+        split = F.when(F.col("block") == k, parts).otherwise(split)
+    whole = F.array(F.struct(F.lit(-1).alias("part"), F.lit(0).cast("long").alias("rest")))
+    each = F.explode(F.when(F.col("hot"), split).otherwise(whole)).alias("x")
+    return marked.select("block", "own", each, "value").select("block", "own", "x.part", "x.rest", "value")
+
+
+def links(distinct: DataFrame, *, fingerprint: str = "fingerprint", budget: int = 2, hot_group: int = 1_000_000) -> DataFrame:
     """(a, b): links among distinct fingerprints that differ in at most ``budget`` bits, a forest of each task's."""
     if not 0 <= budget < 16:
         raise ValueError("the budget is from 0 to 15 bits")
-    bounds = block_bounds(budget)
-    value = F.col(fingerprint)
-    keyed = [F.struct(F.lit(k).alias("block"), F.call_function("shiftrightunsigned", value, F.lit(first)).bitwiseAND(F.lit((1 << width) - 1 if width < BITS else -1).cast("long")).alias("own")) for k, (first, width) in enumerate(bounds)]
-    dealt = distinct.select(F.explode(F.array(*keyed)).alias("key"), value.alias("value")).select("key.block", "key.own", "value")
-    sorted_groups = dealt.repartition("block", "own").sortWithinPartitions("block", "own")
+    bounds, keys = block_bounds(budget), ["block", "own", "part", "rest"]
+    sorted_groups = _dealt(distinct, fingerprint, budget, hot_group).repartition(*keys).sortWithinPartitions(*keys)
 
     def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
 
         def solve(table: pa.Table) -> pa.RecordBatch:
-            block, own, raw = (table[c].to_numpy() for c in ("block", "own", "value"))
+            block, own, part, rest, raw = (table[c].to_numpy() for c in (*keys, "value"))
             values = np.ascontiguousarray(raw).view(np.uint64)
             turned = values.copy()
             for k, (first, width) in enumerate(bounds):
                 if shift := (first + width) % BITS:
                     mine = block == k
                     turned[mine] = (values[mine] >> np.uint64(shift)) | (values[mine] << np.uint64(BITS - shift))
-            order = np.lexsort((turned, own, block))
-            block, own, turned, values = block[order], own[order], turned[order], values[order]
-            edge = np.flatnonzero((np.diff(block) != 0) | (np.diff(own) != 0)) + 1
+            order = np.lexsort((turned, rest, part, own, block))
+            turned, values = turned[order], values[order]
+            edge = np.flatnonzero(np.logical_or.reduce([np.diff(x[order]) != 0 for x in (block, own, part, rest)])) + 1
             found = trie_pairs(turned, np.concatenate(([0], edge, [len(values)])), budget)
             names, number = np.unique(values, return_inverse=True)
             kept = names[forest(number[found], len(names))].view(np.int64)
@@ -197,8 +232,8 @@ def links(distinct: DataFrame, *, fingerprint: str = "fingerprint", budget: int
             if rows < enough:
                 continue
             table = pa.Table.from_batches(held)
-            key = table["own"].to_numpy() * len(bounds) + table["block"].to_numpy()
-            cut = int(np.flatnonzero(key != key[-1])[-1]) + 1 if (key != key[-1]).any() else 0
+            other = np.flatnonzero(np.logical_or.reduce([(x := table[c].to_numpy()) != x[-1] for c in keys]))
+            cut = int(other[-1]) + 1 if len(other) else 0
             if cut:
                 yield solve(table.slice(0, cut))
             held, rows = table.slice(cut).combine_chunks().to_batches(), table.num_rows - cut

@@ -64,7 +64,13 @@ def test_links_connect_what_brute_force_connects(spark, budget):
     values |= {0, 1, (1 << 64) - 1, 1 << 63}
     prints = dict(enumerate(sorted(values)))
     df = spark.createDataFrame([(i, v - (1 << 64) if v >> 63 else v) for i, v in prints.items()], "id long, fingerprint long")
-    edges = sh.links(df.select("fingerprint"), budget=budget)
+    for hot_group, broadcast in ((10**6, 10), (3, 10**6), (1, 1)):
+        sh._HOT_BROADCAST = broadcast
+        edges = sh.links(df.select("fingerprint"), budget=budget, hot_group=hot_group)
+        check(df, edges, prints, budget)
+
+
+def check(df, edges, prints, budget):
     named = df.join(sh.components(edges).withColumnRenamed("node", "fingerprint"), "fingerprint", "left").withColumn("root", F.coalesce("root", "fingerprint"))
     groups = {}
     for r in named.collect():
