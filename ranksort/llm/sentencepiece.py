@@ -39,7 +39,7 @@ from .words import pieces
 MARK = "\u2581"
 _WORD = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 #: Words that a worker remembers newly before it sets them aside for those it set aside before.
-_REMEMBERED = 200_000
+_REMEMBERED = 300_000
 _MAX_MODEL_BYTES = 32 << 20
 #: Stands for no piece before the first; pairs of numbers are one number with this factor.
 _NONE, _WIDE = 1 << 21, 1 << 23
