@@ -271,7 +271,7 @@ def _merged(packed: DataFrame, order: int, folder: str, buckets: int, hot: np.nd
                 rows.append({"kind": "tails", "bucket": batch["bucket"][0].as_py(), "data": batch["data"][0].as_py()})
         return pa.Table.from_pylist(rows, schema)
 
-    return packed.groupBy("bucket").applyInArrow(merge, _MERGED)
+    return packed.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(merge, _MERGED)  # few buckets a task, at any setting
 
 
 def _small(counts: np.ndarray) -> np.ndarray:
@@ -356,7 +356,7 @@ def _write_words(words: DataFrame, folder: str, buckets: int) -> None:
         return pa.table({"n": [len(keys)]})
 
     own = words.select((F.call_function("shiftrightunsigned", "word", F.lit(32)) % F.lit(buckets)).alias("bucket"), "word", "n")
-    own.groupBy("bucket").applyInArrow(write, "n long").agg(F.sum("n")).collect()
+    own.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(write, "n long").agg(F.sum("n")).collect()
 
 
 # --- scoring ---
