@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..keys import KeySpec
 from ..plans.pivot_tree import SEGMENT, PivotTree
-from ..plans.redistribute import POSITION, with_segments
+from ..plans.redistribute import POSITION, add_offsets, with_segments
 from ..plans.rounds import agree
 from ..plans.variants import Sorted
 
@@ -87,20 +87,11 @@ def global_ranks(result: Sorted) -> DataFrame:
     spec, inside = result.spec, Window.partitionBy(SEGMENT).orderBy(*(o for o in KeySpec(result.spec.key, (), result.spec.descending, result.spec.nulls_first).orders()))
     key = F.struct(*(F.col(c) for c in spec.key))
     sizes = result.segmented.groupBy(SEGMENT).agg(F.count("*").alias("n"), F.count_distinct(key).alias("d")).collect()  # p rows
-    rows, distinct, total = {}, {}, sum(r["n"] for r in sizes)
-    at = keys = 0
-    for r in sorted(sizes, key=lambda r: r[SEGMENT]):
-        rows[r[SEGMENT]], distinct[r[SEGMENT]] = at, keys
-        at, keys = at + r["n"], keys + r["d"]
-    out = result.rows
-    if not sizes:
-        return out.withColumns({"rank": F.lit(1).cast("long"), "dense_rank": F.lit(1).cast("long"), "percent_rank": F.lit(0.0)})
-    offset = lambda of: F.element_at(F.create_map(*(F.lit(x) for s, n in of.items() for x in (s, n))), F.col(SEGMENT)).cast("long")
-    return out.withColumns({
-        "rank": F.rank().over(inside) + offset(rows),
-        "dense_rank": F.dense_rank().over(inside) + offset(distinct),
-        "percent_rank": (F.rank().over(inside) + offset(rows) - 1).cast("double") / max(total - 1, 1),
-    })
+    total = sum(r["n"] for r in sizes)
+    out = result.rows.withColumns({"rank": F.rank().over(inside).cast("long"), "dense_rank": F.dense_rank().over(inside).cast("long")})
+    out = add_offsets(out, "rank", {r[SEGMENT]: r["n"] for r in sizes})
+    out = add_offsets(out, "dense_rank", {r[SEGMENT]: r["d"] for r in sizes})
+    return out.withColumn("percent_rank", (F.col("rank") - 1).cast("double") / max(total - 1, 1))
 
 
 def dedup_sorted(segmented: DataFrame, spec: KeySpec) -> DataFrame:

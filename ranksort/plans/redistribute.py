@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..keys import KeySpec
 from ..placement import RANK
-from .pivot_tree import SEGMENT, PivotTree, literal
+from .pivot_tree import FOLDED, SEGMENT, PivotTree, literal
 
 POSITION = "__pos"
 
@@ -130,14 +130,22 @@ def positions(segmented: DataFrame, delivered: DataFrame, spec: KeySpec) -> Data
     The counts are at most p rows, which is what the driver reads and the plan carries.
     """
     counts = {r[SEGMENT]: r["n"] for r in segmented.groupBy(SEGMENT).agg(F.count("*").alias("n")).collect()}
-    before, total = {}, 0
-    for s in sorted(counts):
-        before[s], total = total, total + counts[s]
     place = F.row_number().over(Window.partitionBy(SEGMENT).orderBy(*spec.orders())).cast("long") - 1
+    return add_offsets(delivered.withColumn(POSITION, place), POSITION, counts)
+
+
+def add_offsets(df: DataFrame, column: str, sizes: dict[int, int]) -> DataFrame:
+    """Adds to ``column`` the sizes of the segments before a row's own: from a map in the plan, or for many segments a broadcast table of p rows."""
+    before, total = {}, 0
+    for s in sorted(sizes):
+        before[s], total = total, total + sizes[s]
     if not before:
-        return delivered.withColumn(POSITION, place)
-    offsets = F.create_map(*(F.lit(x) for s, n in before.items() for x in (s, n)))
-    return delivered.withColumn(POSITION, place + F.element_at(offsets, F.col(SEGMENT)).cast("long"))
+        return df
+    if len(before) <= FOLDED:
+        offsets = F.create_map(*(F.lit(x) for s, n in before.items() for x in (s, n)))
+        return df.withColumn(column, (F.col(column) + F.element_at(offsets, F.col(SEGMENT))).cast("long"))
+    table = df.sparkSession.createDataFrame(list(before.items()), f"{SEGMENT} int, __before long")
+    return df.join(F.broadcast(table), SEGMENT).withColumn(column, F.col(column) + F.col("__before")).select(*df.columns)
 
 
 def merge_runs(delivered: DataFrame, spec: KeySpec) -> DataFrame:

@@ -209,3 +209,12 @@ def test_many_segments_walk_alike(spark):
             assert tree.in_order() == splitters
             found = frame(spark, values).select("k", tree.segment(F.col("k")).alias("s")).collect()
             assert all(r["s"] == sum((r["k"] < x) if reverse else (r["k"] > x) for x in splitters) for r in found[:300])
+
+
+def test_positions_of_many_segments(spark, monkeypatch):
+    from ranksort.plans import redistribute
+
+    monkeypatch.setattr(redistribute, "FOLDED", 2)
+    done = v.exchange_free_quicksort(frame(spark, inputs()["skewed"]), SPEC, 4)
+    assert sorted(r[POSITION] for r in done.with_positions().collect()) == list(range(120))
+    assert [r["k"] for r in sorted(done.with_positions().collect(), key=lambda r: r[POSITION])] == sorted(inputs()["skewed"])
