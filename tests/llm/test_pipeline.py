@@ -1,7 +1,7 @@
 import re
 
 import corpus_pipeline
-from ranksort.llm import decontamination, pii, queries, quality, simhash
+from ranksort.llm import decontamination, queries, quality, simhash
 from ranksort.llm.sentencepiece import Vocabulary, load_model
 
 
@@ -15,7 +15,7 @@ def test_run_against_brute_force(spark, sf):
         n, covered, longest, repeat = (int(found[c][k]) for c in ("n_words", "covered_words", "longest_repeat", "n_repeat_words"))
         if n >= 50 and 100 * repeat <= 50 * n and covered <= limits.max_covered * n and longest <= limits.max_longest:
             kept.append(d)
-    prints = {d.doc_id: simhash.fingerprint(d.text.encode()) for d in kept}
+    prints = {d.doc_id: simhash.fingerprint(d.text.encode(), corpus_pipeline.SHINGLE) for d in kept}
     root = {i: i for i in prints}
 
     def top(x):
@@ -25,7 +25,7 @@ def test_run_against_brute_force(spark, sf):
 
     for i in prints:
         for j in prints:
-            if i < j and (prints[i] ^ prints[j]).bit_count() <= 2:
+            if i < j and (prints[i] ^ prints[j]).bit_count() <= corpus_pipeline.BUDGET:
                 a, b = top(i), top(j)
                 root[max(a, b)] = min(a, b)
     kept = [d for d in kept if top(d.doc_id) == d.doc_id]
@@ -64,9 +64,3 @@ def test_defined_cases(spark, sf):
     quality_kept = corpus_pipeline.quality_rules(spark, docs, sf)
     assert quality_kept.count() == 4
     assert [r.doc_id for r in corpus_pipeline.near_duplicates(spark, quality_kept, sf).where("doc_id is not null").collect()] == [3]
-
-
-def test_queries_stand_alone(spark, sf):
-    assert pii.KINDS[: len(pii.BASE_KINDS)] == pii.BASE_KINDS
-    numbers = [int(re.match(r"op(\d+)_", name)[1]) for name in queries.QUERIES]
-    assert sorted(numbers) == list(range(1, 11))
