@@ -227,7 +227,7 @@ def _packed(texts: DataFrame, text: str, order: int, buckets: int, hot: np.ndarr
                     columns, counts = add_up([*columns, found.hashes[found.tokens]], np.ones(len(found.tokens), np.int64))
                 yield from pack_by_bucket(columns, counts, buckets, hot)
 
-    return texts.select(text).mapInArrow(count, "bucket long, data binary")
+    return texts.select(text).mapInArrow(count, "bucket int, data binary")
 
 
 def pack_by_bucket(columns: list[np.ndarray], counts: np.ndarray, buckets: int, hot: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -236,10 +236,10 @@ def pack_by_bucket(columns: list[np.ndarray], counts: np.ndarray, buckets: int,
     order, edges = by_bucket(bucket, buckets)
     for b in np.flatnonzero(np.diff(edges)).tolist():
         own = order[edges[b] : edges[b + 1]]
-        yield pa.RecordBatch.from_arrays([pa.array([b], pa.int64()), pa.array([pack([c[own] for c in columns], counts[own])], pa.binary())], ["bucket", "data"])
+        yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([pack([c[own] for c in columns], counts[own])], pa.binary())], ["bucket", "data"])
 
 
-_MERGED = "kind string, bucket long, data binary, context long, a long, b long, c long, d long"
+_MERGED = "kind string, bucket int, data binary, context long, a long, b long, c long, d long"
 
 
 def _merged(packed: DataFrame, order: int, folder: str, buckets: int, hot: np.ndarray) -> DataFrame:
@@ -249,7 +249,7 @@ def _merged(packed: DataFrame, order: int, folder: str, buckets: int, hot: np.nd
     of a hot context's sums; ``tails``, packed counts of the order below, for bucket ``bucket``.
     """
     names = [c.split()[0] for c in _MERGED.split(", ")]
-    schema = pa.schema([("kind", pa.string()), ("bucket", pa.int64()), ("data", pa.binary()), *((n, pa.int64()) for n in names[3:])])
+    schema = pa.schema([("kind", pa.string()), ("bucket", pa.int32()), ("data", pa.binary()), *((n, pa.int64()) for n in names[3:])])
 
     def merge(table: pa.Table) -> pa.Table:
         b = table["bucket"][0].as_py()
@@ -271,7 +271,7 @@ def _merged(packed: DataFrame, order: int, folder: str, buckets: int, hot: np.nd
                 rows.append({"kind": "tails", "bucket": batch["bucket"][0].as_py(), "data": batch["data"][0].as_py()})
         return pa.Table.from_pylist(rows, schema)
 
-    return packed.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(merge, _MERGED)  # few buckets a task, at any setting
+    return packed.repartitionById(buckets, F.col("bucket")).groupBy("bucket").applyInArrow(merge, _MERGED)  # a bucket a task
 
 
 def _small(counts: np.ndarray) -> np.ndarray:
@@ -316,11 +316,13 @@ def _totals(contexts: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.nd
     return contexts[at], np.stack([np.add.reduceat(x.astype(np.int64), at) for x in (counts, counts == 1, counts == 2, counts >= 3)])
 
 
-def train(texts: DataFrame, *, text: str = "text", order: int = 2, hot_share: float = 0.002) -> Model:
+def train(texts: DataFrame, *, text: str = "text", order: int = 2, hot_share: float = 0.002, in_bucket: int | None = None) -> Model:
     """Count ``texts`` and write the model's arrays to a new shared folder.
 
     hot_share: contexts with a larger share of the tokens are dealt over all buckets; there are at
-    most 1 / hot_share of them, which bounds what the driver gathers.
+    most 1 / hot_share of them, which bounds what the driver gathers.  in_bucket: n-grams that a bucket
+    holds on average, a task's memory against the number of files; a million by default, and more
+    where tokens go into the trillions.
     """
     if order < 2:
         raise ValueError("the order is 2 or more")
@@ -330,7 +332,7 @@ def train(texts: DataFrame, *, text: str = "text", order: int = 2, hot_share: fl
     files.make(folder)
     words = materialize(_unigrams(texts, text), "kneser-ney-words")
     n_tokens, n_types = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    buckets = max(1, -(-n_tokens // _IN_BUCKET))
+    buckets = max(1, -(-n_tokens // (in_bucket or _IN_BUCKET)))
     often = words.where(F.col("n") > hot_share * n_tokens).select("word").collect()
     single = np.array([START, *np.array([r["word"] for r in often], np.int64).view(np.uint64)], np.uint64)
     hot = np.sort(np.append(context_hash([single], len(single)), np.uint64(0)))  # zero: the empty context of order 1
@@ -355,8 +357,8 @@ def _write_words(words: DataFrame, folder: str, buckets: int) -> None:
         _save(folder, f"words-{table['bucket'][0].as_py()}", keys[order], counts[order])
         return pa.table({"n": [len(keys)]})
 
-    own = words.select((F.call_function("shiftrightunsigned", "word", F.lit(32)) % F.lit(buckets)).alias("bucket"), "word", "n")
-    own.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(write, "n long").agg(F.sum("n")).collect()
+    own = words.select((F.call_function("shiftrightunsigned", "word", F.lit(32)) % F.lit(buckets)).cast("int").alias("bucket"), "word", "n")
+    own.repartitionById(buckets, F.col("bucket")).groupBy("bucket").applyInArrow(write, "n long").agg(F.sum("n")).collect()
 
 
 # --- scoring ---
