@@ -36,6 +36,8 @@ BITS = 64
 _FRONTIER = 1 << 20
 #: Keys of hot groups that are broadcast; more are shuffled.
 _HOT_BROADCAST = 100_000
+#: Parts that a hub's neighbours are dealt over.
+_SALTS = 16
 #: A node pair with at most so many leaf pairs is compared leaf by leaf.
 _LEAVES = 16
 
@@ -247,8 +249,8 @@ def links(distinct: DataFrame, *, fingerprint: str = "fingerprint", budget: int
 def components(edges: DataFrame) -> DataFrame:
     """(node, root): every node of the edges (a, b) with the smallest of its component.
 
-    Rounds of large-star and small-star; each is an aggregate and a join, so a hub costs no task its
-    neighbours, and ends when a round changes nothing.
+    Rounds of large-star and small-star, until a round changes nothing; each is an aggregate and a join.
+    A hub's neighbours are dealt over ``_SALTS`` copies of its row, so no task gets them all.
     """
     both = edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
     now = materialize(both, "star")
@@ -256,9 +258,9 @@ def components(edges: DataFrame) -> DataFrame:
     while True:
         around = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = around.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = around.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        large = _with_least(around.where("v > u"), least).select(F.col("v").alias("u"), F.col("m").alias("v"))
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
+        small = _with_least(large, low).where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
         now = materialize(small.distinct(), "star")
         after = _digest(now)
         if after == state:
@@ -267,6 +269,13 @@ def components(edges: DataFrame) -> DataFrame:
     return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
+def _with_least(rows: DataFrame, least: DataFrame) -> DataFrame:
+    """Rows (u, v) with the m of their u, by u and a part of v."""
+    dealt = rows.withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(_SALTS)).cast("int"))
+    copies = least.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(_SALTS - 1))))
+    return dealt.join(copies, ["u", "salt"])
+
+
 def _digest(edges: DataFrame) -> tuple:
     return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
 
