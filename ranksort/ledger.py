@@ -151,15 +151,17 @@ def execute(df: DataFrame) -> None:
 def shuffle_metrics(spark: SparkSession, run: Callable[[], object]) -> dict[str, int]:
     """Bytes written to shuffles, bytes spilled to disk and tasks of the stages that ``run`` starts."""
 
-    def totals() -> list[int]:
-        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
-        stages = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
-        all_stages = [stages.apply(i) for i in range(stages.size())]
-        return [sum(x) for x in zip(*((s.shuffleWriteBytes(), s.diskBytesSpilled(), s.numCompleteTasks()) for s in all_stages))] or [0, 0, 0]
-
-    before = totals()
+    def stages() -> dict[int, tuple[int, int, int]]:
+        context = spark.sparkContext
+        context._jsc.sc().listenerBus().waitUntilEmpty()
+        found = context._jsc.sc().statusStore().stageList(None, False, False, context._gateway.new_array(spark._jvm.double, 0), None)
+        all_stages = (found.apply(i) for i in range(found.size()))
+        return {s.stageId(): (s.shuffleWriteBytes(), s.diskBytesSpilled(), s.numCompleteTasks()) for s in all_stages}
+
+    before = max(stages(), default=-1)  # old stages leave the store, new ones have higher numbers
     run()
-    return dict(zip(("shuffle_bytes", "spilled_bytes", "tasks"), (b - a for a, b in zip(before, totals()))))
+    new = [counts for stage, counts in stages().items() if stage > before]
+    return dict(zip(("shuffle_bytes", "spilled_bytes", "tasks"), map(sum, zip(*new)) if new else (0, 0, 0)))
 
 
 def speedup(sequential: float, parallel: float) -> float:
