@@ -72,10 +72,28 @@ def test_truncation_junk_and_false_openings():
 
 def test_records_across_chunks(monkeypatch):
     monkeypatch.setattr(warc, "_CHUNK", 64)
-    for compress in (True, False):
-        parts = made(9, compress)
-        records, gaps = read(b"".join([*parts[:4], b"#" * 150, *parts[4:]]))
-        assert ids(records) == list(range(9)) and gaps[0].end - gaps[0].start == 150
+    for part, held in ((1 << 16, 32 << 20), (7, 0), (1, 100)):
+        monkeypatch.setattr(warc, "_PART", part)
+        monkeypatch.setattr(warc, "_HELD", held)
+        for compress in (True, False):
+            parts = made(9, compress)
+            records, gaps = read(b"".join([*parts[:4], b"#" * 150, *parts[4:]]))
+            assert ids(records) == list(range(9)) and gaps[0].end - gaps[0].start == 150
+        records, gaps = read(gzip.compress(b"".join(made(9, False))))
+        assert ids(records) == list(range(9)) and not gaps and len({r.end for r in records}) == 1
+        assert [hashlib.sha256(r.payload).hexdigest() for r in records] == [r.headers["warc-payload-digest"].partition(":")[2] for r in records]
+
+
+def test_a_record_of_any_length_and_false_openings_in_a_row():
+    body = b"y" * 3_000_000
+    raw = warc.record("response", "urn:x-page:7", "u" * 400_000, body, hashlib.sha256(body).hexdigest(), len(body))
+    for data in (raw, warc.member(raw)):
+        for keep in (True, False):
+            (found,), gaps = read(data, keep=keep)
+            assert not gaps and found.payload_bytes == len(body) and found.payload == (body if keep else None)
+    false = b"WARC/1.1\r\nWARC-Type: response\r\nWARC-Record-ID: <a>\r\nWARC-Date: x\r\nContent-Length: 2000000\r\n\r\n" * 2_000
+    records, gaps = read(false + body + raw)
+    assert ids(records) == [7] and (gaps[0].start, gaps[0].end) == (0, len(false) + len(body))
 
 
 def test_round_trip_and_revisits(spark):
@@ -97,3 +115,5 @@ def test_round_trip_and_revisits(spark):
             assert (r.payload_bytes, r.payload_digest) == (len(data), "sha256:" + hashlib.sha256(data).hexdigest())
             assert r.payload == (data if r.warc_type == "response" else b"")
     assert warc.read_archives(spark, warc.archive_pages(df.limit(0))).count() == 0
+    few, many = (sorted(map(tuple, warc.plan_records(df, max_broadcast=m).collect()), key=repr) for m in (100, 0))
+    assert few == many and len(few) == len(pages)
