@@ -48,8 +48,7 @@ def op2_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All conversations through reply trees and back, with one whose texts are control strings."""
     turns = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     hostile = spark.createDataFrame([(-1, 0, "user", HOSTILE), (-1, 1, "assistant", HOSTILE)], turns.schema)
-    messages = storage.materialize(chat.as_reply_trees(turns.unionByName(hostile)), "chat-messages")
-    best = chat.conversations(messages, top=1)
+    best = chat.conversations(chat.as_reply_trees(turns.unionByName(hostile)), top=1, keep_repeats=True)
     done = chat.read_back(chat.format_conversations(best))
     return done.select(F.col("tree").alias("conv_id"), "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars")
 
@@ -142,8 +141,8 @@ ORACLE_SQL: dict[str, str] = {
             SELECT *, length(text) + len(regexp_extract_all(text, '{_CONTROL_SQL}')) + CASE role WHEN 'user' THEN 13 WHEN 'assistant' THEN 10 WHEN 'system' THEN 11
                 ELSE 18 + length(role) + len(regexp_extract_all(role, '{_CONTROL_SQL}')) END AS n, CASE WHEN role = 'assistant' THEN text ELSE '' END AS loss
             FROM turns)
-        SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
-            CAST(sum(length(loss)) AS BIGINT) AS loss_chars, sha256(string_agg(loss, '' ORDER BY turn, role, text)) AS loss_sha256, CAST(3 + sum(n) AS BIGINT) AS formatted_chars
+        SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, sha256(text))) AS turns_sha256,
+            CAST(sum(length(loss)) AS BIGINT) AS loss_chars, sha256(string_agg(loss, '' ORDER BY turn, role, sha256(text))) AS loss_sha256, CAST(3 + sum(n) AS BIGINT) AS formatted_chars
         FROM sized GROUP BY conv_id""",
     "op7_warc": """
         WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
