@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
 from itertools import count
 
 import numpy as np
@@ -34,6 +35,51 @@ def lower(text: bytes) -> bytes:
     return text.translate(_LOWER)
 
 
+@dataclass(frozen=True)
+class Spans:
+    """Stretches of some texts that lie one after the other in ``data``, each text's together.
+
+    stops: one past the end of each stretch; starts: the first stretch of each text, and one more entry.
+    """
+
+    data: np.ndarray
+    stops: np.ndarray
+    starts: np.ndarray
+
+    def numbers(self) -> tuple[np.ndarray, pa.Array]:
+        """Equal stretches' numbers, from 0 in order of appearance, and the distinct stretches."""
+        offsets = np.zeros(len(self.stops) + 1, np.int64)
+        offsets[1:] = self.stops
+        cells = pa.Array.from_buffers(pa.large_binary(), len(self.stops), [None, pa.py_buffer(offsets), pa.py_buffer(self.data)])
+        coded = cells.dictionary_encode()
+        return coded.indices.to_numpy(zero_copy_only=False), coded.dictionary
+
+
+_IS_BLANK = np.zeros(256, bool)
+_IS_BLANK[list(BLANKS)] = True
+
+
+def joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """The texts' bytes, a line break after each, and where each starts (one more entry than texts)."""
+    ends = np.cumsum(np.fromiter((len(t) + 1 for t in texts), np.int64, len(texts)))
+    return np.frombuffer(b"\n".join([*texts, b""]), np.uint8), np.concatenate(([0], ends))
+
+
+def words_of(raw: np.ndarray, begins: np.ndarray) -> tuple[Spans, np.ndarray]:
+    """The words of ``joined`` texts, without Python objects, and where each begins in them."""
+    inside = ~_IS_BLANK[raw]
+    edge = np.flatnonzero(np.diff(inside.view(np.int8), prepend=np.int8(0)))  # a text ends in a blank: starts and ends in turn
+    first, past = edge[::2], edge[1::2]
+    return Spans(raw[inside], np.cumsum(past - first), np.searchsorted(first, begins)), first
+
+
+def lines_of(raw: np.ndarray, begins: np.ndarray) -> tuple[Spans, np.ndarray]:
+    """The lines of ``joined`` texts, with their breaks, and where each begins in them."""
+    stops = np.flatnonzero(raw == ord("\n")) + 1
+    first = np.concatenate(([0], stops[:-1])) if len(stops) else stops
+    return Spans(raw, stops, np.searchsorted(first, begins)), first
+
+
 def numbering() -> defaultdict:
     """A dictionary that numbers what it is asked for, from 0."""
     return defaultdict(count().__next__)
