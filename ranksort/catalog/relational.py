@@ -17,6 +17,7 @@ from ..plans.pivot_tree import SEGMENT, PivotTree
 from ..plans.pivots import MIDDLE
 from ..plans.redistribute import POSITION, positions, with_segments
 from ..plans.rounds import agree
+from ..shared import scratch
 from ..sources import tables
 from ..sources.tables import load
 from ..streaming import routing
@@ -405,7 +406,7 @@ def source_round_trip(spark, folder):
     """A table written in each format and read back with its schema."""
     regions, out = load(spark, folder, "region").select("r_regionkey", "r_name"), None
     for fmt in ("csv", "json", "orc", "parquet"):
-        path = _scratch(spark, f"region-{fmt}")
+        path = scratch(spark, f"region-{fmt}")
         regions.write.format(fmt).save(path)
         one = tables.read_file(spark, path, fmt, regions.schema).select(F.lit(fmt).alias("fmt"), "r_regionkey", "r_name")
         out = one if out is None else out.unionByName(one)
@@ -415,7 +416,7 @@ def source_round_trip(spark, folder):
 @query("sink_by_rank", "SELECT l_orderkey, l_linenumber, l_extendedprice FROM lineitem WHERE l_extendedprice < 20000")
 def sink_by_rank(spark, folder):
     """Rows written by rank; a range of keys reads only the folders that its pivots name."""
-    done, path = _uniform(spark, folder), _scratch(spark, "by-rank")
+    done, path = _uniform(spark, folder), scratch(spark, "by-rank")
     tables.write_sorted(done, path)
     first, last = done.tree.overlapping(None, 20_000.0)
     return tables.read_sorted(spark, path).where(F.col("rank").between(first, last) & (F.col("l_extendedprice") < 20_000)).select(*fx.UNIFORM.columns)
@@ -439,25 +440,11 @@ def sql_table_functions(spark, folder):
 # --- streams ---
 
 
-def _scratch(spark: SparkSession, label: str) -> str:
-    """A new folder that driver and executors share."""
-    context = spark.sparkContext
-    root = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
-    if not root:
-        if not context.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        import tempfile
-
-        root = tempfile.mkdtemp(prefix="ranksort-")
-        context.setCheckpointDir(root)
-    return f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
 def _event_stream(spark: SparkSession, folder: str, days: bool = False) -> tuple[DataFrame, PivotTree]:
     """The events as files that arrive in order of time, and pivots of their values."""
     rows = fx.SKEWED.rows(spark, folder)
     tree = agree(rows, fx.SKEWED.spec, P)
-    path = _scratch(spark, "events")
+    path = scratch(spark, "events")
     events = load(spark, folder, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "value")
     events.repartitionByRange(6, "ts").sortWithinPartitions("ts").write.parquet(path)
     return tables.read_stream(spark, path, events.schema, files_per_batch=6), tree
@@ -471,7 +458,7 @@ def stream_route(spark, folder):
     """A stream on frozen pivots; what it routed, counted."""
     stream, tree = _event_stream(spark, folder)
     routed = routing.route_stream(stream, fx.SKEWED.spec, tree)
-    done = routing.run_to_end(routed.select(F.col(SEGMENT).alias("segment")), f"routed_{uuid.uuid4().hex}", _scratch(spark, "routed"))
+    done = routing.run_to_end(routed.select(F.col(SEGMENT).alias("segment")), f"routed_{uuid.uuid4().hex}", scratch(spark, "routed"))
     return done.groupBy("segment").agg(F.count("*").alias("n"))
 
 
@@ -481,14 +468,14 @@ def stream_windows(spark, folder):
     stream, tree = _event_stream(spark, folder)
     load_of = routing.segment_load(routing.route_stream(stream, fx.SKEWED.spec, tree), "ts", late="40 days")
     flat = load_of.select(F.unix_seconds("window.start").alias("opens"), "segment", "n")
-    return routing.run_to_end(flat, f"windows_{uuid.uuid4().hex}", _scratch(spark, "windows"), "complete")
+    return routing.run_to_end(flat, f"windows_{uuid.uuid4().hex}", scratch(spark, "windows"), "complete")
 
 
 @query("stream_runs", sql.by_position("events", "event_id, value", "value, event_id"))
 def stream_runs(spark, folder):
     """Sorted runs of micro-batches, compacted into one order."""
     stream, tree = _event_stream(spark, folder)
-    path = _scratch(spark, "runs")
-    routing.run_sink(stream, fx.SKEWED.spec, tree, path, _scratch(spark, "runs-state")).awaitTermination()
+    path = scratch(spark, "runs")
+    routing.run_sink(stream, fx.SKEWED.spec, tree, path, scratch(spark, "runs-state")).awaitTermination()
     merged = routing.compact_runs(spark, path, fx.SKEWED.spec, tree)
     return positions(merged, merged, fx.SKEWED.spec).select("event_id", "value", F.col(POSITION).alias("pos"))

@@ -10,9 +10,10 @@ from pyspark.sql import functions as F
 
 from .. import ledger, verify
 from ..placement import schedule
+from ..plans import ordered
 from ..plans import pivots as pv
 from ..plans.pivot_tree import SEGMENT, slots
-from ..plans.redistribute import POSITION, count_matrix, run_bounds, search_bounds, split_evenly, with_segments
+from ..plans.redistribute import POSITION, count_matrix, run_bounds, split_evenly, with_segments
 from ..plans.rounds import agree, agree_on_sample, sketch_splitters
 from ..plans import variants as v
 from ..operators.order import histogram
@@ -197,7 +198,7 @@ def bounds_searched(spark, folder):
     """The same by binary search in sorted ranks."""
     rows = fx.UNIFORM.rows(spark, folder)
     local = rows.repartitionById(P, F.col("__rank")).sortWithinPartitions(*fx.UNIFORM.spec.orders())
-    return search_bounds(local, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, P))
+    return ordered.bounds(local, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, P))
 
 
 @query("rank_histogram", f"{_CHAIN} SELECT CAST(s AS INTEGER) AS rank, count(*) AS n, min(k) AS lo, max(k) AS hi FROM {_END} GROUP BY s")

@@ -7,24 +7,13 @@ from pyspark.sql import functions as F
 
 from ..keys import KeySpec
 from ..placement import RANK, levels_of
+from ..shared import keep
 from .pivot_tree import SEGMENT, PivotTree
 from .pivots import MIDPOINT
 from .redistribute import merge_runs
 from .rounds import agree, compared
 
 
-def keep(df: DataFrame) -> DataFrame:
-    """Checkpoint in the session's shared folder; without one, a folder for local mode."""
-    context = df.sparkSession.sparkContext
-    if not (context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()):
-        if not context.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        import tempfile
-
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="ranksort-"))
-    return df.checkpoint()
-
-
 def exchange_levels(df: DataFrame, spec: KeySpec, p: int, levels: int, chooser=MIDPOINT, *, ties: str = "left", order: str | None = None) -> tuple[DataFrame, PivotTree]:
     """The first ``levels`` levels: agree on a pivot a group, swap by one bit of the rank, go on in both halves.
 
@@ -38,7 +27,7 @@ def exchange_levels(df: DataFrame, spec: KeySpec, p: int, levels: int, chooser=M
     if order:
         df = keep(df.repartitionById(p, F.col(RANK)).sortWithinPartitions(*spec.orders()))
     for level in range(levels):
-        tree = agree(df, spec, p, chooser, tree=tree, levels=level + 1, ties=ties)
+        tree = agree(df, spec, p, chooser, tree=tree, levels=level + 1, ties=ties, in_order=order is not None)
         bit = 1 << (depth - 1 - level)
         right = (tree.segment(value, spec.nulls_first) % 2).cast("int")
         swapped = df.withColumn(RANK, F.col(RANK).bitwiseAND(F.lit(~bit)) + right * bit)

@@ -19,8 +19,12 @@ from pyspark.sql import types as T
 from ..placement import levels_of
 
 SEGMENT = "__segment"
-#: Up to so many segments the walk is nested conditions, which are compiled; then one fold; then Arrow.
+#: Up to so many segments the walk is nested conditions, which are compiled; then one fold over pivots in the
+#: plan; then over one constant, or for flat numbers a binary search in Arrow.  All give the same segments.
 NESTED, FOLDED = 64, 1024
+_FLAT = (T.IntegralType, T.DoubleType, T.FloatType)
+#: JSON that keeps instants to the microsecond.
+_EXACT = {"timestampFormat": "yyyy-MM-dd HH:mm:ss.SSSSSSXXX", "timestampNTZFormat": "yyyy-MM-dd HH:mm:ss.SSSSSS"}
 
 
 def literal(value: Any, kind: T.DataType) -> Column:
@@ -84,12 +88,12 @@ class PivotTree:
             inner = F.lit(0)
         elif self.segments <= NESTED:
             inner = self._nested(key, 1)
-        elif self.segments <= FOLDED:
-            tree = F.array(*(literal(x, self.kind) for x in self.pivots))
+        elif self.segments > FOLDED and isinstance(self.kind, _FLAT):
+            inner = self._searched(key)
+        else:
+            tree = F.array(*(literal(x, self.kind) for x in self.pivots)) if self.segments <= FOLDED else self._constant()
             step = lambda slot, _: slot * 2 + F.when(self._right(key, F.get(tree, slot - 1)), 1).otherwise(0)
             inner = F.aggregate(F.sequence(F.lit(1), F.lit(self.levels)), F.lit(1), step) - self.segments
-        else:
-            inner = self._searched(key)
         return F.when(key.isNull(), F.lit(0 if nulls_first else last)).otherwise(inner).cast("int")
 
     def _nested(self, key: Column, slot: int) -> Column:
@@ -99,19 +103,27 @@ class PivotTree:
             return self._nested(key, 2 * slot)
         return F.when(self._right(key, literal(self.pivots[slot - 1], self.kind)), self._nested(key, 2 * slot + 1)).otherwise(self._nested(key, 2 * slot))
 
+    def _constant(self) -> Column:
+        """All pivots as one constant, through JSON: the plan does not hold an expression for each."""
+        kind = T.ArrayType(self.kind)
+        table = SparkSession.active().createDataFrame([(list(self.pivots),)], T.StructType([T.StructField("pivots", kind)]))
+        return F.from_json(F.lit(table.select(F.to_json("pivots", _EXACT)).first()[0]), kind, _EXACT)
+
     def _searched(self, key: Column) -> Column:
-        """Many segments: a binary search over the pivots, which are sent to the workers once."""
+        """A binary search over the pivots, which are sent to the workers once; NaN is beyond all numbers."""
         import numpy as np
 
-        if not isinstance(self.kind, T.NumericType):
-            raise TypeError(f"over {FOLDED} segments need a numeric key")
-        splitters = np.array([float(x) if isinstance(self.kind, (T.DoubleType, T.FloatType)) else int(x) for x in self.in_order()])
-        sent = SparkSession.active().sparkContext.broadcast(-splitters if self.reverse else splitters)
-        sign = -1 if self.reverse else 1
+        kind = np.float64 if isinstance(self.kind, (T.DoubleType, T.FloatType)) else np.int64
+        upwards = np.array(self.in_order()[::-1] if self.reverse else self.in_order(), kind)
+        sent, reverse = SparkSession.active().sparkContext.broadcast(upwards), self.reverse
 
         def search(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
             for keys in batches:
-                found = np.searchsorted(sent.value, sign * keys.to_numpy(zero_copy_only=False), "left")
+                values = keys.to_numpy(zero_copy_only=False)
+                if reverse:  # pivots beyond the key, of which NaN has none
+                    found = len(sent.value) - np.searchsorted(sent.value, values, "right")
+                else:
+                    found = np.searchsorted(sent.value, values, "left")
                 yield pa.array(found.astype(np.int32))
 
         return F.arrow_udf(search, "int")(F.coalesce(key, F.lit(0).cast(self.kind)))

@@ -174,12 +174,32 @@ class Chooser:
 
 @dataclass(frozen=True)
 class ExactMedian:
-    """The lower middle of the whole segment: ideal pivots, by a sort of each segment."""
+    """The lower middle of the whole segment: ideal pivots.
+
+    For numbers a sketch brackets the middle to within ``2 / accuracy`` of the segment's rows, equal keys
+    are counted together, and only the bracket's distinct keys are ordered.  Keys of other types are
+    ordered whole, segment by segment, which is for moderate sizes.
+    """
+
+    accuracy: int = 10_000
 
     def choose(self, rows: DataFrame, kind: T.DataType, p: int) -> DataFrame:
-        part = Window.partitionBy(SEGMENT)
-        ranked = rows.where(F.col(VALUE).isNotNull()).withColumns({"__n": F.count("*").over(part), "__k": F.row_number().over(part.orderBy(VALUE))})
-        return ranked.where(F.col("__k") == F.floor((F.col("__n") + 1) / 2)).select(SEGMENT, F.col(VALUE).alias("pivot"), F.col("__n").alias("n_contributors"))
+        known = rows.where(F.col(VALUE).isNotNull())
+        counted, below = known.groupBy(SEGMENT, VALUE).agg(F.count("*").alias("c")), F.lit(0)
+        sizes = known.groupBy(SEGMENT).agg(F.count("*").alias("n"))
+        if isinstance(kind, T.NumericType):
+            margin = 2.0 / self.accuracy
+            ends = F.percentile_approx(VALUE, [max(0.0, 0.5 - margin), min(1.0, 0.5 + margin)], self.accuracy)
+            sizes = known.groupBy(SEGMENT).agg(F.count("*").alias("n"), ends.alias("ends"))
+            marked = known.join(F.broadcast(sizes.drop("n")), SEGMENT)  # a row a segment
+            under = marked.groupBy(SEGMENT).agg(F.count_if(F.col(VALUE) < F.col("ends")[0]).alias("under"))
+            inside = marked.where((F.col(VALUE) >= F.col("ends")[0]) & (F.col(VALUE) <= F.col("ends")[1]))
+            counted = inside.groupBy(SEGMENT, VALUE).agg(F.count("*").alias("c"))
+            sizes, below = sizes.drop("ends").join(under, SEGMENT), F.col("under")
+        upto = F.sum("c").over(Window.partitionBy(SEGMENT).orderBy(VALUE).rowsBetween(Window.unboundedPreceding, 0))
+        placed = counted.join(F.broadcast(sizes), SEGMENT).withColumn("upto", upto + below)
+        middle = F.floor((F.col("n") + 1) / 2)
+        return placed.where((F.col("upto") >= middle) & (F.col("upto") - F.col("c") < middle)).select(SEGMENT, F.col(VALUE).alias("pivot"), F.col("n").alias("n_contributors"))
 
 
 @dataclass(frozen=True)

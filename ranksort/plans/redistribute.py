@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..keys import KeySpec
 from ..placement import RANK
+from .ordered import sortable
 from .pivot_tree import FOLDED, SEGMENT, PivotTree, literal
 
 POSITION = "__pos"
@@ -89,35 +93,6 @@ def run_bounds(segmented: DataFrame) -> DataFrame:
     return counts.withColumn("stop", stop).select("rank", "segment", (F.col("stop") - F.col("n")).alias("start"), "stop")
 
 
-def search_bounds(local: DataFrame, spec: KeySpec, tree: PivotTree) -> DataFrame:
-    """The same by binary search over ranks whose rows lie sorted in their partitions: p log(n / p) probes a rank.
-
-    For one numeric key that runs upwards.  Each batch is searched and its bounds are added up.
-    """
-    import numpy as np
-
-    splitters, key = np.array([float(x) for x in tree.in_order()]), spec.key[0]
-    if spec.reversed or len(spec.key) != 1:
-        raise ValueError("the search is for one key that runs upwards")
-
-    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            keys, ranks = batch.column(0).cast(pa.float64()).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False)
-            for rank in np.unique(ranks):
-                own = keys[ranks == rank]
-                stops = np.append(np.searchsorted(own, splitters, "right"), len(own))
-                sizes = np.diff(stops, prepend=0)
-                full = np.flatnonzero(sizes)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(full), rank), pa.int32()), pa.array(full, pa.int32()), pa.array(sizes[full], pa.int64())], ["rank", "segment", "n"])
-
-    found = local.where(F.col(key).isNotNull()).select(key, RANK).mapInArrow(search, "rank int, segment int, n long")
-    counts = found.groupBy("rank", "segment").agg(F.sum("n").alias("n"))
-    stop = F.sum("n").over(Window.partitionBy("rank").orderBy("segment").rowsBetween(Window.unboundedPreceding, Window.currentRow))
-    return counts.withColumn("stop", stop).select("rank", "segment", (F.col("stop") - F.col("n")).alias("start"), "stop")
-
-
 def deliver(segmented: DataFrame, spec: KeySpec, p: int, sort: bool = True) -> DataFrame:
     """Partition j of the result is segment j, in order if ``sort``."""
     sent = segmented.repartitionById(p, F.col(SEGMENT))
@@ -148,27 +123,70 @@ def add_offsets(df: DataFrame, column: str, sizes: dict[int, int]) -> DataFrame:
     return df.join(F.broadcast(table), SEGMENT).withColumn(column, F.col(column) + F.col("__before")).select(*df.columns)
 
 
+def merge_two(keys: np.ndarray, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """Two sorted runs of places as one: each place's new position is its own and its rank in the other run; ties go to the first."""
+    out = np.empty(len(first) + len(second), np.int64)
+    out[np.arange(len(first)) + np.searchsorted(keys[second], keys[first], "left")] = first
+    out[np.arange(len(second)) + np.searchsorted(keys[first], keys[second], "right")] = second
+    return out
+
+
+def merge_places(keys: np.ndarray) -> np.ndarray:
+    """The order of numbers by merging their natural runs pairwise, log2 of the number of runs times over."""
+    cuts = [0, *(np.flatnonzero(keys[1:] < keys[:-1]) + 1).tolist(), len(keys)]
+    runs = [np.arange(a, b) for a, b in zip(cuts, cuts[1:])]
+    while len(runs) > 1:
+        runs = [merge_two(keys, runs[i], runs[i + 1]) if i + 1 < len(runs) else runs[i] for i in range(0, len(runs), 2)]
+    return runs[0]
+
+
+def _merged(table: pa.Table, spec: KeySpec) -> pa.Array:
+    """The places of a partition's rows in order."""
+    names = spec.columns()
+    first = table[names[0]].combine_chunks()
+    flat = (pa.types.is_integer(first.type) or pa.types.is_floating(first.type)) and not spec.descending
+    if flat and len(spec.key) == 1:
+        known = np.flatnonzero(first.is_valid().to_numpy(zero_copy_only=False))
+        nulls = np.flatnonzero(first.is_null().to_numpy(zero_copy_only=False))
+        keys = first.take(pa.array(known)).to_numpy(zero_copy_only=False)
+        strange = np.flatnonzero(keys != keys)  # NaN, which comes last
+        plain = np.flatnonzero(keys == keys)
+        order = known[plain[merge_places(keys[plain])]] if len(plain) else known[:0]
+        parts = [order, known[strange]]
+        order = np.concatenate([nulls, *parts] if spec.nulls_first else [*parts, nulls])
+        if len(names) == 1:
+            return pa.array(order)
+        values = first.take(pa.array(order))
+        same = pc.fill_null(pc.equal(values[1:], values[:-1]), False).to_numpy(zero_copy_only=False)
+        odd = ~(pc.fill_null(pc.equal(values, values), False).to_numpy(zero_copy_only=False))  # nulls and NaN: each one kind
+        lone = ~np.concatenate(([False], same | (odd[1:] & odd[:-1] & (values.is_null().to_numpy(zero_copy_only=False)[1:] == values.is_null().to_numpy(zero_copy_only=False)[:-1]))))
+        group = np.cumsum(lone)
+        tied = np.flatnonzero(np.bincount(group)[group] > 1)
+        if len(tied):  # only equal keys are put in order by their ties
+            ties = table.select(names[1:]).take(pa.array(order[tied])).add_column(0, "__group", pa.array(group[tied]))
+            order[tied] = order[tied][pc.sort_indices(ties, [(c, "ascending") for c in ties.column_names], null_placement="at_start").to_numpy()]
+        return pa.array(order)
+    keys = list(zip(*([sortable(x) for x in table[n].to_pylist()] for n in names)))
+    cuts = [0, *(i for i in range(1, len(keys)) if keys[i] < keys[i - 1]), len(keys)]
+    runs = [[(keys[i], i) for i in range(a, b)] for a, b in zip(cuts, cuts[1:])]
+    return pa.array([i for _, i in heapq.merge(*runs)])
+
+
 def merge_runs(delivered: DataFrame, spec: KeySpec) -> DataFrame:
-    """Order each partition by a heap over its natural runs: the stretches that arrive in order.
+    """Order each partition by merging its natural runs: the stretches that arrive in order.
 
-    Right whatever order blocks arrive in; the more of the senders' order survives, the fewer the runs.
-    For keys that run upwards and have no nulls; ``deliver(sort=True)`` is the way for the others.
+    One numeric key is merged in arrays, pair by pair of runs; other keys by a heap over the runs, row
+    after row.  Right whatever order blocks arrive in; the more of the senders' order survives, the fewer
+    the runs.  For orders that run upwards, nulls first in all but a single numeric key; a task holds its
+    partition.  ``deliver(sort=True)`` is the way for the others, and spills.
     """
-    import heapq
-
-    names, schema = spec.columns(), delivered.schema
     if spec.descending:
         raise ValueError("runs are merged upwards")
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [b for b in batches if b.num_rows]
-        if not held:
-            return
-        table = pa.Table.from_batches(held).combine_chunks()
-        keys = list(zip(*(table[n].to_pylist() for n in names)))
-        cuts = [0, *(i for i in range(1, len(keys)) if keys[i] < keys[i - 1]), len(keys)]
-        runs = [[(keys[i], i) for i in range(a, b)] for a, b in zip(cuts, cuts[1:])]
-        order = pa.array([i for _, i in heapq.merge(*runs)])
-        yield from table.take(order).to_batches(max_chunksize=10_000)
-
-    return delivered.mapInArrow(merge, schema)
+        if held:
+            table = pa.Table.from_batches(held).combine_chunks()
+            yield from table.take(_merged(table, spec)).to_batches(max_chunksize=10_000)
+
+    return delivered.mapInArrow(merge, delivered.schema)

@@ -8,68 +8,89 @@ from pyspark.sql import types as T
 
 from ..keys import KeySpec, comparable
 from ..placement import RANK, levels_of
+from ..shared import keep
+from . import ordered
 from .pivot_tree import PivotTree
 from .pivots import MIDPOINT, round_rows
 
-#: Beyond so many proposals in a round, one a segment and task, the rounds run on a sample.
-MAX_PROPOSALS = 100_000_000
-
-
 def compared(df: DataFrame, spec: KeySpec, ties: str) -> tuple[F.Column, T.DataType]:
     """What pivots compare under a rule for ties, and its type."""
+    if ties == "total_order" and (spec.reversed or not spec.nulls_first):
+        raise ValueError("a total order runs upwards, nulls first")
     value = spec.total() if ties == "total_order" else spec.value()
     return value, df.select(value.alias("v")).schema["v"].dataType
 
 
-def agree(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, *, tree: PivotTree | None = None, levels: int | None = None, ties: str = "left") -> PivotTree:
+def agree(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, *, tree: PivotTree | None = None, levels: int | None = None, ties: str = "left", in_order: bool = False) -> PivotTree:
     """Pivots of all levels (or of the first ``levels``), level by level, from the rows where they lie.
 
-    In each round every rank takes part for every segment; the driver sees one row a segment.
+    In each round every rank takes part for every segment; the driver sees one row a segment.  in_order:
+    each rank is one partition, sorted; ends and middles are then read by place, which moves no key.
     """
     spec.check(df)
     value, kind = compared(df, spec, ties)
     tree = tree or PivotTree((), kind, spec.reversed)
     tie = F.xxhash64(*spec.tiebreak) if spec.tiebreak else F.lit(0).cast("long")
     while tree.levels < (levels_of(p) if levels is None else levels):
-        rows = round_rows(df, value, kind, tree.segment(value, spec.nulls_first), tie)
-        found = chooser.choose(rows.where(F.col("__value").isNotNull()), kind, p).collect()  # a row a segment
-        tree = tree.extend({r["__segment"]: r["pivot"] for r in found}, kind)
+        if in_order and ordered.readable(chooser):
+            found = chooser.agreed.agree(ordered.proposals(ordered.ranks_in_order(df, spec, ties)[0], kind, tree), kind, p)
+        else:
+            rows = round_rows(df, value, kind, tree.segment(value, spec.nulls_first), tie)
+            found = chooser.choose(rows.where(F.col("__value").isNotNull()), kind, p)
+        tree = tree.extend({r["__segment"]: r["pivot"] for r in found.collect()}, kind)  # a row a segment
     return tree
 
 
-def agree_on_sample(df: DataFrame, spec: KeySpec, p: int, *, per_rank: int = 400, seed: int = 5, ties: str = "left") -> PivotTree:
-    """Pivots of all levels from one scan: a seeded sample of each rank's keys, then exact middles of the sample.
+#: So many sampled keys are ordered in one task; more are ordered by ranges.
+_IN_ONE_TASK = 1_000_000
 
-    The sample has at most p * per_rank keys, of which a rank's share scatters by about 1 / sqrt(per_rank).
-    """
-    from pyspark.sql import Window
 
+def agree_on_sample(df: DataFrame, spec: KeySpec, p: int, *, per_rank: int = 400, seed: int = 5, ties: str = "left", n: int | None = None) -> PivotTree:
+    """Pivots of all levels from one scan: a sample of the keys by seeded hash, then exact middles of the sample.
+
+    The sample has about p * per_rank keys, of which a rank's share scatters by about 1 / sqrt(per_rank).
+    n: the number of rows, which is counted if it is not given.
+    """
     spec.check(df)
     value, kind = compared(df, spec, ties)
     tie = F.xxhash64(*spec.tiebreak) if spec.tiebreak else F.lit(0).cast("long")
-    keys = df.select(RANK, comparable(value, kind).alias("v"), F.xxhash64(F.lit(seed), value, tie).alias("h")).where("v is not null")
-    part = Window.partitionBy(RANK).orderBy("h", "v")
-    sample = keys.withColumn("k", F.row_number().over(part)).where(F.col("k") <= per_rank)
-    return splitters_of(sample.select("v"), p, kind, spec.reversed)
+    share = p * per_rank / max(1, df.count() if n is None else n)
+    keys = df.select(comparable(value, kind).alias("v"), F.xxhash64(F.lit(seed), value, tie, F.col(RANK)).alias("h")).where("v is not null")
+    sample = keys if share >= 1 else keys.where(F.shiftrightunsigned("h", 1) < int(share * (1 << 63)))
+    return splitters_of(sample.select("v"), p, kind, spec.reversed, expected=p * per_rank)
 
 
-def splitters_of(keys: DataFrame, p: int, kind: T.DataType, reverse: bool = False) -> PivotTree:
-    """The tree of p - 1 evenly spaced keys of a small relation with one column ``v``; only these reach the driver."""
-    from pyspark.sql import Window
+def splitters_of(keys: DataFrame, p: int, kind: T.DataType, reverse: bool = False, expected: int | None = None) -> PivotTree:
+    """The tree of p - 1 evenly spaced keys of a relation with one column ``v``; only these reach the driver.
 
+    The i-th is at place n * i / p, counted from 1.  expected: about how many keys there are; up to a
+    million are ordered in one task, more by ranges whose counts give the places.
+    """
     if p == 1:
         return PivotTree((), kind, reverse)
+    if expected is not None and expected <= _IN_ONE_TASK:
+        every = F.sort_array(F.collect_list("v"), not reverse)
+        place = lambda i: F.greatest(F.floor(F.size("a").cast("long") * i / p).cast("int") - 1, F.lit(0))
+        found = keys.agg(every.alias("a")).select(F.transform(F.sequence(F.lit(1), F.lit(p - 1)), lambda i: F.get("a", place(i))).alias("s"), F.size("a").alias("n")).first()
+        splitters, n = found["s"], found["n"]
+        least = [i for i in range(1, p) if n * i // p]
+        splitters = [splitters[max(i, least[0] if least else 1) - 1] for i in range(1, p)]
+        return PivotTree.from_sorted(splitters, kind, reverse)
     order = F.col("v").desc() if reverse else F.col("v").asc()
-    n = keys.count()
-    wanted = sorted({(n * i) // p for i in range(1, p)} - {0})
-    ranked = keys.withColumn("k", F.row_number().over(Window.orderBy(order))).where(F.col("k").isin(wanted) if wanted else F.lit(False))
-    found = {r["k"]: r["v"] for r in ranked.collect()}
-    splitters = [found.get((n * i) // p) for i in range(1, p)]
-    known = next((x for x in splitters if x is not None), None)
-    filled = []
-    for x in splitters:  # fewer keys than ranks: the first ranks get nothing
-        filled.append(known if x is None else x)
-    return PivotTree.from_sorted(filled, kind, reverse)
+    ranged = keep(keys.repartitionByRange(order).sortWithinPartitions(order).select("v", F.spark_partition_id().alias("part"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("place")))
+    sizes = {r["part"]: r["n"] for r in ranged.groupBy("part").agg(F.count("*").alias("n")).collect()}  # a row a partition
+    before, n = {}, 0
+    for part in sorted(sizes):
+        before[part], n = n, n + sizes[part]
+    if not n:
+        return PivotTree((None,) * (p - 1), kind, reverse)
+    starts = F.create_map(*(F.lit(x) for pair in before.items() for x in pair))
+    at = F.element_at(starts, F.col("part")) + F.col("place") + 1
+    first = F.ceil(at * p / F.lit(n)).cast("long")  # the first splitter whose place is here or later
+    rows = ranged.withColumn("at", at).withColumn("i", first).where((F.floor(F.lit(n).cast("long") * F.col("i") / p) == F.col("at")) & (F.col("i") < p)).select("at", "v").collect()  # at most p - 1
+    found = {r["at"]: r["v"] for r in rows}
+    known = next((found[n * i // p] for i in range(1, p) if n * i // p), None)
+    return PivotTree.from_sorted([found.get(n * i // p, known) for i in range(1, p)], kind, reverse)
 
 
 def sketch_splitters(df: DataFrame, spec: KeySpec, p: int, accuracy: int | None = None) -> PivotTree:

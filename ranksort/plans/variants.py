@@ -8,9 +8,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..keys import KeySpec
+from ..keys import KeySpec, comparable
 from ..placement import RANK, levels_of
-from .exchange import as_segments, exchange_levels, keep
+from ..shared import keep
+from .exchange import as_segments, exchange_levels
 from .pivot_tree import SEGMENT, PivotTree
 from .pivots import MIDDLE, MIDPOINT
 from .redistribute import deliver, merge_runs, positions, with_segments
@@ -53,17 +54,17 @@ def exchange_sort_first(df: DataFrame, spec: KeySpec, p: int, chooser=MIDDLE, ti
     return Sorted(done.repartitionById(p, F.col(SEGMENT)).sortWithinPartitions(SEGMENT, *spec.orders()), done, tree, spec)
 
 
-def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left", plan: str = "iterative", per_rank: int = 400) -> Sorted:
+def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left", plan: str = "iterative", per_rank: int = 400, n: int | None = None) -> Sorted:
     """Only pivots travel; each row moves once, at the end.
 
     plan: ``iterative`` (a round a level), ``fused`` (three levels a round, by sketches), ``sample`` (all levels on
-    one sample) or ``sketch`` (one pass).
+    one sample; ``n`` spares it a count) or ``sketch`` (one pass).
     """
     spec.check(df)
     if plan == "iterative":
         tree = agree(df, spec, p, chooser, ties=ties)
     elif plan == "sample":
-        tree = agree_on_sample(df, spec, p, per_rank=per_rank, ties=ties)
+        tree = agree_on_sample(df, spec, p, per_rank=per_rank, ties=ties, n=n)
     elif plan == "fused":
         tree = agree_fused(df, spec, p)
     elif plan == "sketch":
@@ -74,17 +75,23 @@ def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOI
     return Sorted(deliver(segmented, spec, p), segmented, tree, spec)
 
 
+def _keys(local: DataFrame, spec: KeySpec) -> DataFrame:
+    """What rounds read of sorted ranks, so that they do not read whole rows at every level."""
+    thin = [RANK, *spec.columns()]
+    return local if set(thin) == set(local.columns) else keep(local.select(*thin))
+
+
 def exchange_free_sort_first(df: DataFrame, spec: KeySpec, p: int, chooser=MIDDLE, ties: str = "left", merge: str = "sort") -> Sorted:
-    """The same on ranks that sort first, so that pivots are exact middles; ends in a p-way merge.
+    """The same on ranks that sort first, so that pivots are read by place and segments split by binary search; ends in a p-way merge.
 
-    merge: ``heap`` merges the runs that arrive; ``sort`` leaves it to Spark's sort, which merges runs too.
+    The rounds read a copy of the sorted keys alone.  merge: ``heap`` merges the runs that arrive; ``sort`` leaves it to Spark's sort, which merges runs too.
     """
     spec.check(df)
-    local = keep(df.repartitionById(p, F.col(RANK)).sortWithinPartitions(*spec.orders()))
-    tree = agree(local, spec, p, chooser, ties=ties)
-    segmented = with_segments(local, spec, tree, ties)
     if merge not in ("heap", "sort"):
         raise ValueError(f"no merge is called {merge}")
+    local = keep(df.repartitionById(p, F.col(RANK)).sortWithinPartitions(*spec.orders()))
+    tree = agree(_keys(local, spec), spec, p, chooser, ties=ties, in_order=True)
+    segmented = with_segments(local, spec, tree, ties)
     rows = merge_runs(deliver(segmented, spec, p, sort=False), spec) if merge == "heap" else deliver(segmented, spec, p)
     return Sorted(rows, segmented, tree, spec)
 
@@ -120,7 +127,7 @@ def _combined(df: DataFrame, spec: KeySpec, p: int, c: float, n: int | None, cho
         moved, tree = exchange_levels(df, spec, p, level, chooser, ties=ties, order=order)
     if order and not level:
         moved = keep(moved.repartitionById(p, F.col(RANK)).sortWithinPartitions(*spec.orders()))
-    tree = agree(moved, spec, p, chooser, tree=tree if level else None, ties=ties)
+    tree = agree(_keys(moved, spec) if order else moved, spec, p, chooser, tree=tree if level else None, ties=ties, in_order=order is not None)
     segmented = with_segments(moved, spec, tree, ties)
     rows = merge_runs(deliver(segmented, spec, p, sort=False), spec) if order and merge == "heap" else deliver(segmented, spec, p)
     return Sorted(rows, segmented, tree, spec)
@@ -136,20 +143,20 @@ def combined_sort_first(df: DataFrame, spec: KeySpec, p: int, c: float = 1500, *
     return _combined(df, spec, p, c, n, chooser, ties, order, False, merge)
 
 
-def sample_sort(df: DataFrame, spec: KeySpec, p: int, per_rank: int = 32, method: str = "random", ties: str = "left") -> Sorted:
+def sample_sort(df: DataFrame, spec: KeySpec, p: int, per_rank: int = 32, method: str = "random", ties: str = "left", n: int | None = None) -> Sorted:
     """Splitters drawn at once: ``random`` takes a seeded sample of each rank, ``regular`` evenly spaced rows of each sorted rank."""
     from pyspark.sql import Window
 
     spec.check(df)
     if method == "random":
-        tree = agree_on_sample(df, spec, p, per_rank=per_rank, ties=ties)
+        tree = agree_on_sample(df, spec, p, per_rank=per_rank, ties=ties, n=n)
     elif method == "regular":
         value, kind = compared(df, spec, ties)
         part = Window.partitionBy(RANK)
-        ranked = df.select(RANK, value.alias("v"), *[F.col(x).alias(f"__o{i}") for i, x in enumerate(spec.columns())]).where("v is not null")
+        ranked = df.select(RANK, comparable(value, kind).alias("v")).where("v is not null")
         ranked = ranked.withColumns({"n": F.count("*").over(part), "k": F.row_number().over(part.orderBy("v"))})
         step = F.greatest(F.lit(1), F.floor(F.col("n") / per_rank))
-        tree = splitters_of(ranked.where((F.col("k") - 1) % step == 0).select("v"), p, kind, spec.reversed)
+        tree = splitters_of(ranked.where((F.col("k") - 1) % step == 0).select("v"), p, kind, spec.reversed, expected=2 * p * per_rank)
     else:
         raise ValueError(f"no sampling method is called {method}")
     segmented = with_segments(df, spec, tree, ties)

@@ -96,6 +96,28 @@ def test_rounds_read_the_key_alone(spark):
     assert "ReadSchema: struct<n_chars:bigint>" in plan.replace("doc_id:bigint,", "")
 
 
+def test_rounds_over_sorted_ranks_move_no_keys(spark):
+    from ranksort.plans import ordered
+
+    local = fx.UNIFORM.rows(spark, FOLDER).repartitionById(8, F.col("__rank")).sortWithinPartitions(*fx.UNIFORM.spec.orders()).checkpoint()
+    tree = agree(local, fx.UNIFORM.spec, 8, pv.MIDDLE, levels=2, in_order=True)
+    keys, kind = ordered.ranks_in_order(local, fx.UNIFORM.spec, "left")
+    read = ordered.proposals(keys, kind, tree)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in read and "Sort" not in read and "Window" not in read
+    agreed = pv.MIDDLE.agreed.agree(ordered.proposals(keys, kind, tree), kind, 8)._jdf.queryExecution().executedPlan().toString()
+    assert agreed.count("Exchange") == 1 and "Window" not in agreed
+    assert ordered.proposals(keys, kind, tree).count() == 8 * 4  # what is reduced: a row a rank and segment
+
+
+def test_a_sample_is_one_narrow_pass(spark):
+    from ranksort.plans.rounds import agree_on_sample
+
+    rows = fx.UNIFORM.rows(spark, FOLDER)
+    tree = agree_on_sample(rows, fx.UNIFORM.spec, 8, per_rank=500)
+    sizes = [r["n"] for r in with_segments(rows, fx.UNIFORM.spec, tree).groupBy("__segment").agg(F.count("*").alias("n")).collect()]
+    assert len(sizes) == 8 and max(sizes) < 1.2 * sum(sizes) / 8
+
+
 def test_schedule_and_slots(spark):
     assert schedule(spark, 8).where(partner(F.col("rank"), 1, 8) != F.col("partner")).where("level = 1").count() == 0
     assert schedule(spark, 1).count() == 0 and slots(spark, 1).count() == 0

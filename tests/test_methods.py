@@ -2,7 +2,7 @@
 
 import math
 import random
-from datetime import date, datetime
+from datetime import date, datetime, timedelta
 from decimal import Decimal
 
 import pytest
@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ranksort import verify
 from ranksort.keys import KeySpec, midpoint
 from ranksort.placement import place
+from ranksort.plans import ordered
 from ranksort.plans import pivots as pv
 from ranksort.plans import variants as v
 from ranksort.plans.pivot_tree import SEGMENT
@@ -218,3 +219,124 @@ def test_positions_of_many_segments(spark, monkeypatch):
     done = v.exchange_free_quicksort(frame(spark, inputs()["skewed"]), SPEC, 4)
     assert sorted(r[POSITION] for r in done.with_positions().collect()) == list(range(120))
     assert [r["k"] for r in sorted(done.with_positions().collect(), key=lambda r: r[POSITION])] == sorted(inputs()["skewed"])
+
+
+MANY = 2048
+
+
+def many_keys():
+    nan = float("nan")
+    start = datetime(2020, 1, 1)
+    return {
+        "string": ([f"k{(i * 7919) % 30_011:05d}" for i in range(6_000)], "string", ()),
+        "timestamp": ([start + timedelta(seconds=(i * 7919) % 30_011) for i in range(6_000)], "timestamp", ()),
+        "decimal": ([Decimal((i * 7919) % 30_011) / 100 for i in range(6_000)], "decimal(12,2)", ()),
+        "long": ([(i * 7919) % 30_011 - 15_000 for i in range(6_000)], "long", ()),
+        "descending with NaN": ([nan if i % 97 == 0 else float((i * 7919) % 30_011) for i in range(6_000)], "double", ("k",)),
+        "NaN": ([nan if i % 97 == 0 else float((i * 7919) % 30_011) for i in range(6_000)], "double", ()),
+    }
+
+
+@pytest.mark.parametrize("name", [*many_keys(), "total order"])
+def test_many_segments_agree_with_few(spark, name, monkeypatch):
+    """Beyond a thousand segments a key lies where the nested conditions would put it."""
+    values, kind, down = many_keys()["long" if name == "total order" else name]
+    values = [x % 5 for x in values] if name == "total order" else values
+    spec, ties = KeySpec("k", ("id",), down), "total_order" if name == "total order" else "left"
+    df = frame(spark, values, kind, 8)
+    tree = v.exchange_free_quicksort(df, spec, MANY, plan="sample", per_rank=8, ties=ties).tree
+    assert tree.segments == MANY
+    value = spec.total() if ties == "total_order" else spec.value()
+    found = [r[0] for r in df.select(tree.segment(value).alias("s")).collect()]
+    monkeypatch.setattr("ranksort.plans.pivot_tree.FOLDED", MANY)
+    folded = [r[0] for r in df.select(tree.segment(value).alias("s")).collect()]
+    assert found == folded and len(set(found)) > 1_000
+    if ties == "left":
+        beyond = (lambda k, x: k < x) if down else (lambda k, x: k > x)
+        for k, s in list(zip(values, found))[::301]:
+            plain = not (isinstance(k, float) and math.isnan(k))
+            assert s == (sum(beyond(k, x) for x in tree.in_order()) if plain else (0 if down else MANY - 1))
+
+
+@pytest.mark.parametrize("kind", ["double", "long", "string", "timestamp", "date", "decimal(12,2)", "boolean", "binary"])
+@pytest.mark.parametrize("down", [False, True])
+def test_places_in_sorted_ranks_are_what_windows_find(spark, kind, down):
+    rng = random.Random(4)
+    make = {
+        "double": lambda: rng.choice([float(rng.randrange(40)), float("nan"), -0.0, math.inf]), "long": lambda: rng.randrange(-50, 50), "string": lambda: rng.choice(["", "é", "a", "Z"]) + str(rng.randrange(9)),
+        "timestamp": lambda: datetime(2020, 1, 1) + timedelta(hours=rng.randrange(900)), "date": lambda: date(2020, 1, 1) + timedelta(days=rng.randrange(99)),
+        "decimal(12,2)": lambda: Decimal(rng.randrange(9_999)) / 100, "boolean": lambda: rng.random() < 0.4, "binary": lambda: bytes([rng.randrange(256)]),
+    }[kind]
+    values = [None if rng.random() < 0.1 else make() for _ in range(150)]
+    spec = KeySpec("k", ("id",), ("k",) if down else ())
+    df = frame(spark, values, kind, 4)
+    local = df.repartitionById(4, F.col("__rank")).sortWithinPartitions(*spec.orders()).cache()
+    for chooser in (pv.MIDDLE, pv.Chooser(pv.MiddleElement(), pv.Designated(1)), *([pv.MIDPOINT] if kind in ("double", "long", "timestamp") else [])):
+        assert agree(local, spec, 4, chooser, in_order=True).pivots == agree(df, spec, 4, chooser).pivots
+    tree = agree(local, spec, 4, pv.MIDDLE, in_order=True)
+    counts = {(r["rank"], r["segment"]): r["stop"] - r["start"] for r in ordered.bounds(local, spec, tree).collect()}
+    known = with_segments(df.where("k is not null and not (cast(k as string) <=> 'NaN')" if kind == "double" else "k is not null"), spec, tree).groupBy("__rank", SEGMENT).count().collect()
+    assert counts == {(r["__rank"], r[SEGMENT]): r["count"] for r in known}
+    local.unpersist()
+
+
+def test_places_of_composite_and_total_keys(spark):
+    rng = random.Random(9)
+    rows = [(i, rng.choice([None, "a", "b"]), rng.choice([None, 1.0, 2.5]), datetime(2020, 1, 1 + rng.randrange(9))) for i in range(200)]
+    df = place(spark.createDataFrame(rows, "id long, a string, b double, t timestamp"), 4, F.col("id") * 5 + 1)
+    for spec, ties in ((KeySpec(("a", "b", "t"), ("id",)), "left"), (KeySpec("a", ("t", "id")), "total_order")):
+        local = df.repartitionById(4, F.col("__rank")).sortWithinPartitions(*spec.orders())
+        assert agree(local, spec, 4, pv.MIDDLE, ties=ties, in_order=True).pivots == agree(df, spec, 4, pv.MIDDLE, ties=ties).pivots
+    with pytest.raises(ValueError):
+        agree(df, KeySpec("b", ("id",), ("b",)), 4, pv.MIDDLE, ties="total_order")
+
+
+@pytest.mark.parametrize("nulls_first", [True, False])
+def test_merging_runs_with_nulls_and_ties(spark, nulls_first):
+    rng = random.Random(2)
+    for kind, values in (("double", [rng.choice([None, 1.0, 2.0, float("nan"), float(rng.randrange(30))]) for _ in range(300)]), ("long", [rng.choice([None, rng.randrange(20)]) for _ in range(300)]), ("string", [rng.choice([None, "a", "b", "ab"]) for _ in range(300)])):
+        if kind == "string" and not nulls_first:
+            continue
+        spec = KeySpec("k", ("id",), nulls_first=nulls_first)
+        done = v.exchange_free_sort_first(frame(spark, values, kind), spec, 4, merge="heap")
+        plain = v.exchange_free_sort_first(frame(spark, values, kind), spec, 4)
+        assert [(repr(r["k"]), r["id"]) for r in done.rows.collect()] == [(repr(r["k"]), r["id"]) for r in plain.rows.collect()]
+
+
+def test_two_runs_and_many():
+    import numpy as np
+
+    from ranksort.plans.redistribute import merge_places, merge_two
+
+    keys = np.array([1, 4, 4, 9, 0, 4, 5, 9])
+    assert keys[merge_two(keys, np.arange(4), np.arange(4, 8))].tolist() == sorted(keys.tolist())
+    assert merge_two(keys, np.arange(4), np.arange(4, 8)).tolist() == [4, 0, 1, 2, 5, 6, 3, 7]
+    rng = np.random.default_rng(1)
+    for n in (0, 1, 2, 500):
+        keys = rng.integers(0, 50, n)
+        assert merge_places(keys).tolist() == np.argsort(keys, kind="stable").tolist()
+
+
+@pytest.mark.parametrize("kind", ["double", "long", "string"])
+def test_exact_medians(spark, kind):
+    rng = random.Random(8)
+    values = [rng.randrange(300) // rng.choice([1, 40]) for _ in range(700)]
+    values = [{"double": float, "long": int, "string": str}[kind](x) for x in values]
+    df = frame(spark, values, kind, 8)
+    tree, parts = agree(df, SPEC, 4, pv.ExactMedian(50)), [sorted(values)]
+    for level in range(2):
+        for s, part in enumerate(parts):
+            assert tree.pivots[(1 << level) + s - 1] == part[(len(part) + 1) // 2 - 1]
+        parts = [half for s, part in enumerate(parts) for half in ([x for x in part if x <= tree.pivots[(1 << level) + s - 1]], [x for x in part if x > tree.pivots[(1 << level) + s - 1]])]
+
+
+def test_splitters_by_ranges_and_in_one_task(spark, monkeypatch):
+    df = frame(spark, [float((i * 7919) % 1_009) for i in range(900)], p=8)
+    for down in ((), ("k",)):
+        spec = KeySpec("k", ("id",), down)
+        one = v.sample_sort(df, spec, 16, per_rank=20).tree
+        monkeypatch.setattr("ranksort.plans.rounds._IN_ONE_TASK", 0)
+        assert v.sample_sort(df, spec, 16, per_rank=20).tree == one and len(set(one.pivots)) == 15
+        every = sorted((r["k"] for r in df.collect()), reverse=bool(down))
+        assert v.sample_sort(df, spec, 16, per_rank=10_000).tree.in_order() == [every[900 * i // 16 - 1] for i in range(1, 16)]
+        monkeypatch.undo()
