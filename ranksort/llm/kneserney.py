@@ -2,14 +2,16 @@
 
 Words are 64-bit hashes.  A task adds up the n-grams of its texts before anything is shuffled and
 packs them, sorted and compressed, into one row a bucket; a bucket holds whole contexts (all n-grams
-with the same words before the last), so its contexts' sums need no other.  Frequent one-word
-contexts (and the empty one) are dealt over all buckets by the n-gram's last word, and their sums
-added up afterwards.  Every distinct n-gram of an order gives one continuation count to its tail, an
-n-gram of the order below.
+with the same words before the last), so its contexts' sums need no other.  Contexts of any length
+that are seen more than ``hot_tokens`` times (and the empty one) are dealt over all buckets by the
+n-gram's last word, and their sums added up afterwards.  Every distinct n-gram of an order gives one
+continuation count to its tail, an n-gram of the order below.
 
 A bucket's n-grams are written as arrays sorted by a hash of context and word, keys and counts, and
-its contexts likewise, keys and sums.  Workers map the files into memory and look up all n-grams of
-a batch of texts, sorted, at once.
+its contexts likewise, keys and sums.  Some buckets share a file, a *volume*, which ends in an index of
+its arrays; the model lists the volumes, and one that is listed and missing is an error.  Workers map
+volumes into memory, a bounded number at a time, and look up all n-grams of a batch of texts, sorted,
+at once.
 
     p_k(w | c) = max(count(c w) - D, 0) / count(c .) + gamma(c) * p_(k-1)(w | shorter c)
 
@@ -24,10 +26,13 @@ count at most; repeated rows are training data and scored like any other; extra
 
 from __future__ import annotations
 
-import io
-import os
+import json
+import math
+import mmap
+import shutil
+import sys
+import tempfile
 import uuid
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -36,17 +41,20 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .storage import Files, materialize, scratch
+from .storage import Files, materialize, release, scratch
 from .warc import file_system
-from .words import lower, numbered, numbering, pieces, sums
+from .words import joined, pieces, sums, words_of
 
 #: Hashes of the end token and the start mark; no word has them but by chance of 2^-63.
 END, START = np.uint64(0x5DEECE66D1234567), np.uint64(0xC2B2AE3D27D4EB4F)
 _MIX = np.uint64(0x9E3779B97F4A7C15)
-#: Bytes of text that are numbered at once; counts that a task holds; and n-grams that a bucket holds on average.
+#: Bytes of text that are numbered at once; counts that a task holds; n-grams that a bucket holds on average;
+#: buckets of a volume at most; and volumes that a worker maps at once.
 _PIECE = 8 << 20
 _HELD = 2_000_000
 _IN_BUCKET = 1_000_000
+_IN_VOLUME = 8
+_MAPPED = 4_000
 
 
 def mix(value: np.ndarray) -> np.ndarray:
@@ -86,14 +94,13 @@ class Numbered:
 def number(texts: list[bytes]) -> Numbered:
     from xxhash import xxh64_intdigest
 
-    numbers = numbering()
-    split = [lower(t).split() for t in texts]
-    words, word_starts = numbered(split, numbers)
-    hashes = np.append(np.fromiter(map(xxh64_intdigest, numbers), np.uint64, len(numbers)), [END, START])
+    spans, _ = words_of(*joined(texts, lowered=True))
+    words, distinct = spans.numbers()
+    hashes = np.append(np.fromiter(map(xxh64_intdigest, distinct.to_pylist()), np.uint64, len(distinct)), [END, START])
     order = np.argsort(hashes)
     rank = np.empty(len(hashes), np.int64)
     rank[order] = np.arange(len(hashes))
-    starts = word_starts + np.arange(len(texts) + 1)
+    starts = spans.starts + np.arange(len(texts) + 1)
     tokens = np.full(starts[-1], rank[-2], np.int64)
     inside = np.ones(starts[-1], bool)
     inside[starts[1:] - 1] = False
@@ -151,11 +158,14 @@ class Model:
     """Where the arrays are, and the numbers that all workers need.
 
     hot: sums (total, n1, n2, n3) of the contexts that are dealt over all buckets, by order and context.
+    volumes: the files that were written, by kind.
     """
 
     folder: str
     order: int
     buckets: int
+    in_volume: int
+    volumes: dict[str, frozenset[int]]
     n_tokens: int
     n_types: int
     dealt: tuple[int, ...]
@@ -239,73 +249,137 @@ def pack_by_bucket(columns: list[np.ndarray], counts: np.ndarray, buckets: int,
         yield pa.RecordBatch.from_arrays([pa.array([b], pa.int32()), pa.array([pack([c[own] for c in columns], counts[own])], pa.binary())], ["bucket", "data"])
 
 
+def _hot_contexts(texts: DataFrame, text: str, order: int, hot_words: np.ndarray, bound: float) -> np.ndarray:
+    """Contexts of two words up to order - 1 that are seen over ``bound`` times: all their words are hot, so only such are counted."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for some in pieces(batch.column(0), _PIECE):
+                found = number(some)
+                hot, all_hot = np.isin(found.hashes, hot_words), np.ones(len(found.tokens), bool)
+                before = []
+                for back in range(1, order):
+                    before.insert(0, found.before(back))
+                    all_hot &= hot[before[0]]
+                    if back > 1 and all_hot.any():
+                        at = np.flatnonzero(all_hot)
+                        (keys,), counts = add_up([context_hash([found.hashes[w[at]] for w in before], len(at))], np.ones(len(at), np.int64))
+                        yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(counts)], ["context", "n"])
+
+    counted = texts.select(text).mapInArrow(count, "context long, n long").groupBy("context").agg(F.sum("n").alias("n"))
+    return np.array([r["context"] for r in counted.where(F.col("n") > bound).collect()], np.int64).view(np.uint64)  # tokens / bound for each length
+
+
 _MERGED = "kind string, bucket int, data binary, context long, a long, b long, c long, d long"
 
 
-def _merged(packed: DataFrame, order: int, folder: str, buckets: int, hot: np.ndarray) -> DataFrame:
-    """Adds up each bucket and stores its arrays.
+def _by_volume(rows: DataFrame, buckets: int, in_volume: int) -> DataFrame:
+    """Rows by volume, a volume a task, buckets in turn."""
+    volume = F.floor(F.col("bucket") / in_volume).cast("int")
+    return rows.withColumn("volume", volume).repartitionById(-(-buckets // in_volume), F.col("volume")).drop("volume").sortWithinPartitions("bucket")
+
+
+def _each_bucket(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, pa.Table]]:
+    """Bucket by bucket, all its rows."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        buckets = batch["bucket"].to_numpy()
+        cuts = [0, *(np.flatnonzero(np.diff(buckets)) + 1).tolist(), len(buckets)]
+        for a, b in zip(cuts, cuts[1:]):
+            if a == b:
+                continue
+            if held and held[-1]["bucket"][0].as_py() != buckets[a]:
+                yield held[0]["bucket"][0].as_py(), pa.Table.from_batches(held)
+                held = []
+            held.append(batch.slice(a, b - a))
+    if held:
+        yield held[0]["bucket"][0].as_py(), pa.Table.from_batches(held)
 
-    Rows by kind: ``order``, how many n-grams have the counts 1 to 4 (a to d); ``hot``, the bucket's part
-    of a hot context's sums; ``tails``, packed counts of the order below, for bucket ``bucket``.
+
+def _merged(packed: DataFrame, order: int, folder: str, buckets: int, in_volume: int, hot: np.ndarray) -> DataFrame:
+    """Adds up each bucket and stores its arrays: contexts, their sums, n-grams' keys and counts.
+
+    Rows by kind: ``volume``, a file that was written; ``order``, how many n-grams have the counts 1 to 4
+    (a to d); ``hot``, the bucket's part of a hot context's sums; ``tails``, packed counts of the order
+    below, for bucket ``bucket``.
     """
     names = [c.split()[0] for c in _MERGED.split(", ")]
     schema = pa.schema([("kind", pa.string()), ("bucket", pa.int32()), ("data", pa.binary()), *((n, pa.int64()) for n in names[3:])])
 
-    def merge(table: pa.Table) -> pa.Table:
-        b = table["bucket"][0].as_py()
-        parts = [unpack(data.as_py(), order) for data in table["data"]]
-        columns, counts = add_up([np.concatenate([p[0][k] for p in parts]) for k in range(order)], np.concatenate([p[1] for p in parts]))
-        del parts
-        hashed = context_hash(columns[:-1], len(counts))
-        by_context = np.argsort(hashed, kind="stable")
-        found, totals = _totals(hashed[by_context], counts[by_context])
-        shared = np.isin(found, hot)
-        rows = [dict(zip(names, ("order", b, None, None, *(int((counts == k).sum()) for k in range(1, 5)))))]
-        rows += [dict(zip(names, ("hot", b, None, int(c.astype(np.int64)), *map(int, totals[:, k])))) for k, c in zip(np.flatnonzero(shared), found[shared])]
-        _save(folder, f"contexts{order}-{b}", found[~shared], _small(totals[:, ~shared]))
-        keys = chain(hashed, columns[-1])
-        by_key = np.argsort(keys)
-        _save(folder, f"grams{order}-{b}", keys[by_key], _small(counts[by_key]))
-        if order > 1:
-            for batch in pack_by_bucket(*add_up(columns[1:], np.ones(len(counts), np.int64)), buckets, hot):
-                rows.append({"kind": "tails", "bucket": batch["bucket"][0].as_py(), "data": batch["data"][0].as_py()})
-        return pa.Table.from_pylist(rows, schema)
-
-    return packed.repartitionById(buckets, F.col("bucket")).groupBy("bucket").applyInArrow(merge, _MERGED)  # a bucket a task
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        volume = None
+        for b, table in _each_bucket(batches):
+            volume = volume or _Volume(folder, f"order{order}", b // in_volume)
+            parts = [unpack(data.as_py(), order) for data in table["data"]]
+            columns, counts = add_up([np.concatenate([p[0][k] for p in parts]) for k in range(order)], np.concatenate([p[1] for p in parts]))
+            del parts
+            hashed = context_hash(columns[:-1], len(counts))
+            by_context = np.argsort(hashed, kind="stable")
+            found, totals = _totals(hashed[by_context], counts[by_context])
+            shared = np.isin(found, hot)
+            rows = [dict(zip(names, ("order", b, None, None, *(int((counts == k).sum()) for k in range(1, 5)))))]
+            rows += [dict(zip(names, ("hot", b, None, int(c.astype(np.int64)), *map(int, totals[:, k])))) for k, c in zip(np.flatnonzero(shared), found[shared])]
+            keys = chain(hashed, columns[-1])
+            by_key = np.argsort(keys)
+            volume.add(b, found[~shared], _small(totals[:, ~shared]), keys[by_key], _small(counts[by_key]))
+            del hashed, keys, by_key, by_context
+            yield from pa.Table.from_pylist(rows, schema).to_batches()
+            if order > 1:
+                for batch in pack_by_bucket(*add_up(columns[1:], np.ones(len(counts), np.int64)), buckets, hot):
+                    yield pa.RecordBatch.from_pylist([{"kind": "tails", "bucket": batch["bucket"][0].as_py(), "data": batch["data"][0].as_py()}], schema)
+        if volume is not None:
+            yield pa.RecordBatch.from_pylist([{"kind": "volume", "bucket": volume.close()}], schema)
+
+    return _by_volume(packed, buckets, in_volume).mapInArrow(merge, _MERGED)
 
 
 def _small(counts: np.ndarray) -> np.ndarray:
     return counts.astype(np.uint32 if counts.max(initial=0) < 1 << 32 else np.uint64)
 
 
-def _save(folder: str, name: str, *arrays: np.ndarray) -> None:
-    """Arrays as one file, put in place by a rename, so that a repeated task only replaces it by the same."""
-    system, base = file_system(folder)
-    draft = f"{base}/.{name}-{uuid.uuid4().hex}"
-    for k, array in enumerate(arrays):
-        buffer = io.BytesIO()
-        np.save(buffer, array)
-        with system.open_output_stream(f"{draft}.{k}") as out:
-            out.write(buffer.getbuffer())
-        system.move(f"{draft}.{k}", f"{base}/{name}.{k}.npy")
+class _Volume:
+    """A file of arrays, put in place by a rename, so that a repeated task only replaces it by the same."""
 
+    def __init__(self, folder: str, kind: str, number: int):
+        self.number = number
+        self.system, base = file_system(folder)
+        self.path, self.draft = f"{base}/{kind}-{number}", f"{base}/.{kind}-{number}-{uuid.uuid4().hex}"
+        self.out, self.at, self.index = self.system.open_output_stream(self.draft), 0, {}
 
-def _load(folder: str, name: str, k: int, mapped: bool = True) -> np.ndarray:
-    """An array of ``_save``: mapped into memory, from a copy beside the worker if the folder is not local."""
+    def add(self, bucket: int, *arrays: np.ndarray) -> None:
+        for array in arrays:
+            gap = -self.at % 64
+            data = np.ascontiguousarray(array)
+            self.out.write(bytes(gap))
+            self.out.write(pa.py_buffer(data) if data.size else b"")
+            self.index.setdefault(bucket, []).append((self.at + gap, data.dtype.str, data.shape))
+            self.at += gap + data.nbytes
+
+    def close(self) -> int:
+        index = json.dumps(self.index).encode()
+        self.out.write(index + len(index).to_bytes(8, "little"))
+        self.out.close()
+        self.system.move(self.draft, self.path)
+        return self.number
+
+
+def _map(folder: str, kind: str, number: int) -> dict[int, list[np.ndarray]]:
+    """A volume's arrays by bucket, mapped into memory: from a nameless copy beside the worker if the folder is not local."""
     system, base = file_system(folder)
-    path = f"{base}/{name}.{k}.npy"
-    if system.type_name != "local":
-        own = os.path.join(os.environ.get("TMPDIR", "/tmp"), f"{zlib.crc32(path.encode()):08x}-{name}.{k}.npy")
-        if not os.path.exists(own):
-            with system.open_input_stream(path) as source, open(own + ".part", "wb") as out:
-                while part := source.read(1 << 20):
-                    out.write(part)
-            os.replace(own + ".part", own)
-        path = own
-    try:
-        return np.load(path, mmap_mode="r" if mapped else None)
-    except FileNotFoundError:
-        return np.empty(0, np.uint64)
+    path = f"{base}/{kind}-{number}"
+    if system.type_name == "local":
+        file = open(path, "rb")
+    else:
+        file = tempfile.TemporaryFile()
+        with system.open_input_stream(path) as source:
+            shutil.copyfileobj(source, file, 1 << 20)
+        file.flush()
+    with file:
+        options = {"trackfd": False} if sys.version_info >= (3, 13) else {}  # a map then keeps no descriptor
+        data = mmap.mmap(file.fileno(), 0, access=mmap.ACCESS_READ, **options)
+    end = len(data) - 8
+    index = json.loads(data[end - int.from_bytes(data[end:], "little") : end])
+    return {int(b): [np.frombuffer(data, np.dtype(kind), math.prod(shape), at).reshape(shape) for at, kind, shape in arrays] for b, arrays in index.items()}
 
 
 def _totals(contexts: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -316,13 +390,13 @@ def _totals(contexts: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.nd
     return contexts[at], np.stack([np.add.reduceat(x.astype(np.int64), at) for x in (counts, counts == 1, counts == 2, counts >= 3)])
 
 
-def train(texts: DataFrame, *, text: str = "text", order: int = 2, hot_share: float = 0.002, in_bucket: int | None = None) -> Model:
+def train(texts: DataFrame, *, text: str = "text", order: int = 2, in_bucket: int | None = None, hot_tokens: int | None = None) -> Model:
     """Count ``texts`` and write the model's arrays to a new shared folder.
 
-    hot_share: contexts with a larger share of the tokens are dealt over all buckets; there are at
-    most 1 / hot_share of them, which bounds what the driver gathers.  in_bucket: n-grams that a bucket
-    holds on average, a task's memory against the number of files; a million by default, and more
-    where tokens go into the trillions.
+    in_bucket: n-grams that a bucket holds on average, a task's memory against the number of buckets; a
+    million by default, and more where tokens go into the trillions.  hot_tokens: contexts that are seen
+    more often are dealt over all buckets, by default a quarter of ``in_bucket``; there are at most
+    tokens / hot_tokens of each length, which bounds what the driver gathers: four a bucket.
     """
     if order < 2:
         raise ValueError("the order is 2 or more")
@@ -332,58 +406,80 @@ def train(texts: DataFrame, *, text: str = "text", order: int = 2, hot_share: fl
     files.make(folder)
     words = materialize(_unigrams(texts, text), "kneser-ney-words")
     n_tokens, n_types = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    buckets = max(1, -(-n_tokens // (in_bucket or _IN_BUCKET)))
-    often = words.where(F.col("n") > hot_share * n_tokens).select("word").collect()
+    in_bucket = in_bucket or _IN_BUCKET
+    hot_tokens = max(1, in_bucket // 4) if hot_tokens is None else hot_tokens
+    buckets = max(1, -(-n_tokens // in_bucket))
+    in_volume = min(_IN_VOLUME, max(1, buckets // 64))
+    often = words.where(F.col("n") > hot_tokens).select("word").collect()
     single = np.array([START, *np.array([r["word"] for r in often], np.int64).view(np.uint64)], np.uint64)
-    hot = np.sort(np.append(context_hash([single], len(single)), np.uint64(0)))  # zero: the empty context of order 1
-    _write_words(words, folder, buckets)
-    d, sums_of = {}, {}
-    packed = _packed(texts, text, order, buckets, hot)
+    hot = [context_hash([single], len(single)), np.zeros(1, np.uint64)]  # zero: the empty context of order 1
+    if order > 2:
+        hot.append(_hot_contexts(texts, text, order, single, hot_tokens))
+    hot = np.sort(np.concatenate(hot))
+    d, sums_of, volumes = {}, {}, {"words": _write_words(words, folder, buckets, in_volume)}
+    release(words)
+    packed, before = _packed(texts, text, order, buckets, hot), None
     for k in range(order, 0, -1):
-        merged = materialize(_merged(packed, k, folder, buckets, hot), f"kneser-ney-{k}")
+        merged = materialize(_merged(packed, k, folder, buckets, in_volume, hot), f"kneser-ney-{k}")
+        if before is not None:
+            release(before)
         n = [F.sum(c) for c in "abcd"]
         d[k] = discounts([x or 0 for x in merged.where("kind = 'order'").agg(*n).first()])
         sums_of[k] = {r[0] % (1 << 64): tuple(r[1:]) for r in merged.where("kind = 'hot'").groupBy("context").agg(*n).collect()}
-        packed = merged.where("kind = 'tails'").select("bucket", "data")
-    return Model(folder, order, buckets, n_tokens, n_types, tuple(hot.tolist()), d, sums_of)
+        volumes[f"order{k}"] = frozenset(r["bucket"] for r in merged.where("kind = 'volume'").select("bucket").collect())  # a row a file
+        packed, before = merged.where("kind = 'tails'").select("bucket", "data"), merged
+    release(before)
+    return Model(folder, order, buckets, in_volume, volumes, n_tokens, n_types, tuple(hot.tolist()), d, sums_of)
 
 
-def _write_words(words: DataFrame, folder: str, buckets: int) -> None:
-    """Token counts as sorted arrays, one file a bucket."""
+def _write_words(words: DataFrame, folder: str, buckets: int, in_volume: int) -> frozenset[int]:
+    """Token counts as sorted arrays; the volumes that have any."""
 
-    def write(table: pa.Table) -> pa.Table:
-        keys, counts = table["word"].to_numpy().view(np.uint64), table["n"].to_numpy()
-        order = np.argsort(keys)
-        _save(folder, f"words-{table['bucket'][0].as_py()}", keys[order], counts[order])
-        return pa.table({"n": [len(keys)]})
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        volume = None
+        for b, table in _each_bucket(batches):
+            volume = volume or _Volume(folder, "words", b // in_volume)
+            keys, counts = table["word"].to_numpy().view(np.uint64), table["n"].to_numpy()
+            order = np.argsort(keys)
+            volume.add(b, keys[order], counts[order])
+        if volume is not None:
+            yield pa.RecordBatch.from_pydict({"volume": pa.array([volume.close()], pa.int32())})
 
     own = words.select((F.call_function("shiftrightunsigned", "word", F.lit(32)) % F.lit(buckets)).cast("int").alias("bucket"), "word", "n")
-    own.repartitionById(buckets, F.col("bucket")).groupBy("bucket").applyInArrow(write, "n long").agg(F.sum("n")).collect()
+    return frozenset(r["volume"] for r in _by_volume(own, buckets, in_volume).mapInArrow(write, "volume int").collect())
 
 
 # --- scoring ---
 
 
 class Arrays:
-    """The model's arrays, mapped into memory by one task."""
+    """The model's arrays, mapped into memory by one task: the ``_MAPPED`` volumes last used."""
 
     def __init__(self, model: Model):
         self.model = model
         self.dealt = np.array(model.dealt, np.uint64)
-        self._maps: dict[str, tuple[np.ndarray, np.ndarray]] = {}
-
-    def look_up(self, kind: str, bucket: np.ndarray, keys: np.ndarray, rows: int = 1) -> np.ndarray:
-        """The values of keys, 0 where there is none; ``rows`` of them each."""
+        self._maps: dict[tuple[str, int], dict[int, list[np.ndarray]]] = {}
+
+    def _arrays(self, kind: str, bucket: int) -> list[np.ndarray] | None:
+        volume = kind, bucket // self.model.in_volume
+        if volume[1] not in self.model.volumes[kind]:
+            return None
+        found = self._maps.pop(volume, None) or _map(self.model.folder, *volume)
+        if len(self._maps) >= _MAPPED:
+            self._maps.pop(next(iter(self._maps)))
+        self._maps[volume] = found
+        return found.get(bucket)
+
+    def look_up(self, kind: str, first: int, bucket: np.ndarray, keys: np.ndarray, rows: int = 1) -> np.ndarray:
+        """The values of keys, 0 where there is none; ``rows`` of them each.  first: which of a bucket's arrays has the keys."""
         out = np.zeros((rows, len(keys)))
         by_key = np.argsort(keys)
         order, edges = by_bucket(bucket[by_key], self.model.buckets)
         order = by_key[order]
         for b in np.flatnonzero(np.diff(edges)).tolist():
-            name = f"{kind}-{b}"
-            if name not in self._maps:
-                self._maps[name] = _load(self.model.folder, name, 0), _load(self.model.folder, name, 1)
-            known, values = self._maps[name]
-            if len(known):
+            arrays = self._arrays(kind, b)
+            if arrays is not None and len(arrays[first]):
+                known, values = arrays[first : first + 2]
                 own = order[edges[b] : edges[b + 1]]
                 at = np.minimum(np.searchsorted(known, keys[own]), len(known) - 1)
                 hit = known[at] == keys[own]
@@ -392,18 +488,18 @@ class Arrays:
 
     def counts(self, words: np.ndarray) -> np.ndarray:
         """How often words were seen in training."""
-        return self.look_up("words", ((words >> np.uint64(32)) % np.uint64(self.model.buckets)).astype(np.int64), words)[0]
+        return self.look_up("words", 0, ((words >> np.uint64(32)) % np.uint64(self.model.buckets)).astype(np.int64), words)[0]
 
     def sums(self, k: int, distinct: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Total and backing-off weight of contexts; 0 and 1 for one that was never seen."""
-        found = self.look_up(f"contexts{k}", bucket_of(distinct, distinct, self.model.buckets, np.empty(0, np.uint64)), distinct, 4)
+        found = self.look_up(f"order{k}", 0, bucket_of(distinct, distinct, self.model.buckets, np.empty(0, np.uint64)), distinct, 4)
         for i in np.flatnonzero(np.isin(distinct, self.dealt)).tolist():
             found[:, i] = self.model.hot[k].get(int(distinct[i]), (0, 0, 0, 0))
         total = found[0]
         return total, np.where(total > 0, np.array(self.model.d[k]) @ found[1:] / np.maximum(total, 1), 1.0)
 
     def _level(self, k: int, context: np.ndarray, words: np.ndarray, total: np.ndarray, gamma: np.ndarray, lower: np.ndarray) -> np.ndarray:
-        count = self.look_up(f"grams{k}", bucket_of(context, words, self.model.buckets, self.dealt), chain(context, words))[0]
+        count = self.look_up(f"order{k}", 2, bucket_of(context, words, self.model.buckets, self.dealt), chain(context, words))[0]
         return (count - _discount(count.astype(np.int64), self.model.d[k])) / np.maximum(total, 1) + gamma * lower
 
     def probability(self, found: Numbered) -> np.ndarray:

@@ -33,7 +33,15 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    kept = spark.read.schema(df.schema).parquet(path)
+    kept.scratch_path = path
+    return kept
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete what ``materialize`` wrote, once nothing that is still to be run reads it."""
+    for table in tables:
+        Files(table.sparkSession, table.scratch_path).remove(table.scratch_path)
 
 
 def unused(columns: list[str], name: str) -> str:

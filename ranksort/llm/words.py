@@ -2,10 +2,8 @@
 
 from __future__ import annotations
 
-from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
-from itertools import count
 
 import numpy as np
 import pyarrow as pa
@@ -59,10 +57,11 @@ _IS_BLANK = np.zeros(256, bool)
 _IS_BLANK[list(BLANKS)] = True
 
 
-def joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+def joined(texts: list[bytes], lowered: bool = False) -> tuple[np.ndarray, np.ndarray]:
     """The texts' bytes, a line break after each, and where each starts (one more entry than texts)."""
     ends = np.cumsum(np.fromiter((len(t) + 1 for t in texts), np.int64, len(texts)))
-    return np.frombuffer(b"\n".join([*texts, b""]), np.uint8), np.concatenate(([0], ends))
+    whole = b"\n".join([*texts, b""])
+    return np.frombuffer(lower(whole) if lowered else whole, np.uint8), np.concatenate(([0], ends)).astype(np.int64)
 
 
 def words_of(raw: np.ndarray, begins: np.ndarray) -> tuple[Spans, np.ndarray]:
@@ -80,22 +79,6 @@ def lines_of(raw: np.ndarray, begins: np.ndarray) -> tuple[Spans, np.ndarray]:
     return Spans(raw, stops, np.searchsorted(first, begins)), first
 
 
-def numbering() -> defaultdict:
-    """A dictionary that numbers what it is asked for, from 0."""
-    return defaultdict(count().__next__)
-
-
-def numbered(split: list[list[bytes]], numbers: defaultdict) -> tuple[np.ndarray, np.ndarray]:
-    """All words' numbers in one array, and where each text starts in it (one more entry than texts)."""
-    starts = np.zeros(len(split) + 1, np.int64)
-    np.cumsum([len(w) for w in split], out=starts[1:])
-    ids = np.empty(starts[-1], np.int64)
-    look = numbers.__getitem__
-    for words, at in zip(split, starts):
-        ids[at : at + len(words)] = np.fromiter(map(look, words), np.int64, len(words))
-    return ids, starts
-
-
 def sums(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
     """Sum of the values of each text (0 for an empty one)."""
     total = np.zeros(len(values) + 1, values.dtype if values.dtype.kind == "f" else np.int64)

@@ -106,3 +106,36 @@ def test_packing_and_empty_training(spark):
     assert kn.score(empty, model).count() == 0
     with pytest.raises(ValueError):
         kn.train(empty, order=1)
+
+
+def test_hot_contexts_of_two_words_are_dealt(spark, monkeypatch):
+    texts = [" ".join(["of the"] * 40 + [f"w{i}"]) for i in range(60)] + corpus(4)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    monkeypatch.setattr(kn, "_IN_BUCKET", 400)
+    model = kn.train(df, order=3)
+    from xxhash import xxh64_intdigest
+
+    pair = kn.context_hash([np.array([xxh64_intdigest(w)], np.uint64) for w in ("of", "the")], 1)[0]
+    assert int(pair) in model.dealt and int(pair) in model.hot[3] and model.buckets > 4
+    brute = Brute(texts, 3)
+    for r in kn.score(df, model).collect()[::7]:
+        own = ["<s>", "<s>", *tokens(texts[r.doc_id])]
+        assert r.lm.score == pytest.approx(sum(math.log10(brute.p(tuple(own[i - 2 : i]), own[i])) for i in range(2, len(own))), rel=1e-9)
+
+
+def test_a_lost_file_is_an_error(spark, monkeypatch):
+    import os
+
+    df = spark.createDataFrame([(t,) for t in corpus(5)], "text string")
+    monkeypatch.setattr(kn, "_IN_BUCKET", 100)
+    model = kn.train(df)
+    folder = model.folder.removeprefix("file:")
+    names = [n for n in os.listdir(folder) if not n.startswith(".")]
+    assert sorted(names) == sorted(f"{kind}-{v}" for kind, volumes in model.volumes.items() for v in volumes)
+    monkeypatch.setattr(kn, "_MAPPED", 1)
+    arrays = kn.Arrays(model)
+    found = kn.number([t.encode() for t in corpus(5)])
+    assert (arrays.probability(found) == kn.Arrays(model).probability(found)).all() and len(arrays._maps) == 1
+    os.remove(f"{folder}/{names[0]}")
+    with pytest.raises(Exception, match="No such file"):
+        kn.score(df, model).collect()
