@@ -20,10 +20,10 @@ import math
 import uuid
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql.types import StructType
 
-from .storage import Files
+from .storage import Files, unused
 
 
 @dataclass(frozen=True)
@@ -51,6 +51,10 @@ class Manifest:
         return Manifest(raw["version"], raw["schema"], tuple(Run(**r) for r in raw["runs"]))
 
 
+class _Merged(Exception):
+    """Another writer has merged these runs."""
+
+
 class ShardStore:
     """A table kept as runs.
 
@@ -86,21 +90,38 @@ class ShardStore:
 
     def append(self, arrival: DataFrame) -> int:
         """Add one arrival as a run of small shards; returns the committed version."""
-        run = self._write(arrival)
-        schema = arrival.schema.json()
-
+        self._fits(self.manifest(), arrival.schema)
+        return self._add(self._write(arrival), arrival.schema)
+
+    def append_parts(self, arrivals: DataFrame, part: Column) -> list[int]:
+        """Add several arrivals in one scan: the rows of each value of ``part``, in turn, as a run and a version."""
+        self._fits(self.manifest(), arrivals.schema)
+        column, folder = unused(arrivals.columns, "part"), self.files.at("runs", f".{uuid.uuid4().hex}")
+        arrivals.withColumn(column, part).write.partitionBy(column).parquet(folder)
+        parts = sorted((n for n in self.files.names(folder) if n.startswith(f"{column}=")), key=lambda n: (not n[len(column) + 1 :].isdigit(), len(n), n))
+        versions = []
+        for name in parts:
+            run = uuid.uuid4().hex
+            self.files.publish(f"{folder}/{name}", self.files.at("runs", run))
+            versions.append(self._add(self._measure(run, arrivals.schema), arrivals.schema))
+        self.files.remove(folder)
+        return versions or [self._add(Run("", 0, 0, 0), arrivals.schema)]
+
+    def _fits(self, now: Manifest, schema: StructType) -> None:
+        if now.schema and [(f.name, f.dataType) for f in StructType.fromJson(json.loads(now.schema))] != [(f.name, f.dataType) for f in schema]:
+            raise ValueError("the arrival's columns differ from the store's")
+
+    def _add(self, run: Run, schema: StructType) -> int:
         def change(now: Manifest) -> Manifest:
-            if now.schema and [(f.name, f.dataType) for f in StructType.fromJson(json.loads(now.schema))] != [(f.name, f.dataType) for f in arrival.schema]:
-                raise ValueError("the arrival's columns differ from the store's")
-            return Manifest(now.version + 1, now.schema or schema, now.runs + ((run,) if run.rows else ()))
+            self._fits(now, schema)
+            return Manifest(now.version + 1, now.schema or schema.json(), now.runs + ((run,) if run.rows else ()))
 
         return self._commit(change)
 
     def compact(self) -> list[int]:
         """Merge while some tier holds ``fanout`` runs or more; returns the versions it committed."""
         committed = []
-        while group := self._due(self.manifest()):
-            now = self.manifest()
+        while group := self._due(now := self.manifest()):
             names, size = {r.name for r in group}, sum(r.size for r in group)
             merged = self._write(self._load(now, group).coalesce(max(1, round(size / self.target_bytes))))
             if merged.rows != sum(r.rows for r in group):
@@ -108,10 +129,13 @@ class ShardStore:
 
             def change(latest: Manifest, names=names, merged=merged) -> Manifest:
                 if not names <= {r.name for r in latest.runs}:
-                    raise RuntimeError("another writer has merged these runs")
+                    raise _Merged
                 return Manifest(latest.version + 1, latest.schema, tuple(r for r in latest.runs if r.name not in names) + (merged,))
 
-            committed.append(self._commit(change))
+            try:
+                committed.append(self._commit(change))
+            except _Merged:
+                self.files.remove(self.files.at("runs", merged.name))
         return committed
 
     def vacuum(self, keep_versions: int = 1) -> list[str]:
@@ -141,8 +165,12 @@ class ShardStore:
         name = uuid.uuid4().hex
         folder = self.files.at("runs", name)
         rows.write.parquet(folder)
+        return self._measure(name, rows.schema)
+
+    def _measure(self, name: str, schema: StructType) -> Run:
+        folder = self.files.at("runs", name)
         sizes = self.files.sizes(folder)
-        counted = self.spark.read.schema(rows.schema).parquet(folder).count() if sizes else 0
+        counted = self.spark.read.schema(schema).parquet(folder).count() if sizes else 0
         return Run(name, counted, sum(sizes.values()), len(sizes))
 
     def _manifest_path(self, version: int) -> str:
