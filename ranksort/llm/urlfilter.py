@@ -24,7 +24,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .storage import materialize
+from .storage import materialize, unused
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _WORD = 64
@@ -58,20 +58,20 @@ class Rule:
 RULES_IN_PLAN = 500
 
 
-def _by_rules(df: DataFrame, rules: list[Rule], host: str, path: str) -> DataFrame:
-    """Adds __rule, the longest that fits (ties: the smaller string), and __ruled, its verdict."""
+def _by_rules(df: DataFrame, rules: list[Rule], host: str, path: str, hit: str) -> DataFrame:
+    """Adds ``hit``, the verdict and the rule that is the longest that fits (ties: the smaller string)."""
     spark = df.sparkSession
     if len(rules) <= RULES_IN_PLAN:
         chosen = F.lit(None).cast("struct<verdict:string,rule:string>")
         for r in sorted(rules, key=lambda r: (len(r.rule), [-ord(c) for c in r.rule])):
             fits = ((F.col(host) == r.host) | F.endswith(F.col(host), F.lit("." + r.host))) & F.startswith(F.col(path), F.lit(r.path))
             chosen = F.when(fits, F.struct(F.lit(r.verdict).alias("verdict"), F.lit(r.rule).alias("rule"))).otherwise(chosen)
-        return df.withColumn("__hit", chosen).withColumns({"__rule": F.col("__hit.rule"), "__ruled": F.col("__hit.verdict")}).drop("__hit")
+        return df.withColumn(hit, chosen)
     table = spark.createDataFrame([(r.host, r.path, r.rule, r.verdict, len(r.rule)) for r in rules], "__s string, __p string, __r string, __v string, __n int")
     places = df.select(host, path).distinct()
     hits = places.withColumn("__s", F.explode(suffixes(F.col(host)))).join(table, "__s").where(F.startswith(F.col(path), F.col("__p")))
-    best = hits.groupBy(host, path).agg(F.min(F.struct((-F.col("__n")).alias("n"), "__r", "__v")).alias("__hit"))
-    return df.join(best, [host, path], "left").withColumns({"__rule": F.col("__hit.__r"), "__ruled": F.col("__hit.__v")}).drop("__hit")
+    best = hits.groupBy(host, path).agg(F.min(F.struct((-F.col("__n")).alias("n"), "__r", "__v")).alias("b"))
+    return df.join(best.select(host, path, F.struct(F.col("b.__v").alias("verdict"), F.col("b.__r").alias("rule")).alias(hit)), [host, path], "left")
 
 
 def suffixes(host: Column) -> Column:
@@ -163,9 +163,9 @@ def build_cascade(marked: DataFrame, *, max_filter_bytes: int = 32 << 20, seed:
         n_hashes = max(1, round(-math.log2(rate)))
         n_bits = max(_WORD, _WORD * math.ceil(side * n_hashes / math.log(2) / _WORD))
         sizes.append((n_bits, n_hashes, seed + len(levels)))
-        found = {r["word"]: r["bits"] for r in _fill(encode, *sizes[-1]).collect()}  # within the checked bound
-        dense = spark.createDataFrame([([found.get(i, 0) for i in range(n_bits // _WORD)],)], "bits array<bigint>")
-        levels.append(dense)
+        every = spark.range(n_bits // _WORD).join(_fill(encode, *sizes[-1]), F.col("id") == F.col("word"), "left")
+        cells = F.sort_array(F.collect_list(F.struct("id", F.coalesce("bits", F.lit(0).cast("long")).alias("bits"))))
+        levels.append(materialize(every.agg(F.transform(cells, lambda c: c["bits"]).alias("bits")), "url-bits"))  # within the checked bound
         mistaken = materialize(against.where(Cascade(levels[-1:], sizes[-1:]).has(F.col("key"))), "url-level")
         encode, against, other = mistaken, encode, side
         side = mistaken.count()
@@ -182,11 +182,13 @@ def judge(df: DataFrame, rules: list[Rule], listed: DataFrame, *, url: str = "ur
     host, path = host_and_path(F.col(url))
     placed = df.withColumns({"host": host, "path": path})
     marked = materialize(mark_listed(placed.select(F.col("host").alias("key")).where("key <> ''").distinct(), listed), "url-keys")
-    ruled = _by_rules(placed, rules, "host", "path")
+    hit, in_list = unused(placed.columns, "hit"), unused(placed.columns, "in_list")
+    ruled = _by_rules(placed, rules, "host", "path", hit)
     try:
         by_list = build_cascade(marked, max_filter_bytes=max_filter_bytes).has(F.col("host"))
     except OverflowError:
-        ruled = ruled.join(marked.select(F.col("key").alias("host"), F.col("listed").alias("__listed")), "host", "left")
-        by_list = F.coalesce("__listed", F.lit(False))
-    verdict = F.coalesce(F.col("__ruled"), F.when((F.col("host") != "") & by_list, "block").otherwise("allow"))
-    return ruled.withColumns({"rule": F.col("__rule"), "verdict": verdict}).drop("__rule", "__ruled", "__listed")
+        ruled = ruled.join(marked.select(F.col("key").alias("host"), F.col("listed").alias(in_list)), "host", "left")
+        by_list = F.coalesce(in_list, F.lit(False))
+    verdict = F.coalesce(F.col(f"{hit}.verdict"), F.when((F.col("host") != "") & by_list, "block").otherwise("allow"))
+    kept = [c for c in placed.columns if c not in ("rule", "verdict")]
+    return ruled.select(*kept, F.col(f"{hit}.rule").alias("rule"), verdict.alias("verdict"))
