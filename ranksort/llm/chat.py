@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .storage import materialize, unused
+from .storage import materialize, release, unused
 
 # The opening and closing mark of each role; any other role is written out in its mark.
 MARKS = {"user": ("[INST]", "[/INST]"), "assistant": ("[ASST]", "</s>"), "system": ("[SYS]", "[/SYS]")}
@@ -78,22 +78,23 @@ def parse(formatted: str) -> list[tuple[str, str]]:
     return turns
 
 
-def _jumps(links: DataFrame) -> tuple[list[DataFrame], DataFrame]:
-    """Jump tables (tree, node, up, total, steps) of 1, 2, 4, ... steps, ``up`` null beyond the root, and the last one.
+def _jumps(links: DataFrame) -> tuple[list[DataFrame], DataFrame, int]:
+    """Jump tables (tree, node, up, total, steps) of 1, 2, 4, ... steps, ``up`` null beyond the root, the last one, and how many messages there are.
 
     total and steps: the sum and the number of the scores from the message up to where the jump ends.
     """
     present = links.select("tree", F.col("node").alias("parent"), F.lit(True).alias("known"))
     first = links.join(present, ["tree", "parent"], "left").select("tree", "node", F.when(F.col("known"), F.col("parent")).alias("up"), F.col("points").alias("total"), F.lit(1).cast("long").alias("steps"))
-    jump, tables, step = materialize(first, "chat-jump"), [], 1
-    largest = links.groupBy("tree").count().agg(F.max("count")).first()[0] or 0
+    largest, n = links.groupBy("tree").count().agg(F.max("count"), F.sum("count")).first()
+    largest, n = largest or 0, n or 0
+    jump, tables, step = materialize(first, "chat-jump", n), [], 1
     while jump.where("up is not null").limit(1).count() and step < 2 * largest:
         tables.append(jump)
         onward = jump.select("tree", F.col("node").alias("up"), F.col("up").alias("top"), F.col("total").alias("more"), F.col("steps").alias("further"))
         doubled = jump.where("up is not null").join(onward, ["tree", "up"]).select("tree", "node", F.col("top").alias("up"), (F.col("total") + F.col("more")).alias("total"), (F.col("steps") + F.col("further")).alias("steps"))
-        jump = materialize(jump.where("up is null").unionByName(doubled), "chat-jump")
+        jump = materialize(jump.where("up is null").unionByName(doubled), "chat-jump", n)
         step *= 2
-    return tables, jump
+    return tables, jump, n
 
 
 def _best(scored: DataFrame, top: int, salts: int) -> DataFrame:
@@ -110,18 +111,19 @@ def paths(links: DataFrame, *, top: int | None = None, salts: int = 64) -> DataF
     links: (tree, node, parent, points), one row a message.  A path's score is the mean of its messages'.
     The rank is 1 for all without ``top``.
     """
-    tables, ends = _jumps(links)
+    tables, ends, n = _jumps(links)
     whole = ends.where("up is null")  # the others lead into a cycle
     inner = tables[0].where("up is not null").select("tree", F.col("up").alias("node")).distinct() if tables else None
     leaves = whole.join(inner, ["tree", "node"], "left_anti") if tables else whole
     scored = leaves.select("tree", F.col("node").alias("leaf"), (F.col("total") / F.col("steps")).alias("score"))
     chosen = scored.withColumn("branch_rank", F.lit(1)) if top is None else _best(scored, top, salts)
     columns = ["tree", "leaf", "branch_rank", "score"]
-    found = materialize(chosen.select(*columns, F.col("leaf").alias("node"), F.lit(0).cast("long").alias("above")), "chat-paths")
+    found = materialize(chosen.select(*columns, F.col("leaf").alias("node"), F.lit(0).cast("long").alias("above")), "chat-paths", n)
     for k, jump in enumerate(tables):
         up = jump.where("up is not null").select("tree", "node", "up")
         further = found.join(up, ["tree", "node"]).select(*columns, F.col("up").alias("node"), (F.col("above") + (1 << k)).alias("above"))
-        found = materialize(found.unionByName(further), "chat-paths")
+        before, found = found, materialize(found.unionByName(further), "chat-paths", n)
+        release(before, jump)
     return found
 
 
@@ -140,7 +142,7 @@ def conversations(
     links = materialize(rows.groupBy("tree", "node").agg(F.min("parent").alias("parent"), F.max("points").alias("points"), F.count("*").alias("rows")), "chat-links")
     way = paths(links, top=top, salts=salts)
     body = named.select(F.col(tree).alias("tree"), F.col(node).alias("node"), F.coalesce(F.col(role), F.lit("")).alias("role"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    large = materialize(links.groupBy("tree").agg(F.sum("rows").alias("rows")).where(F.col("rows") > whole_tree).select("tree"), "chat-large")
+    large = links.groupBy("tree").agg(F.sum("rows").alias("rows")).where(F.col("rows") > whole_tree).select("tree")
     n_large = large.limit(max_broadcast + 1).count()
     if not n_large:
         return _by_tree(body, way, keep_repeats)

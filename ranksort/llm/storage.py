@@ -28,11 +28,19 @@ def scratch(spark: SparkSession, label: str) -> str:
     return f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts the lineage and survives lost executors."""
+#: Rows of a table of ids that one task writes, and tasks at least.
+_ROWS_A_FILE, _FILES = 500_000, 8
+
+
+def materialize(df: DataFrame, label: str, rows: int | None = None) -> DataFrame:
+    """Write ``df`` to the shared folder and read it back: cuts the lineage and survives lost executors.
+
+    rows: about how many short rows there are, where that is known: they are then written by as many tasks
+    as they need, and not in a file a shuffle partition.
+    """
     spark = df.sparkSession
     path = scratch(spark, label)
-    df.write.parquet(path)
+    (df if rows is None else df.coalesce(max(_FILES, rows // _ROWS_A_FILE))).write.parquet(path)
     kept = spark.read.schema(df.schema).parquet(path)
     kept.scratch_path = path
     return kept
