@@ -34,11 +34,8 @@ def op1_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     if first is None:
         store.append(documents)
     else:
-        width = (last - first) // ARRIVALS + 1
-        for k in range(ARRIVALS):
-            low = first + k * width
-            within = (F.col("doc_id") >= low) & (F.col("doc_id") < low + width)
-            store.append(documents.where(within | F.col("doc_id").isNull() if k == 0 else within))
+        arrival = F.floor((F.col("doc_id") - first) / ((last - first) // ARRIVALS + 1)).cast("int")
+        store.append_parts(documents, F.coalesce(arrival, F.lit(0)))
     store.compact()
     store.vacuum()
     return store.read().select("doc_id", "lang", "source", "n_chars", F.sha2("text", 256).alias("text_sha256"))

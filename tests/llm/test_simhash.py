@@ -42,7 +42,7 @@ def test_trie_pairs_against_all_pairs(bits, n):
     values = np.unique(np.concatenate([values, values ^ (np.uint64(1) << rng.integers(0, 63, len(values)).astype(np.uint64))]))
     cut = len(values) // 3
     for budget in range(4):
-        pairs = sh.trie_pairs(values, np.array([0, cut, len(values)]), budget)
+        pairs = np.concatenate([np.empty((0, 2), np.int64), *sh.trie_pairs(values[:, None], np.array([0, cut, len(values)]), budget)])
         i, j = np.triu_indices(len(values), 1)
         near = (np.bitwise_count(values[i] ^ values[j]) <= budget) & ((i < cut) == (j < cut))
         assert sorted(map(tuple, pairs.tolist())) == sorted(zip(i[near].tolist(), j[near].tolist()))
@@ -52,7 +52,8 @@ def test_fingerprints(sf):
     import pyarrow.parquet as pq
 
     texts = pq.read_table(f"{sf}/documents.parquet")["text"].to_pylist()[:40] + ["", " \t", "One", "one two", "A b C", "é" * 9, "x y z " * 40_000]
-    assert [sh.fingerprint(t.encode()) for t in texts] == [brute_fingerprint(t) for t in texts]
+    assert [int(sh.fingerprint(t.encode())[0]) for t in texts] == [brute_fingerprint(t) for t in texts]
+    assert [int(sh.fingerprint(t.encode(), lanes=5)[0]) for t in texts[::9]] == [brute_fingerprint(t) for t in texts[::9]]
 
 
 @pytest.mark.parametrize("budget", [0, 2, 3])
@@ -95,3 +96,69 @@ def test_operator_and_defined_cases(spark, sf):
     assert all(r.component_id == expected[r.doc_id] for r in rows if r.doc_id is not None)
     assert [r.component_id for r in rows if r.doc_id is None] == [-5]
     assert sh.near_duplicates(docs.limit(0)).count() == 0
+
+
+def brute_lanes(text, shingle, lanes):
+    words = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
+    hashes = [xxhash.xxh64_intdigest(" ".join(words[i : i + shingle]).encode(), 42) for i in range(max(1, len(words) - shingle + 1))] if words else []
+    out, full = 0, (1 << 64) - 1
+    for lane in range(lanes):
+        own = []
+        for h in hashes:
+            z = (h + lane * 0x9E3779B97F4A7C15) & full
+            if lane:
+                z = (z ^ z >> 30) * 0xBF58476D1CE4E5B9 & full
+                z = (z ^ z >> 27) * 0x94D049BB133111EB & full
+                z ^= z >> 31
+            own.append(z)
+        out = out << 64 | sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in own) > len(own))
+    return out
+
+
+def test_lanes_against_brute_force(spark, monkeypatch):
+    """Links over several lanes are the pairs within the budget that agree on a block."""
+    rng, word, lanes, width, budget = random.Random(7), lambda: f"w{rng.randrange(4000)}", 4, 8, 40
+    texts = [[word() for _ in range(80)] for _ in range(40)]
+    for t in list(texts):
+        for changes in (1, 2, 3):
+            near = list(t)
+            for _ in range(changes):
+                near[rng.randrange(80)] = word()
+            texts.append(near)
+    texts = [" ".join(t) for t in texts] + ["", None, "one"]
+    prints = {i: brute_lanes(t, 5, lanes) for i, t in enumerate(texts)}
+    assert [sum(int(x) << 64 * (lanes - 1 - k) for k, x in enumerate(sh.fingerprint((t or "").encode(), 5, lanes=lanes))) for t in texts] == list(prints.values())
+    parent = {i: i for i in prints}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for i in prints:
+        for j in prints:
+            other = prints[i] ^ prints[j]
+            if i < j and other.bit_count() <= budget and any(other >> at & 255 == 0 for at in range(0, 64 * lanes, width)):
+                a, b = root(i), root(j)
+                parent[max(a, b)] = min(a, b)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    for together in (200_000, 10):
+        monkeypatch.setattr(sh, "_TOGETHER", together)
+        found = {r.doc_id: r.component_id for r in sh.near_duplicates(df, budget=budget, shingle=5, lanes=lanes, width=width).collect()}
+        assert found == {i: root(i) for i in prints} and 43 <= len(set(found.values())) < 120
+    marked = sh.fingerprints(df, shingle=5, lanes=lanes).selectExpr("doc_id as node", "fingerprint").where("node < 160")
+    hot = {r.node: r.root for r in sh.components(sh.links(marked, node="node", budget=budget, lanes=lanes, width=width, hot_group=1)).collect()}
+    assert all(root(a) == root(b) for a, b in hot.items()) and len(hot) > 60
+
+
+def test_forest_keeps_components(spark):
+    rng = np.random.default_rng(3)
+    edges = rng.integers(0, 300, (400, 2))
+    whole, parts = sh.Forest(300), sh.Forest(300)
+    whole.add(edges)
+    for at in range(0, 400, 7):
+        parts.add(edges[at : at + 7])
+    assert (whole.root == parts.root).all() and len(whole.links()) == len(parts.links()) == 300 - len(set(whole.root.tolist()))
+    again = sh.Forest(300)
+    again.add(parts.links())
+    assert (again.root == whole.root).all()
