@@ -18,6 +18,7 @@ os.environ["PYTHONPATH"] = os.pathsep.join(x for x in (ROOT, os.environ.get("PYT
 FOLDER = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
 REPETITIONS = int(os.environ.get("BENCH_REPS", "3"))
+MANY = 128
 
 
 def main() -> None:
@@ -44,12 +45,20 @@ def main() -> None:
         "exchange_quicksort": lambda: v.exchange_quicksort(rows, fx.UNIFORM.spec, p).rows,
         "exchange_sort_first": lambda: v.exchange_sort_first(rows, fx.UNIFORM.spec, p).rows,
         "exchange_free_quicksort": lambda: v.exchange_free_quicksort(rows, fx.UNIFORM.spec, p).rows,
-        "exchange_free_on_sample": lambda: v.exchange_free_quicksort(rows, fx.UNIFORM.spec, p, plan="sample").rows,
+        "exchange_free_on_sample": lambda: v.exchange_free_quicksort(rows, fx.UNIFORM.spec, p, plan="sample", n=n).rows,
         "exchange_free_sketch": lambda: v.exchange_free_quicksort(rows, fx.UNIFORM.spec, p, plan="sketch").rows,
         "exchange_free_sort_first": lambda: v.exchange_free_sort_first(rows, fx.UNIFORM.spec, p).rows,
         "combined_quicksort": lambda: v.combined_quicksort(rows, fx.UNIFORM.spec, p, n=n).rows,
         "combined_sort_first": lambda: v.combined_sort_first(rows, fx.UNIFORM.spec, p, n=n).rows,
-        "sample_sort": lambda: v.sample_sort(rows, fx.UNIFORM.spec, p).rows,
+        "sample_sort": lambda: v.sample_sort(rows, fx.UNIFORM.spec, p, n=n).rows,
+    }
+    # so many ranks that the combined variants exchange first: two levels at 600 000 rows
+    many = fx.UNIFORM.rows(spark, FOLDER, MANY).cache()
+    many.count()
+    sorts |= {
+        f"exchange_quicksort_{MANY}": lambda: v.exchange_quicksort(many, fx.UNIFORM.spec, MANY).rows,
+        f"exchange_free_quicksort_{MANY}": lambda: v.exchange_free_quicksort(many, fx.UNIFORM.spec, MANY).rows,
+        f"combined_quicksort_{MANY}": lambda: v.combined_quicksort(many, fx.UNIFORM.spec, MANY, n=n).rows,
     }
     found: dict[str, float] = {}
     for name, make in sorts.items():
@@ -59,13 +68,16 @@ def main() -> None:
     ratios = {
         "exchange_over_exchange_free": ledger.relative_factor(found["exchange_quicksort"], found["exchange_free_quicksort"]),
         "exchange_over_exchange_free_sort_first": ledger.relative_factor(found["exchange_sort_first"], found["exchange_free_sort_first"]),
+        "sort_first_over_quicksort": ledger.relative_factor(found["exchange_free_sort_first"], found["exchange_free_quicksort"]),
+        "combined_over_better_pure": found[f"combined_quicksort_{MANY}"] / min(found[f"exchange_quicksort_{MANY}"], found[f"exchange_free_quicksort_{MANY}"]),
+        "sample_sort_over_native": found["sample_sort"] / found["native_sort"],
         "native_over_exchange_free": found["native_sort"] / found["exchange_free_quicksort"],
         "speedup_exchange_free": ledger.speedup(found["local_sort"], found["exchange_free_quicksort"]),
         "efficiency_exchange_free": ledger.efficiency(found["local_sort"], found["exchange_free_quicksort"], int(CPUS)),
     }
     print(json.dumps({
         "metric": "total of the best times", "value": round(sum(found.values()), 3), "unit": "sec", "queries": found, "sf": FOLDER.rstrip("/").rpartition("sf")[2],
-        "rows": n, "ranks": p, "rows_per_second_exchange_free": round(n / found["exchange_free_quicksort"]), "ratios": {k: round(x, 3) for k, x in ratios.items()},
+        "rows": n, "ranks": p, "levels_of_combined": v.switch_level(n, MANY), "rows_per_second_exchange_free": round(n / found["exchange_free_quicksort"]), "ratios": {k: round(x, 3) for k, x in ratios.items()},
     }))
     spark.stop()
 

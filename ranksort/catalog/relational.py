@@ -73,6 +73,13 @@ def top_k(spark, folder):
     return order.top_k(rows, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, P), 100).select(*fx.UNIFORM.columns)
 
 
+@query("bottom_k", "SELECT l_orderkey, l_linenumber, l_extendedprice FROM lineitem ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber LIMIT 100")
+def bottom_k(spark, folder):
+    """The last hundred rows: the leading segments of the downward order."""
+    rows, spec = fx.UNIFORM.rows(spark, folder), KeySpec("l_extendedprice", ("l_orderkey", "l_linenumber"), ("l_extendedprice",))
+    return order.top_k(rows, spec, agree(rows, spec, P), 100).select(*fx.UNIFORM.columns)
+
+
 @query("top_k_group", "SELECT c_mktsegment, c_custkey, c_acctbal, place FROM (SELECT *, CAST(row_number() OVER (PARTITION BY c_mktsegment ORDER BY c_acctbal DESC, c_custkey) AS INTEGER) AS place FROM customer) WHERE place <= 5")
 def top_k_group(spark, folder):
     spec = KeySpec("c_acctbal", ("c_custkey",), ("c_acctbal",))
@@ -177,7 +184,8 @@ def join_broadcast(spark, folder):
 @query("join_theta", "SELECT n_nationkey, r_regionkey FROM nation JOIN region ON n_regionkey < r_regionkey")
 def join_theta(spark, folder):
     """An inequality between two small tables of fixed size."""
-    return load(spark, folder, "nation").join(F.broadcast(load(spark, folder, "region")), F.col("n_regionkey") < F.col("r_regionkey")).select("n_nationkey", "r_regionkey")
+    nations, regions = load(spark, folder, "nation"), load(spark, folder, "region")
+    return joins.join(nations, regions, F.col("n_regionkey") < F.col("r_regionkey"), strategy="broadcast").select("n_nationkey", "r_regionkey")
 
 
 _BANDS = [(f"b{i}", 800.0 + 90 * i, 800.0 + 90 * i + 150) for i in range(20)]
@@ -222,6 +230,12 @@ def join_left(spark, folder):
     return joins.join(orders, lines, F.col("o_orderkey") == F.col("l_orderkey"), "left").select("o_orderkey", "l_linenumber")
 
 
+@query("join_right", "SELECT c_custkey, s_suppkey FROM customer RIGHT JOIN supplier ON c_custkey = s_suppkey * 3 AND c_acctbal > 0")
+def join_right(spark, folder):
+    customers, suppliers = load(spark, folder, "customer"), load(spark, folder, "supplier")
+    return joins.join(customers, suppliers, (F.col("c_custkey") == F.col("s_suppkey") * 3) & (F.col("c_acctbal") > 0), "right").select("c_custkey", "s_suppkey")
+
+
 @query("join_full", "SELECT c_custkey, s_suppkey FROM customer FULL JOIN supplier ON c_custkey = s_suppkey * 3")
 def join_full(spark, folder):
     return joins.join(load(spark, folder, "customer"), load(spark, folder, "supplier"), F.col("c_custkey") == F.col("s_suppkey") * 3, "full").select("c_custkey", "s_suppkey")
@@ -271,6 +285,18 @@ def agg_positional(spark, folder):
     return load(spark, folder, "customer").groupBy("c_mktsegment").agg(F.min_by("c_custkey", "c_acctbal").alias("poorest"), F.max_by("c_custkey", "c_acctbal").alias("richest"), F.count("c_custkey").cast("int").alias("n"))
 
 
+@query(
+    "agg_first_last",
+    """SELECT user_id, first(event_id ORDER BY ts, event_id) AS first_event, last(event_id ORDER BY ts, event_id) AS last_event, array_to_string(list(event_id ORDER BY ts, event_id), ',') AS events, m.event_type AS usual
+    FROM events JOIN (SELECT user_id AS u, event_type FROM (SELECT user_id, event_type, row_number() OVER (PARTITION BY user_id ORDER BY count(*) DESC, event_type) AS k FROM events GROUP BY user_id, event_type) WHERE k = 1) m ON m.u = user_id GROUP BY user_id, m.event_type""",
+)
+def agg_first_last(spark, folder):
+    """First, last and all of a group in order, and its most frequent value (ties: the smallest)."""
+    at, events = F.struct("ts", "event_id"), load(spark, folder, "events")
+    every = F.array_join(F.transform(F.sort_array(F.collect_list(at)), lambda x: x["event_id"].cast("string")), ",")
+    return events.groupBy("user_id").agg(F.min_by("event_id", at).alias("first_event"), F.max_by("event_id", at).alias("last_event"), every.alias("events"), F.mode("event_type", True).alias("usual"))
+
+
 @query("agg_extremes_sample")
 def agg_extremes_sample(spark, folder):
     """The mergeable aggregate of ends and a bounded sample."""
@@ -392,10 +418,16 @@ def fn_conditional(spark, folder):
     return load(spark, folder, "customer").select("c_custkey", F.coalesce(F.nullif("c_mktsegment", F.lit("BUILDING")), F.lit("none")).alias("s"), F.when(F.col("c_acctbal") < 0, 0.0).otherwise(F.col("c_acctbal")).alias("b"), F.greatest("c_custkey", F.lit(100)).alias("g"))
 
 
-@query("fn_hash")
+@query("fn_hash", "SELECT o_orderkey, md5(CAST(o_orderkey AS VARCHAR)) AS m, sha256(o_orderpriority) AS s FROM orders")
 def fn_hash(spark, folder):
-    """The hashes that placement and ties use."""
-    return load(spark, folder, "orders").select("o_orderkey", F.xxhash64("o_orderkey").alias("x"), F.md5(F.col("o_orderkey").cast("string")).alias("m"))
+    """Digests."""
+    return load(spark, folder, "orders").select("o_orderkey", F.md5(F.col("o_orderkey").cast("string").cast("binary")).alias("m"), F.sha2("o_orderpriority", 256).alias("s"))
+
+
+@query("fn_xxhash")
+def fn_xxhash(spark, folder):
+    """The hash that placement and ties use."""
+    return load(spark, folder, "orders").select("o_orderkey", F.xxhash64("o_orderkey").alias("x"))
 
 
 # --- sources, sinks, SQL surface ---
@@ -479,3 +511,79 @@ def stream_runs(spark, folder):
     routing.run_sink(stream, fx.SKEWED.spec, tree, path, scratch(spark, "runs-state")).awaitTermination()
     merged = routing.compact_runs(spark, path, fx.SKEWED.spec, tree)
     return positions(merged, merged, fx.SKEWED.spec).select("event_id", "value", F.col(POSITION).alias("pos"))
+
+
+def _micros(column: str) -> str:
+    return f"epoch_us({column})"
+
+
+@query(
+    "stream_sliding",
+    f"""{_STREAMED}, w AS (SELECT unnest([epoch_us(ts) // 1800000000 * 1800, epoch_us(ts) // 1800000000 * 1800 - 1800]) AS opens, s FROM {sql.last(P)})
+    SELECT CAST(opens AS BIGINT) AS opens, CAST(s AS INTEGER) AS segment, count(*) AS n FROM w GROUP BY ALL""",
+)
+def stream_sliding(spark, folder):
+    """Rows a segment in windows of an hour that open every half hour."""
+    stream, tree = _event_stream(spark, folder)
+    load_of = routing.segment_load(routing.route_stream(stream, fx.SKEWED.spec, tree), "ts", width="1 hour", slide="30 minutes", late="40 days")
+    flat = load_of.select(F.unix_seconds("window.start").alias("opens"), "segment", "n")
+    return routing.run_to_end(flat, f"sliding_{uuid.uuid4().hex}", scratch(spark, "sliding"), "complete")
+
+
+@query(
+    "stream_sessions",
+    f"""{_STREAMED}, o AS (SELECT s, {_micros('ts')} AS t, CASE WHEN {_micros('ts')} - lag({_micros('ts')}) OVER w < 600000000 THEN 0 ELSE 1 END AS fresh FROM {sql.last(P)} WINDOW w AS (PARTITION BY s ORDER BY ts)),
+    g AS (SELECT s, t, sum(fresh) OVER (PARTITION BY s ORDER BY t ROWS UNBOUNDED PRECEDING) AS k FROM o) SELECT CAST(s AS INTEGER) AS segment, CAST(min(t) AS BIGINT) AS opens, count(*) AS n FROM g GROUP BY s, k""",
+)
+def stream_sessions(spark, folder):
+    """Rows a segment in sessions that end after ten minutes without any."""
+    stream, tree = _event_stream(spark, folder)
+    load_of = routing.segment_load(routing.route_stream(stream, fx.SKEWED.spec, tree), "ts", gap="10 minutes", late="40 days")
+    flat = load_of.select("segment", F.unix_micros("window.start").alias("opens"), "n")
+    return routing.run_to_end(flat, f"sessions_{uuid.uuid4().hex}", scratch(spark, "sessions"), "complete")
+
+
+_BATCHES = "SELECT event_id, user_id, value, ts, CASE event_id % 10 WHEN 0 THEN 2 WHEN 9 THEN 1 ELSE 0 END AS batch FROM events"
+
+
+def _late_stream(spark: SparkSession, folder: str) -> DataFrame:
+    """The events in three batches: most, then every tenth, and then another tenth, which is late by then.
+
+    A batch's late rows are told by the watermark that stood before the batch before it.
+    """
+    path, events = scratch(spark, "late"), load(spark, folder, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "value")
+    for some in ("event_id % 10 between 1 and 8", "event_id % 10 = 9", "event_id % 10 = 0"):
+        events.where(some).coalesce(1).write.mode("append").parquet(path)
+    return tables.read_stream(spark, path, events.schema)
+
+
+@query(
+    "stream_late_rows",
+    f"""WITH b AS ({_BATCHES}), m AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM b WHERE batch = 0)
+    SELECT CAST(epoch_us(date_trunc('day', ts)) // 1000000 AS BIGINT) AS opens, count(*) AS n FROM b, m WHERE batch < 2 OR date_trunc('day', ts) + INTERVAL 1 DAY > mark GROUP BY ALL""",
+)
+def stream_late_rows(spark, folder):
+    """Rows a day, where those of days that the watermark has closed are dropped."""
+    daily = _late_stream(spark, folder).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day").alias("window")).agg(F.count("*").alias("n"))
+    done = routing.run_to_end(daily.select(F.unix_seconds("window.start").alias("opens"), "n"), f"late_{uuid.uuid4().hex}", scratch(spark, "late-state"), "update")
+    return done.groupBy("opens").agg(F.max("n").alias("n"))
+
+
+@query("stream_dedup", "SELECT user_id, min(event_id) AS event_id FROM events GROUP BY user_id")
+def stream_dedup(spark, folder):
+    """One row of each user, where all lie within the lateness; rows carry the user's least event."""
+    events = load(spark, folder, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id")
+    path = scratch(spark, "dedup")
+    first = events.withColumn("event_id", F.min("event_id").over(Window.partitionBy("user_id")))
+    first.write.parquet(path)
+    stream = tables.read_stream(spark, path, first.schema, files_per_batch=2)
+    return routing.run_to_end(routing.deduplicate(stream, ["user_id"], "ts", "400 days").select("user_id", "event_id"), f"dedup_{uuid.uuid4().hex}", scratch(spark, "dedup-state"))
+
+
+@query("stream_drift", f"{_STREAMED}, z AS (SELECT s, count(*) AS n FROM {sql.last(P)} GROUP BY s) SELECT CAST(sum(n) AS BIGINT) AS rows, max(n) * {P}::DOUBLE / sum(n) AS worst, max(n) * {P}::DOUBLE / sum(n) > 2 AS repivot FROM z")
+def stream_drift(spark, folder):
+    """How far the fullest segment is beyond the mean when all has arrived."""
+    stream, tree = _event_stream(spark, folder)
+    watched = routing.drift(routing.route_stream(stream, fx.SKEWED.spec, tree), P)
+    done = routing.run_to_end(watched, f"drift_{uuid.uuid4().hex}", scratch(spark, "drift"))
+    return done.orderBy(F.desc("rows")).limit(1)

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from .. import ledger, verify
 from ..placement import schedule
+from ..plans.exchange import TRACE
 from ..plans import ordered
 from ..plans import pivots as pv
 from ..plans.pivot_tree import SEGMENT, slots
@@ -41,7 +42,7 @@ def query(name: str, oracle: str | None = None):
 
 
 def _positions(result: v.Sorted, fixture: fx.Fixture) -> DataFrame:
-    return result.with_positions().select(*fixture.columns, F.col(POSITION).alias("pos"))
+    return fixture.show(result.with_positions().select(*fixture.columns, F.col(POSITION).alias("pos")))
 
 
 METHODS: dict[str, Callable[[DataFrame, object], v.Sorted]] = {
@@ -65,7 +66,7 @@ def _method(name: str, fixture: fx.Fixture, run, p: int = P) -> None:
     def own(spark: SparkSession, folder: str) -> DataFrame:
         return _positions(run(fixture.rows(spark, folder, p), fixture.spec), fixture)
 
-    query(name, sql.by_position(fixture.table, ", ".join(fixture.columns), fixture.order()))(own)
+    query(name, sql.by_position(fixture.table, fixture.returned(), fixture.order()))(own)
 
 
 for _name, _run in METHODS.items():
@@ -84,10 +85,7 @@ _method("sort_strings", fx.STRINGS, lambda df, spec: v.exchange_free_quicksort(d
 _method("sort_dates", fx.DATES, METHODS["sort_m4"])
 
 
-@query("sort_vectors")
-def sort_vectors(spark, folder):
-    """Arrays of numbers as keys."""
-    return _positions(v.exchange_free_quicksort(fx.VECTORS.rows(spark, folder), fx.VECTORS.spec, P, pv.MIDDLE), fx.VECTORS).drop("embedding")
+_method("sort_vectors", fx.VECTORS, lambda df, spec: v.exchange_free_quicksort(df, spec, P, pv.MIDDLE))
 
 
 @query("sort_native", ORACLES["sort_m1"])
@@ -97,11 +95,11 @@ def sort_native(spark, folder):
     return done.select(*fx.UNIFORM.columns, F.col(POSITION).alias("pos"))
 
 
-@query("sort_rdd", f"SELECT {', '.join(fx.UNIFORM.columns)} FROM lineitem")
+@query("sort_rdd", ORACLES["sort_m1"])
 def sort_rdd(spark, folder):
     """Delivery and sort in one row-at-a-time shuffle."""
     rows = fx.UNIFORM.rows(spark, folder)
-    return v.rdd_sort(rows, fx.UNIFORM.spec, P, agree(rows, fx.UNIFORM.spec, P)).select(*fx.UNIFORM.columns)
+    return v.rdd_sort(rows, fx.UNIFORM.spec, P, agree(rows, fx.UNIFORM.spec, P)).select(*fx.UNIFORM.columns, F.col(POSITION).alias("pos"))
 
 
 # --- pivots ---
@@ -109,10 +107,13 @@ def sort_rdd(spark, folder):
 
 def _pivots(name: str, fixture: fx.Fixture, chooser, rule: str | None, p: int = P, drop: tuple = ()) -> None:
     def own(spark: SparkSession, folder: str) -> DataFrame:
-        tree = agree(fixture.rows(spark, folder, p), fixture.spec, p, chooser)
-        return tree.table(spark).select("level", "segment", "inorder_slot", "pivot")
+        tie = F.expr(fixture.shuffled) if rule == "sampled" else None
+        tree = agree(fixture.rows(spark, folder, p), fixture.spec, p, chooser, tie=tie)
+        pivot = F.round("pivot", 6).alias("pivot") if rule == "mean" else "pivot"  # sums in another order differ in the last place
+        return tree.table(spark).select("level", "segment", "inorder_slot", pivot)
 
-    query(name, sql.pivots(fixture.base(p), p, rule, whole=fixture.whole) if rule else None)(own)
+    twin = sql.pivots(fixture.base(p), p, rule, whole=fixture.whole) if rule else None
+    query(name, f"SELECT level, segment, inorder_slot, round(\"pivot\", 6) AS pivot FROM ({twin})" if rule == "mean" else twin)(own)
 
 
 _pivots("pivots_midpoint", fx.UNIFORM, pv.MIDPOINT, "midpoint")
@@ -123,7 +124,8 @@ _pivots("pivots_designated", fx.UNIFORM, pv.Chooser(pv.MiddleElement(), pv.Desig
 _pivots("pivots_exact_median", fx.UNIFORM, pv.ExactMedian(), "exact")
 _pivots("pivots_sample", fx.UNIFORM, pv.SAMPLED, None)
 _pivots("pivots_pool", fx.UNIFORM, pv.Chooser(pv.SamplePool(20), pv.MedianOfCandidates()), None)
-_pivots("pivots_mean", fx.UNIFORM, pv.Chooser(pv.MiddleElement(), pv.MeanOfCandidates()), None)
+_pivots("pivots_mean", fx.UNIFORM, pv.Chooser(pv.MiddleElement(), pv.MeanOfCandidates()), "mean")
+_pivots("pivots_sampled_ends", fx.UNIFORM, pv.SAMPLED_BY_TIE, "sampled")
 _pivots("pivots_random_element", fx.UNIFORM, pv.Chooser(pv.RandomElement(), pv.MedianOfCandidates()), None)
 _pivots("pivots_first_element", fx.UNIFORM, pv.Chooser(pv.FirstElement(), pv.Designated()), None)
 _pivots("pivots_approximate_middle", fx.UNIFORM, pv.Chooser(pv.ApproximateMiddle(), pv.MedianOfCandidates()), None)
@@ -433,93 +435,90 @@ def placement_effect(spark, folder):
     return out
 
 
-_STRONG = [1, 2, 4, 8, 16, 32, 64]
+# The experiments at their published settings: quicksort takes the ends of 20 sampled rows a rank, sort-first those of its
+# sorted ranks; both take the midpoint.  Rows carry their way, so that moves are counted from what the variants did.
 
-
-def _counts(spark: SparkSession, folder: str, variants: dict, ranks: list[int], chooser, fixture: fx.Fixture = fx.UNIFORM) -> DataFrame:
-    """(variant, p, rows_moved, max_rows) of each variant and number of ranks; the pivots are shared."""
-    out, n = None, fixture.rows(spark, folder, 1).count()
-    for p in ranks:
-        one = _totals(_segmented(spark, folder, fixture, p, chooser), p, {name: levels(p, n) for name, levels in variants.items()})
-        out = one if out is None else out.unionByName(one)
-    return out
+_PAIRS = {"quicksort": ("exchange_quicksort", "combined_quicksort", "exchange_free_quicksort"), "sort_first": ("exchange_sort_first", "combined_sort_first", "exchange_free_sort_first")}
 
 
-def _totals(segmented: DataFrame, p: int, variants: dict[str, int]) -> DataFrame:
-    """(variant, p, rows_moved, max_rows) by the variants' exchange levels, in one pass."""
-    moved = [F.sum(ledger.moves(p, levels)).alias(name) for name, levels in variants.items()]
-    sums = segmented.groupBy(SEGMENT).agg(F.count("*").alias("n"), *moved).agg(F.max("n").alias("max_rows"), *(F.sum(name).cast("long").alias(name) for name in variants))
-    each = F.explode(F.array(*(F.struct(F.lit(name).alias("variant"), F.col(name).alias("rows_moved")) for name in variants)))
-    return sums.select("max_rows", each.alias("x")).select("x.variant", F.lit(p).alias("p"), "x.rows_moved", "max_rows")
+def _run(name: str, rows: DataFrame, fixture: fx.Fixture, p: int, n: int) -> DataFrame:
+    """(variant, p, exchange_levels, rows_moved, max_rows) of one run."""
+    traced, spec = rows.withColumn(TRACE, F.array("__rank")), fixture.spec
+    levels = {"exchange": p.bit_length() - 1, "combined": v.switch_level(n, p), "exchange_free": 0}[name.rsplit("_quicksort")[0].rsplit("_sort_first")[0]]
+    if name.endswith("quicksort"):
+        options = {"n": n} if name.startswith("combined") else {}
+        done = getattr(v, name)(traced, spec, p, chooser=pv.SAMPLED_BY_TIE, tie=F.expr(fixture.shuffled), **options)
+    else:
+        options = {"n": n} if name.startswith("combined") else {}
+        done = getattr(v, name)(traced, spec, p, chooser=pv.MIDPOINT, **options)
+    by_rank = done.segmented.groupBy(SEGMENT).agg(F.count("*").alias("n"), F.sum(ledger.moves_made()).alias("moved"))
+    return by_rank.agg(F.sum("moved").cast("long").alias("rows_moved"), F.max("n").alias("max_rows")).select(F.lit(name).alias("variant"), F.lit(p).alias("p"), F.lit(levels).alias("exchange_levels"), "rows_moved", "max_rows")
 
 
-def _counts_sql(variants: dict[str, Callable[[int], int]], ranks: list[int], rule: str, base: Callable[[int], str]) -> str:
-    parts = []
-    for p in ranks:
-        for name, levels in variants.items():
-            parts.append(
-                f"{sql.chain(base(p), p, rule)}, z AS (SELECT max(n) AS m FROM (SELECT count(*) AS n FROM {sql.last(p)} GROUP BY s)) "
-                f"SELECT '{name}' AS variant, {p} AS p, CAST(sum({sql.moved(p, levels(p))}) AS BIGINT) AS rows_moved, (SELECT m FROM z) AS max_rows FROM {sql.last(p)}"
-            )
-    return _union(parts)
-
+def _runs(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for one in parts[1:]:
+        out = out.unionByName(one)
+    return out
 
-def _depth(p: int, n: int = 0) -> int:
-    return p.bit_length() - 1
 
+def _run_sql(name: str, fixture: fx.Fixture, p: int, base: str | None = None) -> str:
+    """The same by the closed form of a row's moves, from segments that the levels' pivots give."""
+    d, wrong, kind = p.bit_length() - 1, "xor(CAST(r AS BIGINT), CAST(s AS BIGINT))", name.rsplit("_quicksort")[0].rsplit("_sort_first")[0]
+    rest = {"exchange": "0", "exchange_free": str(d), "combined": f"(SELECT CAST({d} - min(g.range) AS INTEGER) FROM range({d + 1}) g, (SELECT count(*) AS n FROM base) b WHERE g.range = {d} OR b.n::DOUBLE / {p} > 1500 * ({p} >> g.range::INTEGER) / log2(b.n))"}[kind]
+    rule = "midpoint" if name.endswith("sort_first") else {"exchange": "sampled_exchange", "exchange_free": "sampled", "combined": "sampled_combined"}[kind]
+    return (
+        f"{sql.chain(base or fixture.base(p), p, rule, whole=fixture.whole)}, lv AS (SELECT {rest} AS rest), z AS (SELECT max(n) AS m FROM (SELECT count(*) AS n FROM {sql.last(p)} GROUP BY s)) "
+        f"SELECT '{name}' AS variant, {p} AS p, CAST({d} - max(lv.rest) AS INTEGER) AS exchange_levels, CAST(sum(bit_count({wrong} >> lv.rest) + CASE WHEN ({wrong} & ((1 << lv.rest) - 1)) <> 0 THEN 1 ELSE 0 END) AS BIGINT) AS rows_moved, (SELECT m FROM z) AS max_rows FROM {sql.last(p)}, lv"
+    )
 
-def _none(p: int, n: int = 0) -> int:
-    return 0
 
+def _experiment(label: str, names: tuple[str, ...], ranks: list[int], fixture: fx.Fixture, about: str) -> None:
+    def own(spark: SparkSession, folder: str) -> DataFrame:
+        n = fixture.rows(spark, folder, 2).count()
+        return _runs([_run(name, fixture.rows(spark, folder, p), fixture, p, n) for p in ranks for name in names])
 
-@query("strong_quicksort", _counts_sql({"exchange_quicksort": _depth, "exchange_free_quicksort": _none}, _STRONG, "midpoint", fx.UNIFORM.base))
-def strong_quicksort(spark, folder):
-    """Fixed rows, more ranks: the quicksort pair."""
-    return _counts(spark, folder, {"exchange_quicksort": _depth, "exchange_free_quicksort": _none}, _STRONG, pv.MIDPOINT)
+    own.__doc__ = about
+    query(label, _union([_run_sql(name, fixture, p) for p in ranks for name in names]))(own)
 
 
-@query("strong_sort_first", _counts_sql({"exchange_sort_first": _depth, "exchange_free_sort_first": _none}, _STRONG, "middle", fx.UNIFORM.base))
-def strong_sort_first(spark, folder):
-    """Fixed rows, more ranks: the sort-first pair."""
-    return _counts(spark, folder, {"exchange_sort_first": _depth, "exchange_free_sort_first": _none}, _STRONG, pv.MIDDLE)
+_STRONG, _SWITCHING = [2, 4, 8, 16, 32], [16, 32, 64]
+for _pair, _names in _PAIRS.items():
+    _experiment(f"strong_{_pair}", (_names[0], _names[2]), _STRONG, fx.UNIFORM, "Fixed rows, more ranks: rows that a pair of variants moved.")
+    _experiment(f"strong_combined_{_pair}", _names, _SWITCHING, fx.UNIFORM, "Fixed rows, more ranks: the combined variant, whose switch depends on the rows, between the pure ones.")
+    _experiment(f"strong_integers_{_pair}", (_names[0], _names[2]), [8, 32], fx.INTEGERS, "The same with whole numbers.")
+    _experiment(f"strong_permutation_{_pair}", (_names[0], _names[2]), [8, 32], fx.PERMUTATION, "The same with a permutation.")
 
 
-_COMBINED = [8, 16, 32, 64, 128, 256]
+_PARTS, _WEAK_P = [8, 4, 2, 1], 16
 
 
-def _combined_sql(p: int) -> str:
-    """Rows that the combined method moves: its switch level is worked out from the rows."""
-    d, wrong = p.bit_length() - 1, "xor(CAST(r AS BIGINT), CAST(s AS BIGINT))"
-    return (
-        f"{sql.chain(fx.UNIFORM.base(p), p)}, z AS (SELECT max(n) AS m FROM (SELECT count(*) AS n FROM {sql.last(p)} GROUP BY s)), "
-        f"l AS (SELECT CAST({d} - min(g.range) AS INTEGER) AS rest FROM range({d + 1}) g, (SELECT count(*) AS n FROM base) b WHERE g.range = {d} OR b.n::DOUBLE / {p} > 1500 * ({p} >> g.range::INTEGER) / log2(b.n)) "
-        f"SELECT 'combined_quicksort' AS variant, {p} AS p, CAST(sum(bit_count({wrong} >> l.rest) + CASE WHEN ({wrong} & ((1 << l.rest) - 1)) <> 0 THEN 1 ELSE 0 END) AS BIGINT) AS rows_moved, (SELECT m FROM z) AS max_rows FROM {sql.last(p)}, l"
-    )
+def _weak(pair: str) -> None:
+    names = (_PAIRS[pair][0], _PAIRS[pair][2])
 
+    def own(spark: SparkSession, folder: str) -> DataFrame:
+        parts = []
+        for m in _PARTS:
+            rows = fx.UNIFORM.rows(spark, folder, _WEAK_P).where(F.pmod("l_orderkey", F.lit(m)) == 0)
+            parts += [_run(name, rows, fx.UNIFORM, _WEAK_P, 0).withColumn("size", F.lit(_WEAK_P * 8 // m)) for name in names]
+        return _runs(parts)
 
-@query("strong_combined", _union([*map(_combined_sql, _COMBINED), _counts_sql({"exchange_quicksort": _depth, "exchange_free_quicksort": _none}, _COMBINED, "midpoint", fx.UNIFORM.base)]))
-def strong_combined(spark, folder):
-    """Fixed rows, more ranks: the combined method, whose switch depends on the rows, and the pure ones."""
-    return _counts(spark, folder, {"combined_quicksort": lambda p, n: v.switch_level(n, p), "exchange_quicksort": _depth, "exchange_free_quicksort": _none}, _COMBINED, pv.MIDPOINT)
+    own.__doc__ = "Fixed ranks, more rows a rank: an experiment on shares of the table, which doubles from one size to the next."
+    shares = [f"SELECT *, {_WEAK_P * 8 // m} AS size FROM ({_run_sql(name, fx.UNIFORM, _WEAK_P, f'{fx.UNIFORM.base(_WEAK_P)} WHERE l_orderkey % {m} = 0')})" for m in _PARTS for name in names]
+    query(f"weak_{pair}", _union(shares))(own)
 
 
-_PARTS = [8, 4, 2, 1]
+for _pair in _PAIRS:
+    _weak(_pair)
 
 
-def _share(m: int) -> str:
-    return f"SELECT l_extendedprice AS k, (l_orderkey * 7 + l_linenumber) % 16 AS r FROM lineitem WHERE l_orderkey % {m} = 0"
+_SCANNED = " UNION ALL ".join(f"SELECT r, {i} AS level, s >> {_LEVELS - i} AS s, count(*) AS n FROM {_END} GROUP BY ALL" for i in range(_LEVELS))
 
 
-@query("weak_scaling", _union([f"SELECT {16 * (8 // m)} AS size, variant, p, rows_moved, max_rows FROM ({_counts_sql({'exchange_quicksort': _depth, 'exchange_free_quicksort': _none}, [16], 'midpoint', lambda p, m=m: _share(m))})" for m in _PARTS]))
-def weak_scaling(spark, folder):
-    """Fixed ranks, more rows a rank: an experiment on shares of the table, which doubles from one size to the next."""
-    out = None
-    for m in _PARTS:
-        rows = fx.UNIFORM.rows(spark, folder, 16).where(F.pmod("l_orderkey", F.lit(m)) == 0)
-        one = _totals(with_segments(rows, fx.UNIFORM.spec, agree(rows, fx.UNIFORM.spec, 16)), 16, {"exchange_quicksort": 4, "exchange_free_quicksort": 0})
-        one = one.select(F.lit(16 * (8 // m)).alias("size"), "variant", "p", "rows_moved", "max_rows")
-        out = one if out is None else out.unionByName(one)
-    return out
+@query("ledger_scanned", f"{_CHAIN} SELECT CAST(sum(n) AS BIGINT) AS scanned, CAST(sum(length(bin(n))) AS BIGINT) AS probes FROM ({_SCANNED})")
+def ledger_scanned(spark, folder):
+    """Rows looked at while splitting: by scans, and by binary searches in sorted ranks."""
+    return ledger.rows_scanned(_segmented(spark, folder), P)
 
 
 @query("sample_size_sweep")

@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .placement import RANK, levels_of
+from .plans.exchange import TRACE
 from .plans.pivot_tree import SEGMENT
 from .plans.variants import switch_level
 
@@ -33,6 +34,24 @@ def rows_moved(segmented: DataFrame, p: int, exchange_levels: int) -> DataFrame:
     return segmented.agg(F.coalesce(F.sum(moves(p, exchange_levels)), F.lit(0)).cast("long").alias("rows_moved"))
 
 
+def moves_made() -> Column:
+    """How often a row has moved by its trace: from its first rank through those after each exchange to its segment."""
+    way = F.concat(F.col(TRACE), F.array(F.col(SEGMENT).cast("int")))
+    return F.size(F.filter(F.sequence(F.lit(1), F.size(way) - 1), lambda i: F.get(way, i) != F.get(way, i - 1)))
+
+
+def rows_scanned(segmented: DataFrame, p: int) -> DataFrame:
+    """One row: scanned, what a scan of every segment of every rank looks at over all levels, and probes, what binary searches do.
+
+    A search for the place after the equal keys in m sorted rows takes ceil(log2(m + 1)) probes.
+    """
+    depth = levels_of(p)
+    parts = segmented.groupBy(RANK, SEGMENT).agg(F.count("*").alias("n"))
+    levels = F.explode(F.sequence(F.lit(0), F.lit(depth - 1))).alias("level")
+    sized = parts.select(RANK, SEGMENT, "n", levels).groupBy(RANK, "level", F.expr(f"shiftright({SEGMENT}, {depth} - level)").alias("s")).agg(F.sum("n").alias("n"))
+    return sized.agg(F.sum("n").alias("scanned"), F.sum(F.length(F.bin("n"))).cast("long").alias("probes"))
+
+
 def rows_moved_by_level(segmented: DataFrame, p: int) -> DataFrame:
     """(level, rows_moved) of the exchange variants."""
     depth = levels_of(p)

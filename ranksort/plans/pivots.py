@@ -34,10 +34,10 @@ class Extremes:
 
 @dataclass(frozen=True)
 class SampleExtremes:
-    """The ends of a seeded sample of ``s`` rows of the rank's part."""
+    """The ends of a seeded sample of ``s`` rows of the rank's part; without a seed the rows of least tie number."""
 
     s: int = 20
-    seed: int = 5
+    seed: int | None = 5
 
     def propose(self, rows: DataFrame) -> DataFrame:
         return Extremes().propose(_sample(rows, self.s, self.seed))
@@ -94,9 +94,9 @@ class SamplePool:
         return _sample(rows, self.s, self.seed).select(SEGMENT, RANK, F.lit(1).alias("cnt"), F.col(VALUE).alias("mid"))
 
 
-def _sample(rows: DataFrame, s: int, seed: int) -> DataFrame:
+def _sample(rows: DataFrame, s: int, seed: int | None) -> DataFrame:
     """At most s rows of each (segment, rank), those of least seeded hash; bounded state by two-step ranking."""
-    order = [F.xxhash64(F.lit(seed), VALUE, _TIE), F.col(VALUE)]
+    order = [F.col(_TIE) if seed is None else F.xxhash64(F.lit(seed), VALUE, _TIE), F.col(VALUE)]
     part = Window.partitionBy(SEGMENT, RANK).orderBy(*order)
     return rows.where(F.col(VALUE).isNotNull()).withColumn("__k", F.row_number().over(part)).where(F.col("__k") <= s)
 
@@ -225,6 +225,7 @@ class Sketch:
 
 MIDPOINT = Chooser(Extremes(), Midpoint())
 SAMPLED = Chooser(SampleExtremes(20), Midpoint())
+SAMPLED_BY_TIE = Chooser(SampleExtremes(20, None), Midpoint())
 MIDDLE = Chooser(MiddleElement(), MedianOfCandidates())
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -13,7 +13,7 @@ from . import ordered
 from .pivot_tree import PivotTree
 from .pivots import MIDPOINT, round_rows
 
-def compared(df: DataFrame, spec: KeySpec, ties: str) -> tuple[F.Column, T.DataType]:
+def compared(df: DataFrame, spec: KeySpec, ties: str) -> tuple[Column, T.DataType]:
     """What pivots compare under a rule for ties, and its type."""
     if ties == "total_order" and (spec.reversed or not spec.nulls_first):
         raise ValueError("a total order runs upwards, nulls first")
@@ -21,16 +21,18 @@ def compared(df: DataFrame, spec: KeySpec, ties: str) -> tuple[F.Column, T.DataT
     return value, df.select(value.alias("v")).schema["v"].dataType
 
 
-def agree(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, *, tree: PivotTree | None = None, levels: int | None = None, ties: str = "left", in_order: bool = False) -> PivotTree:
+def agree(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, *, tree: PivotTree | None = None, levels: int | None = None, ties: str = "left", in_order: bool = False, tie: Column | None = None) -> PivotTree:
     """Pivots of all levels (or of the first ``levels``), level by level, from the rows where they lie.
 
     In each round every rank takes part for every segment; the driver sees one row a segment.  in_order:
     each rank is one partition, sorted; ends and middles are then read by place, which moves no key.
+    tie: a whole number that tells rows apart, for seeded samples; by default a hash of the ties.
     """
     spec.check(df)
     value, kind = compared(df, spec, ties)
     tree = tree or PivotTree((), kind, spec.reversed)
-    tie = F.xxhash64(*spec.tiebreak) if spec.tiebreak else F.lit(0).cast("long")
+    if tie is None:
+        tie = F.xxhash64(*spec.tiebreak) if spec.tiebreak else F.lit(0).cast("long")
     while tree.levels < (levels_of(p) if levels is None else levels):
         if in_order and ordered.readable(chooser):
             found = chooser.agreed.agree(ordered.proposals(ordered.ranks_in_order(df, spec, ties)[0], kind, tree), kind, p)

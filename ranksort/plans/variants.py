@@ -5,8 +5,9 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..keys import KeySpec, comparable
 from ..placement import RANK, levels_of
@@ -14,7 +15,7 @@ from ..shared import keep
 from .exchange import as_segments, exchange_levels
 from .pivot_tree import SEGMENT, PivotTree
 from .pivots import MIDDLE, MIDPOINT
-from .redistribute import deliver, merge_runs, positions, with_segments
+from .redistribute import POSITION, deliver, merge_runs, positions, with_segments
 from .rounds import agree, agree_fused, agree_on_sample, compared, sketch_splitters, splitters_of
 
 
@@ -38,10 +39,10 @@ def local_sort(df: DataFrame, spec: KeySpec) -> Sorted:
     return Sorted(one.coalesce(1).sortWithinPartitions(*spec.orders()), one, PivotTree(), spec)
 
 
-def exchange_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left") -> Sorted:
+def exchange_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left", tie: Column | None = None) -> Sorted:
     """Rows move at every level; a sort at the end."""
     spec.check(df)
-    moved, tree = exchange_levels(df, spec, p, levels_of(p), chooser, ties=ties)
+    moved, tree = exchange_levels(df, spec, p, levels_of(p), chooser, ties=ties, tie=tie)
     done = as_segments(moved)
     return Sorted(done.repartitionById(p, F.col(SEGMENT)).sortWithinPartitions(SEGMENT, *spec.orders()), done, tree, spec)
 
@@ -54,7 +55,7 @@ def exchange_sort_first(df: DataFrame, spec: KeySpec, p: int, chooser=MIDDLE, ti
     return Sorted(done.repartitionById(p, F.col(SEGMENT)).sortWithinPartitions(SEGMENT, *spec.orders()), done, tree, spec)
 
 
-def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left", plan: str = "iterative", per_rank: int = 400, n: int | None = None) -> Sorted:
+def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOINT, ties: str = "left", plan: str = "iterative", per_rank: int = 400, n: int | None = None, tie: Column | None = None) -> Sorted:
     """Only pivots travel; each row moves once, at the end.
 
     plan: ``iterative`` (a round a level), ``fused`` (three levels a round, by sketches), ``sample`` (all levels on
@@ -62,7 +63,7 @@ def exchange_free_quicksort(df: DataFrame, spec: KeySpec, p: int, chooser=MIDPOI
     """
     spec.check(df)
     if plan == "iterative":
-        tree = agree(df, spec, p, chooser, ties=ties)
+        tree = agree(df, spec, p, chooser, ties=ties, tie=tie)
     elif plan == "sample":
         tree = agree_on_sample(df, spec, p, per_rank=per_rank, ties=ties, n=n)
     elif plan == "fused":
@@ -112,30 +113,30 @@ def switch_level(n: int, p: int, c: float = 1500, *, log_base: float = 2.0, log_
     return depth
 
 
-def _combined(df: DataFrame, spec: KeySpec, p: int, c: float, n: int | None, chooser, ties: str, order: str | None, fused: bool, merge: str) -> Sorted:
+def _combined(df: DataFrame, spec: KeySpec, p: int, c: float, n: int | None, chooser, ties: str, order: str | None, fused: bool, merge: str, tie: Column | None = None) -> Sorted:
     spec.check(df)
     level = switch_level(df.count() if n is None else n, p, c)
     if fused and level:
         # the exchange levels as one shuffle of 2^level ways, from pivots agreed where the rows lie
-        tree = agree(df, spec, p, chooser, levels=level, ties=ties)
+        tree = agree(df, spec, p, chooser, levels=level, ties=ties, tie=tie)
         value, _ = compared(df, spec, ties)
         low = levels_of(p) - level
         group = tree.segment(value, spec.nulls_first)
         own = F.col(RANK).bitwiseAND(F.lit((1 << low) - 1))
         moved = keep(df.withColumn(RANK, (group * (1 << low) + own).cast("int")).repartitionById(p, F.col(RANK)))
     else:
-        moved, tree = exchange_levels(df, spec, p, level, chooser, ties=ties, order=order)
+        moved, tree = exchange_levels(df, spec, p, level, chooser, ties=ties, order=order, tie=tie)
     if order and not level:
         moved = keep(moved.repartitionById(p, F.col(RANK)).sortWithinPartitions(*spec.orders()))
-    tree = agree(_keys(moved, spec) if order else moved, spec, p, chooser, tree=tree if level else None, ties=ties, in_order=order is not None)
+    tree = agree(_keys(moved, spec) if order else moved, spec, p, chooser, tree=tree if level else None, ties=ties, in_order=order is not None, tie=tie)
     segmented = with_segments(moved, spec, tree, ties)
     rows = merge_runs(deliver(segmented, spec, p, sort=False), spec) if order and merge == "heap" else deliver(segmented, spec, p)
     return Sorted(rows, segmented, tree, spec)
 
 
-def combined_quicksort(df: DataFrame, spec: KeySpec, p: int, c: float = 1500, *, n: int | None = None, chooser=MIDPOINT, ties: str = "left", fused: bool = False) -> Sorted:
+def combined_quicksort(df: DataFrame, spec: KeySpec, p: int, c: float = 1500, *, n: int | None = None, chooser=MIDPOINT, ties: str = "left", fused: bool = False, tie: Column | None = None) -> Sorted:
     """Exchange levels until groups are small enough for their rows, then exchange-free inside each group."""
-    return _combined(df, spec, p, c, n, chooser, ties, None, fused, "sort")
+    return _combined(df, spec, p, c, n, chooser, ties, None, fused, "sort", tie)
 
 
 def combined_sort_first(df: DataFrame, spec: KeySpec, p: int, c: float = 1500, *, n: int | None = None, chooser=MIDDLE, ties: str = "left", order: str = "sort", merge: str = "sort") -> Sorted:
@@ -176,12 +177,12 @@ def native_positions(df: DataFrame, spec: KeySpec, p: int) -> DataFrame:
 
 
 def rdd_sort(df: DataFrame, spec: KeySpec, p: int, tree: PivotTree) -> DataFrame:
-    """The row-at-a-time form of delivery, for a paired comparison of shuffles: partition by the pivots, sort in the shuffle."""
+    """The row-at-a-time form of delivery, for a paired comparison of shuffles: partition by the pivots, sort in the shuffle; with positions."""
     import bisect
 
-    names, splitters, schema = spec.columns(), tree.in_order(), df.schema
+    names, splitters, schema = spec.columns(), tree.in_order(), T.StructType(list(df.schema))
     if spec.descending or len(spec.key) != 1:
         raise ValueError("this form sorts one key upwards")
     keyed = df.rdd.map(lambda row: (tuple(row[n] for n in names), tuple(row)))
     done = keyed.repartitionAndSortWithinPartitions(p, lambda key: bisect.bisect_left(splitters, key[0]))
-    return df.sparkSession.createDataFrame(done.map(lambda pair: pair[1]), schema)
+    return df.sparkSession.createDataFrame(done.zipWithIndex().map(lambda found: (*found[0][1], found[1])), schema.add(POSITION, "long"))
