@@ -18,6 +18,38 @@ def brute(text, item, evidence):
     return best
 
 
+def all_overlaps(texts, items):
+    """(text, item): matched, by comparing every text with every item on every diagonal that could be evidence."""
+    evidence, out, numbers = d.Evidence(), {}, {}
+    number = lambda words: np.array([numbers.setdefault(w, len(numbers)) for w in words], np.int64)
+    items = {j: number(w) for j, w in items.items() if w}
+    for i, words in texts.items():
+        ids = number(words)
+        for j, own in items.items():
+            if len(own) < 7:
+                raise ValueError("items of seven tokens and more")
+            least = min(evidence.min_tokens, int(np.ceil(evidence.min_share * len(own))))
+            where = {}
+            for k, w in enumerate(own.tolist()):
+                where.setdefault(w, []).append(k)
+            hits = {}
+            for place, w in enumerate(ids.tolist()):
+                for k in where.get(w, ()):
+                    hits[place - k] = hits.get(place - k, 0) + 1
+            best = 0
+            for shift, n in hits.items():
+                if n >= least:
+                    a, b = max(shift, 0), min(shift + len(own), len(ids))
+                    equal = ids[a:b] == own[a - shift : b - shift]
+                    begin, end = d.best_segment(equal)
+                    matched = int(equal[begin:end].sum())
+                    if evidence.holds(matched, end - begin, len(own)):
+                        best = max(best, matched)
+            if best:
+                out[i, j] = best
+    return out
+
+
 def corpus(seed=2):
     rng = random.Random(seed)
     word = lambda: f"w{rng.randrange(60)}"

@@ -1,21 +1,17 @@
-import re
+import pytest
+from test_decontamination import all_overlaps
+from test_pii import brute_redacted
+from test_quality import verdict
+from test_simhash import brute_lanes
 
 import corpus_pipeline
-from ranksort.llm import decontamination, queries, quality, simhash
-from ranksort.llm.sentencepiece import Vocabulary, load_model
+from ranksort.llm import decontamination, queries
 
 
-def test_run_against_brute_force(spark, sf):
-    docs = spark.read.parquet(f"{sf}/documents.parquet").collect()
-    items = [(r.item_id, decontamination.tokens(r.text)) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
-    limits = quality.Limits()
-    found = quality.measure([d.text.encode() for d in docs], limits)
-    kept = []
-    for k, d in enumerate(docs):
-        n, covered, longest, repeat = (int(found[c][k]) for c in ("n_words", "covered_words", "longest_repeat", "n_repeat_words"))
-        if n >= 50 and 100 * repeat <= 50 * n and covered <= limits.max_covered * n and longest <= limits.max_longest:
-            kept.append(d)
-    prints = {d.doc_id: simhash.fingerprint(d.text.encode(), corpus_pipeline.SHINGLE) for d in kept}
+def one_of_each_group(docs):
+    """Ids that are the least of their group: pairs that agree on a block and are within the budget."""
+    wide, width = 64 * corpus_pipeline.LANES, corpus_pipeline.WIDTH
+    prints = {i: brute_lanes(t, corpus_pipeline.SHINGLE, corpus_pipeline.LANES) for i, t in docs.items()}
     root = {i: i for i in prints}
 
     def top(x):
@@ -25,30 +21,59 @@ def test_run_against_brute_force(spark, sf):
 
     for i in prints:
         for j in prints:
-            if i < j and (prints[i] ^ prints[j]).bit_count() <= corpus_pipeline.BUDGET:
+            other = prints[i] ^ prints[j]
+            if i < j and other.bit_count() <= corpus_pipeline.BUDGET and any(not other >> at & ((1 << width) - 1) for at in range(0, wide, width)):
                 a, b = top(i), top(j)
                 root[max(a, b)] = min(a, b)
-    kept = [d for d in kept if top(d.doc_id) == d.doc_id]
-    index = decontamination.SeedIndex(items)
-    kept = [d for d in kept if not index.search([decontamination.tokens(d.text)])[0]]
-    vocabulary = Vocabulary(load_model(queries.PIECES))
-    expected = {}
-    for d in kept:
-        text = d.text
-        spans = sorted((m.start(), m.end(), name) for name, pattern in (("EMAIL", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"),) for m in re.finditer(pattern, text))
-        expected[d.doc_id] = (spans, text)
+    return {i for i in prints if top(i) == i}
+
+
+def test_run_against_brute_force(spark, sf):
+    """All five stages worked out without the operators, from the documents to the decoded texts."""
+    from sentencepiece import SentencePieceProcessor
+
+    docs = {r.doc_id: r.text or "" for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    items = {r.item_id: decontamination.tokens(r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()}
+    kept = {i: t for i, t in docs.items() if verdict(t)}
+    first = one_of_each_group(kept)
+    kept = {i: t for i, t in kept.items() if i in first}
+    dirty = {i for i, _ in all_overlaps({i: decontamination.tokens(t) for i, t in kept.items()}, items)}
+    clean = {i: brute_redacted(t) for i, t in kept.items() if i not in dirty}
+    library = SentencePieceProcessor(model_file=queries.PIECES)
     rows = {r.doc_id: r for r in corpus_pipeline.run(spark, sf).collect()}
-    assert rows.keys() == expected.keys() and 0 < len(rows) < len(docs)
-    for doc_id, (spans, text) in expected.items():
-        out = vocabulary.decode(rows[doc_id].ids)
-        assert rows[doc_id].round_trip and out.count("<EMAIL>") == len(spans)
-        if not re.search("[0-9@]", text):
-            assert out == text
+    assert rows.keys() == clean.keys() and 0 < len(dirty) and len(first) < len(docs)
+    for doc_id, text in clean.items():
+        assert list(rows[doc_id].ids) == library.encode(text) and rows[doc_id].n_tokens == len(rows[doc_id].ids)
+        assert rows[doc_id].round_trip
+
+
+@pytest.mark.parametrize("similarity,least", [(0.95, 1.0), (0.9, 0.95), (0.85, 0.9)])
+def test_recall_of_near_copies(spark, similarity, least):
+    """Pairs of texts of a known similarity in five-word shingles: how many share a group."""
+    import random
+
+    rng, pairs = random.Random(5), 60
+    rows, word = [], lambda: f"w{rng.randrange(50_000)}"
+    for k in range(pairs):
+        words = [word() for _ in range(rng.choice([120, 300, 700]))]
+        other, shingles = list(words), lambda w: {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+        own = shingles(words)
+        while True:
+            near = list(other)
+            near[rng.randrange(len(near))] = word()
+            theirs = shingles(near)
+            if len(own & theirs) / len(own | theirs) < similarity:
+                break
+            other = near
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(other))]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()}
+    assert all(2 * k in kept for k in range(pairs)) and sum(2 * k + 1 not in kept for k in range(pairs)) >= least * pairs
 
 
 def test_stages_keep_the_columns(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").limit(30)
-    extra = docs.selectExpr("*", "'x' as fingerprint", "1 as component_id")
+    extra = docs.selectExpr("*", "'x' as fingerprint", "1 as component_id", "2 as work", "3 as _work", "4 as __stage")
     for name, stage in corpus_pipeline.STAGES[:-1]:
         assert stage(spark, extra, sf).columns == extra.columns, name
 

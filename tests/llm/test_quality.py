@@ -22,6 +22,32 @@ def brute_longest(words):
     return out
 
 
+def longest_by_grams(words):
+    """The same for longer texts: words by their k-grams, which are told apart further as long as some repeat."""
+    n, out, k = len(words), [0] * len(words), 0
+    classes, live = [0] * n, range(n)
+    while True:
+        seen = Counter((classes[i], words[i + k]) for i in live if i + k < n)
+        live = [i for i in live if i + k < n and seen[classes[i], words[i + k]] > 1]
+        if not live:
+            return out
+        number = {}
+        fresh = {i: number.setdefault((classes[i], words[i + k]), len(number)) for i in live}
+        for i, c in fresh.items():
+            classes[i], out[i] = c, k + 1
+        k += 1
+
+
+def verdict(text, limits=quality.Limits()):
+    """Kept or not, by base rule and both limits."""
+    n, _, _, _, repeat = base(text)
+    longest, covered = longest_by_grams(WORD.findall(text)), set()
+    for i, k in enumerate(longest):
+        if k >= limits.min_repeat:
+            covered.update(range(i, i + k))
+    return n >= 50 and 100 * repeat <= 50 * n and len(covered) <= limits.max_covered * n and max(longest, default=0) <= limits.max_longest
+
+
 def base(text):
     words = WORD.findall(text)
     windows = Counter(zip(words, words[1:], words[2:]))
@@ -62,3 +88,28 @@ def test_a_very_long_text():
     text = (" ".join(f"p{i}" for i in range(500)) + " ").encode() * 40
     found = quality.measure([b"", text, b"a b c"], quality.Limits())
     assert found["covered_words"].tolist() == [0, 20_000, 0] and found["longest_repeat"][1] == 19_500
+
+
+def test_one_very_long_text():
+    """Memory is bounded by the words, not by how far they repeat."""
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    code = """
+import resource
+from ranksort.llm import quality
+found = quality.measure([b"word " * 2_000_000 + b" ".join(b"w%d" % (i % 1000) for i in range(2_000_000))], quality.Limits())
+print({k: int(x[0]) for k, x in found.items()}, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss // 1024)
+"""
+    done = subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parents[2], capture_output=True, text=True, timeout=200)
+    counts, _, peak = done.stdout.strip().rpartition(" ")
+    assert "'n_words': 4000000" in counts and "'covered_words': 4000000" in counts and "'longest_repeat': 1999999" in counts, done.stderr
+    assert int(peak) < 700
+
+
+def test_grams_and_brute_force_agree():
+    rng = random.Random(11)
+    for _ in range(60):
+        words = [rng.choice("abc") for _ in range(rng.randrange(30))]
+        assert longest_by_grams(words) == brute_longest(words)
