@@ -124,6 +124,7 @@ def paths(links: DataFrame, *, top: int | None = None, salts: int = 64) -> DataF
         further = found.join(up, ["tree", "node"]).select(*columns, F.col("up").alias("node"), (F.col("above") + (1 << k)).alias("above"))
         before, found = found, materialize(found.unionByName(further), "chat-paths", n)
         release(before, jump)
+    release(ends)
     return found
 
 
@@ -145,6 +146,7 @@ def conversations(
     large = links.groupBy("tree").agg(F.sum("rows").alias("rows")).where(F.col("rows") > whole_tree).select("tree")
     n_large = large.limit(max_broadcast + 1).count()
     if not n_large:
+        release(links)
         return _by_tree(body, way, keep_repeats)
     apart = F.broadcast(large) if n_large <= max_broadcast else large
     small = _by_tree(body.join(apart, "tree", "left_anti"), way.join(apart, "tree", "left_anti"), keep_repeats)

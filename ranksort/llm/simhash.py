@@ -49,6 +49,8 @@ _HOT_BROADCAST = 100_000
 _SALTS = 16
 #: A node pair with at most so many leaf pairs is compared leaf by leaf.
 _LEAVES = 16
+#: Copies of a fingerprint from which on its component is sent to where its documents are.
+_MANY_COPIES = 10_000
 #: Rows that a task joins at once, and more where a group has more.
 _TOGETHER = 200_000
 
@@ -340,9 +342,18 @@ def near_duplicates(df: DataFrame, *, id: str = "doc_id", text: str = "text", bu
     node = F.col("fingerprint") if lanes == 1 else F.xxhash64("fingerprint")
     marked = materialize(marked.withColumn("node", node), "simhash")
     print_ = F.first("fingerprint").alias("fingerprint")
-    distinct = materialize(marked.groupBy("node").agg(F.min("id").alias("first"), print_), "simhash-distinct")
-    groups = components(materialize(links(distinct, node="node", budget=budget, lanes=lanes, width=width), "simhash-links"))
-    rooted = distinct.select("node", "first").join(groups, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    distinct = materialize(marked.groupBy("node").agg(F.min("id").alias("first"), print_, F.count("*").alias("copies")), "simhash-distinct")
+    edges = materialize(links(distinct, node="node", budget=budget, lanes=lanes, width=width), "simhash-links")
+    groups = components(edges)
+    rooted = distinct.select("node", "first", "copies").join(groups, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
-    named = rooted.join(least, "root").select("node", "component_id")
-    return marked.join(named, "node").select(F.col("id").alias(id), "fingerprint", "component_id")
+    named = materialize(rooted.join(least, "root").select("node", "component_id", "copies"), "simhash-named")
+    release(distinct, edges)
+    often = named.where(F.col("copies") > _MANY_COPIES).drop("copies")
+    n_often = often.limit(_HOT_BROADCAST + 1).count()
+    if 0 < n_often <= _HOT_BROADCAST:  # a fingerprint of many copies is no single task's
+        here = marked.join(F.broadcast(often), "node", "left")
+        found = here.where("component_id is not null").unionByName(here.where("component_id is null").drop("component_id").join(named.drop("copies"), "node").select(*here.columns))
+    else:
+        found = marked.join(named.drop("copies"), "node")
+    return found.select(F.col("id").alias(id), "fingerprint", "component_id")

@@ -92,3 +92,25 @@ def test_defined_cases(spark):
     odd = chat.conversations(extra).selectExpr("*", "1 as made", "2 as formatted", "3 as n_turns", "4 as read", "5 as _read")
     done = chat.read_back(chat.format_conversations(odd))
     assert len(set(done.columns)) == len(done.columns) and done.first().n_turns == 1 and done.first().made == 1
+
+
+def test_branching_trees_over_the_whole_table(spark, sf):
+    """All conversations with replies to random earlier turns and scores: the best branch of each, against brute force."""
+    import random
+
+    rng, rows, last, nodes = random.Random(12), [], None, []
+    for r in sorted(spark.read.parquet(f"{sf}/conversations.parquet").collect(), key=lambda r: (r.conv_id, r.turn)):
+        nodes = [] if r.conv_id != last else nodes
+        parent = rng.choice(nodes) if nodes else None
+        rows.append((r.conv_id, r.turn, parent, r.role, r.text, float(rng.randrange(5))))
+        nodes.append(r.turn)
+        last = r.conv_id
+    expected = {}
+    for (t, leaf), (score, texts) in brute(rows).items():
+        if t not in expected or (-score, leaf) < expected[t][:2]:
+            expected[t] = (-score, leaf, texts)
+    done = chat.read_back(chat.format_conversations(chat.conversations(tree(spark, rows), score="score", top=1))).collect()
+    assert {r.tree: (r.leaf, [x.text for x in r.turns]) for r in done} == {t: x[1:] for t, x in expected.items()}
+    for r in done:
+        said = "".join(f"{x.role}\n{x.text}\n" for x in r.turns)
+        assert r.turns_sha256 == hashlib.sha256(said.encode()).hexdigest()

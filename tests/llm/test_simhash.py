@@ -86,7 +86,7 @@ def test_components_of_chains_stars_and_nothing(spark):
     assert sh.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
-def test_operator_and_defined_cases(spark, sf):
+def test_operator_and_defined_cases(spark, sf, monkeypatch):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
     extra = spark.createDataFrame([(-5, None), (-4, ""), (-4, ""), (-3, "word"), (None, "")], docs.schema)
     rows = sh.near_duplicates(docs.unionByName(extra).selectExpr("*", "1 as fingerprint", "2 as component_id", "3 as first")).collect()
@@ -96,6 +96,9 @@ def test_operator_and_defined_cases(spark, sf):
     assert all(r.component_id == expected[r.doc_id] for r in rows if r.doc_id is not None)
     assert [r.component_id for r in rows if r.doc_id is None] == [-5]
     assert sh.near_duplicates(docs.limit(0)).count() == 0
+    monkeypatch.setattr(sh, "_MANY_COPIES", 1)
+    copied = docs.unionByName(docs.limit(5)).unionByName(extra)
+    assert {(r.doc_id, r.component_id) for r in sh.near_duplicates(copied).collect()} == {(r.doc_id, r.component_id) for r in rows}
 
 
 def brute_lanes(text, shingle, lanes):
