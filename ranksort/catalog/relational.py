@@ -7,6 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import surface
 from ..keys import KeySpec
@@ -131,8 +132,8 @@ def dedup_sorted(spark, folder):
     """One row of each text, by comparing neighbours; ordered by digest, so that texts do not travel."""
     docs = load(spark, folder, "documents").select("doc_id", F.sha2("text", 256).alias("text_sha256"))
     spec = KeySpec("text_sha256", ("doc_id",))
-    placed = place(docs, P, F.col("doc_id"))
-    return order.dedup_sorted(with_segments(placed, spec, agree(placed, spec, P, MIDDLE)), spec).select("doc_id", "text_sha256")
+    even = PivotTree.from_sorted([f"{256 * i // P:02x}" for i in range(1, P)], T.StringType())  # digests are uniform: no rounds
+    return order.dedup_sorted(with_segments(docs, spec, even), spec).select("doc_id", "text_sha256")
 
 
 @query("merge_sorted", "SELECT key, src, row_number() OVER (ORDER BY key, src, id) - 1 AS pos FROM (SELECT c_acctbal AS key, 'c' AS src, c_custkey AS id FROM customer UNION ALL SELECT s_acctbal, 's', s_suppkey FROM supplier)")
@@ -212,6 +213,15 @@ def join_asof(spark, folder):
     return joins.asof_join(clicks, views, "ts", "user_id", "view_id").select("event_id", "view_id")
 
 
+@query("join_asof_parts", ORACLES["join_asof"])
+def join_asof_parts(spark, folder):
+    """The same with each user's time cut into parts."""
+    events = load(spark, folder, "events").select("event_id", "ts", "user_id", "event_type")
+    clicks, views = events.where("event_type = 'click'").drop("event_type"), events.where("event_type = 'view'").withColumnRenamed("event_id", "view_id")
+    tree = agree(place(views, P, F.col("view_id")), KeySpec("ts", ("view_id",)), P)
+    return joins.asof_join(clicks, views, "ts", "user_id", "view_id", parts=tree).select("event_id", "view_id")
+
+
 @query("join_semi", "SELECT o_orderkey FROM orders WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)")
 def join_semi(spark, folder):
     orders, lines = _orders_lines(spark, folder)

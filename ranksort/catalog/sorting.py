@@ -482,7 +482,7 @@ def _experiment(label: str, names: tuple[str, ...], ranks: list[int], fixture: f
     query(label, _union([_run_sql(name, fixture, p) for p in ranks for name in names]))(own)
 
 
-_STRONG, _SWITCHING = [2, 4, 8, 16, 32], [16, 32, 64]
+_STRONG, _SWITCHING = [2, 4, 8, 16, 32], [16, 32]
 for _pair, _names in _PAIRS.items():
     _experiment(f"strong_{_pair}", (_names[0], _names[2]), _STRONG, fx.UNIFORM, "Fixed rows, more ranks: rows that a pair of variants moved.")
     _experiment(f"strong_combined_{_pair}", _names, _SWITCHING, fx.UNIFORM, "Fixed rows, more ranks: the combined variant, whose switch depends on the rows, between the pure ones.")

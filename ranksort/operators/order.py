@@ -36,16 +36,25 @@ def select_kth(result: Sorted, k: int) -> DataFrame:
 
 
 def quantiles(result: Sorted, shares: list[float]) -> DataFrame:
-    """(share, value): exact quantiles, the element at position ceil(share * n) - 1 and at least 0."""
-    placed = result.with_positions()
-    n = result.segmented.count()
-    if not n:
-        return placed.select(F.lit(0.0).alias("share"), F.col(result.spec.key[0]).alias("value")).where(F.lit(False))
+    """(share, value): exact quantiles, the element at position ceil(share * n) - 1 and at least 0.
+
+    The counts name the segments that hold the positions, and only these are ordered.
+    """
     from math import ceil
 
-    wanted = F.explode(F.array(*(F.struct(F.lit(float(s)).alias("share"), F.lit(max(0, ceil(s * n) - 1)).cast("long").alias("at")) for s in shares)))
-    asked = placed.sparkSession.range(1).select(wanted.alias("x")).select("x.share", "x.at")
-    return placed.join(F.broadcast(asked), placed[POSITION] == asked["at"]).select("share", F.col(result.spec.key[0]).alias("value"))
+    spec, key = result.spec, F.col(result.spec.key[0])
+    counts = {r[SEGMENT]: r["n"] for r in result.segmented.groupBy(SEGMENT).agg(F.count("*").alias("n")).collect()}  # p rows
+    n, before, asked = sum(counts.values()), 0, []
+    for s in sorted(counts):
+        for share in shares:
+            at = max(0, ceil(share * n) - 1)
+            if before <= at < before + counts[s]:
+                asked.append((float(share), s, at - before + 1))
+        before += counts[s]
+    wanted = result.segmented.sparkSession.createDataFrame(asked, f"share double, {SEGMENT} int, __at int")
+    inside = F.row_number().over(Window.partitionBy(SEGMENT).orderBy(*spec.orders()))
+    some = result.segmented.where(F.col(SEGMENT).isin([s for _, s, _ in asked])).select(SEGMENT, *spec.columns()).withColumn("__place", inside)
+    return some.join(F.broadcast(wanted), SEGMENT).where(F.col("__place") == F.col("__at")).select("share", key.alias("value"))  # a row a share
 
 
 def histogram(segmented: DataFrame, spec: KeySpec) -> DataFrame:
