@@ -52,7 +52,8 @@ def test_order_statistics(spark):
 
 def test_joins(spark):
     a, b = frame(spark, 200, 2), frame(spark, 100, 3)
-    expected = sorted((x["id"], y["id"]) for x in a.collect() for y in b.collect() if x["k"] == y["k"])
+    a_rows, b_rows = a.collect(), b.collect()
+    expected = sorted((x["id"], y["id"]) for x in a_rows for y in b_rows if x["k"] == y["k"])
     left, right = a.select("id", "k"), b.select(F.col("id").alias("id2"), F.col("k").alias("k2"))
     tree = agree(a, KeySpec("k"), 8)
     assert sorted((r["id"], r["id2"]) for r in joins.merge_join(left, right, "k", "k2", tree, 8).collect()) == expected
@@ -61,12 +62,15 @@ def test_joins(spark):
     assert joins.join(left, right, F.col("k") == F.col("k2"), strategy="broadcast", max_broadcast_rows=3).count() == len(expected)
     ranges = spark.createDataFrame([(i, float(i), float(i + w)) for i in range(0, 40, 3) for w in (0, 1, 9, 50)], "r long, lo double, hi double")
     found = sorted((r["id"], r["r"], r["hi"]) for r in joins.range_join(left, ranges, "k", "lo", "hi", tree).collect())
-    assert found == sorted((x["id"], y["r"], y["hi"]) for x in a.collect() for y in ranges.collect() if y["lo"] <= x["k"] < y["hi"])
+    all_ranges = ranges.collect()
+    assert found == sorted((x["id"], y["r"], y["hi"]) for x in a.collect() for y in all_ranges if y["lo"] <= x["k"] < y["hi"])
     for strict in (True, False):
-        got = {r["id"]: r["k2"] for r in joins.asof_join(left.withColumn("u", F.lit(1)), right.select("id2", F.col("k2").alias("k"), F.lit(1).alias("u")).withColumn("k2", F.col("k")), "k", "u", "k2", strict=strict).collect()}
-        for x in a.collect():
-            before = [y["k"] for y in b.collect() if (y["k"] < x["k"] if strict else y["k"] <= x["k"])]
-            assert got[x["id"]] == (max(before) if before else None)
+        for parts in (None, tree):
+            by_one = right.select("id2", F.col("k2").alias("k"), F.lit(1).alias("u")).withColumn("k2", F.col("k"))
+            got = {r["id"]: r["k2"] for r in joins.asof_join(left.withColumn("u", F.lit(1)), by_one, "k", "u", "k2", strict=strict, parts=parts).collect()}
+            for x in a_rows:
+                before = [y["k"] for y in b_rows if (y["k"] < x["k"] if strict else y["k"] <= x["k"])]
+                assert got[x["id"]] == (max(before) if before else None)
     with pytest.raises(ValueError):
         joins.join(left, right, "k", strategy="other")
 
