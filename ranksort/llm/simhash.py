@@ -41,8 +41,9 @@ from .storage import materialize, release
 from .words import lower, pieces
 
 BITS = 64
-#: Node pairs that are walked down at once; more are cut in two and walked one part after the other.
-_FRONTIER = 1 << 20
+#: Node pairs that are walked down at once, more are cut in two and walked one part after the other; and node pairs
+#: that are compared leaf by leaf at once.
+_FRONTIER, _COMPARED = 1 << 17, 1 << 14
 #: Keys of hot groups that are broadcast; more are shuffled.
 _HOT_BROADCAST = 100_000
 #: Parts that a hub's neighbours are dealt over.
@@ -52,7 +53,7 @@ _LEAVES = 16
 #: Copies of a fingerprint from which on its component is sent to where its documents are.
 _MANY_COPIES = 10_000
 #: Rows that a task joins at once, and more where a group has more.
-_TOGETHER = 200_000
+_TOGETHER = 100_000
 
 
 _STEP, _MIX1, _MIX2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
@@ -156,8 +157,8 @@ def trie_pairs(values: np.ndarray, groups: np.ndarray, budget: int) -> Iterator[
 
 def _compare(values: np.ndarray, pairs: np.ndarray, budget: int) -> Iterator[np.ndarray]:
     """All leaf pairs of small node pairs, compared lane by lane."""
-    for at in range(0, len(pairs), 1 << 16):
-        a, b, c, d, _ = pairs[at : at + (1 << 16)].T
+    for at in range(0, len(pairs), _COMPARED):
+        a, b, c, d, _ = pairs[at : at + _COMPARED].T
         wide, high = d - c, (b - a) * (d - c)
         which = np.repeat(np.arange(len(a)), high)
         inner = np.arange(int(high.sum())) - np.repeat(np.cumsum(high) - high, high)
@@ -298,14 +299,15 @@ def links(distinct: DataFrame, *, fingerprint: str = "fingerprint", node: str |
     return sorted_groups.mapInArrow(join, "a long, b long")
 
 
-def components(edges: DataFrame) -> DataFrame:
+def components(edges: DataFrame, rows: int | None = None) -> DataFrame:
     """(node, root): every node of the edges (a, b) with the smallest of its component.
 
     Rounds of large-star and small-star, until a round changes nothing; each is an aggregate and a join.
-    A hub's neighbours are dealt over ``_SALTS`` copies of its row, so no task gets them all.
+    A hub's neighbours are dealt over ``_SALTS`` copies of its row, so no task gets them all.  rows: about how
+    many edges there are, where that is known.
     """
     both = edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
-    now = materialize(both, "star")
+    now = materialize(both, "star", rows)
     state = _digest(now)
     while True:
         around = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -344,10 +346,10 @@ def near_duplicates(df: DataFrame, *, id: str = "doc_id", text: str = "text", bu
     print_ = F.first("fingerprint").alias("fingerprint")
     distinct = materialize(marked.groupBy("node").agg(F.min("id").alias("first"), print_, F.count("*").alias("copies")), "simhash-distinct")
     edges = materialize(links(distinct, node="node", budget=budget, lanes=lanes, width=width), "simhash-links")
-    groups = components(edges)
+    groups = components(edges, edges.count())
     rooted = distinct.select("node", "first", "copies").join(groups, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
-    named = materialize(rooted.join(least, "root").select("node", "component_id", "copies"), "simhash-named")
+    named = materialize(rooted.join(least, "root").select("node", "component_id", "copies"), "simhash-named", distinct.count())
     release(distinct, edges)
     often = named.where(F.col("copies") > _MANY_COPIES).drop("copies")
     n_often = often.limit(_HOT_BROADCAST + 1).count()
