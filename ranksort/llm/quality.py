@@ -27,6 +27,8 @@ from pyspark.sql import functions as F
 from .words import joined, lines_of, pieces, sums, words_of
 
 _SYMBOLS = b"#*$%&|<>"
+#: Bytes of text that share a suffix array; a longer text has its own.
+_PIECE = 2 << 20
 _RESULT = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "covered_words", "longest_repeat", "n_maximal_repeats"]
 
 
@@ -190,7 +192,7 @@ def assess(df: DataFrame, *, text: str = "text", result: str = "quality", limits
 
     def counts(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for texts in batches:
-            found = [measure(part, limits) for part in pieces(texts)]
+            found = [measure(part, limits) for part in pieces(texts, _PIECE)]
             columns = [np.concatenate([f[c] for f in found]) if found else np.empty(0, np.int64) for c in _RESULT]
             yield pa.StructArray.from_arrays([pa.array(c, pa.int64()) for c in columns], _RESULT)
 
