@@ -59,6 +59,7 @@ def main() -> None:
         f"exchange_quicksort_{MANY}": lambda: v.exchange_quicksort(many, fx.UNIFORM.spec, MANY).rows,
         f"exchange_free_quicksort_{MANY}": lambda: v.exchange_free_quicksort(many, fx.UNIFORM.spec, MANY).rows,
         f"combined_quicksort_{MANY}": lambda: v.combined_quicksort(many, fx.UNIFORM.spec, MANY, n=n).rows,
+        f"combined_fused_{MANY}": lambda: v.combined_quicksort(many, fx.UNIFORM.spec, MANY, n=n, fused=True).rows,
     }
     found: dict[str, float] = {}
     for name, make in sorts.items():
