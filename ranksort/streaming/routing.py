@@ -80,7 +80,15 @@ def pair_within(left: DataFrame, right: DataFrame, key: str, left_time: str, rig
 
 
 def run_to_end(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what has arrived and read the result back."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+    """Run a stream over what has arrived and read the result back.
+
+    In append mode rows go to Parquet files beside the checkpoint, whatever their number; in the other modes,
+    which return a row a group, to a table in the driver's memory.
+    """
+    writer = stream.writeStream.queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True)
+    if mode != "append":
+        writer.format("memory").start().awaitTermination()
+        return stream.sparkSession.table(name)
+    path = f"{checkpoint}-rows"
+    writer.format("parquet").start(path).awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(path)

@@ -173,3 +173,14 @@ def test_stream_monitors(spark, arrivals):
     assert joined.count() == 400 and joined.where("name is null").count() == 160
     pairs = routing.run_to_end(routing.pair_within(stream(), stream(), "user_id", "ts", "ts", "35 minutes", "30 days").select("a.event_id", F.col("b.event_id").alias("other")), "pair_test", str(path / "d4"))
     assert {(r["event_id"], r["other"]) for r in pairs.collect()} == {(i, j) for i in range(400) for j in (i, i + 5) if j < 400}
+
+
+def test_appended_rows_stay_off_the_driver(spark, tmp_path):
+    """What a stream appends lies in files that executors read, not in rows that the driver holds; also where nothing came."""
+    spark.range(1000).select("id", (F.col("id") % 7).alias("v")).write.parquet(str(tmp_path / "in"))
+    spark.range(0).select("id", (F.col("id") % 7).alias("v")).write.parquet(str(tmp_path / "none"))
+    for folder, n in (("in", 1000), ("none", 0)):
+        stream = spark.readStream.schema("id long, v long").parquet(str(tmp_path / folder))
+        found = routing.run_to_end(stream.select("v"), f"appended_{folder}", str(tmp_path / f"state_{folder}"))
+        assert found.count() == n and found.columns == ["v"]
+        assert not n or found.inputFiles()
