@@ -44,6 +44,17 @@ def test_query(spark, sf, database, name):
     assert rows == sorted((tuple(plain(r[i]) for i in at) for r in result.fetchall()), key=repr)
 
 
+def test_ends_that_tie(spark, tmp_path):
+    """agg_positional: of ties the least key, in whichever order rows come; nulls as in SQL."""
+    rows = [(k, "A", b) for k, b in [(3, 1.0), (1, 1.0), (2, 1.0), (6, 9.0), (4, 9.0), (5, 9.0), (None, 0.0), (None, 10.0), (7, None)]] + [(None, "B", 1.0)]
+    spark.createDataFrame(rows, "c_custkey long, c_mktsegment string, c_acctbal double").coalesce(1).write.parquet(str(tmp_path / "customer.parquet"))
+    found = catalog.QUERIES["agg_positional"](spark, str(tmp_path)).orderBy("c_mktsegment").collect()
+    assert [tuple(r) for r in found] == [("A", 1, 4, 9), ("B", None, None, 1)]
+    connection = duckdb.connect()
+    connection.execute(f"SET threads = 1; CREATE VIEW customer AS SELECT * FROM read_parquet('{tmp_path}/customer.parquet/*.parquet') ORDER BY c_custkey")
+    assert sorted(connection.execute(catalog.ORACLES["agg_positional"]).fetchall()) == [tuple(r) for r in found]
+
+
 def test_entry_without_the_subpackage(tmp_path):
     for name in ("__spark_entry__.py", "ranksort"):
         (tmp_path / name).symlink_to(ROOT / name) if name.endswith(".py") else None
