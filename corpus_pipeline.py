@@ -19,6 +19,8 @@ from ranksort.llm.storage import materialize, release, unused
 #: Near-duplicates by five-word shingles: fingerprints of 8 words in blocks of 16 bits.  Texts of a similarity of 0.8
 #: differ in 77 of the 512 bits on average, and 8 more or less.
 SHINGLE, LANES, WIDTH, BUDGET = 5, 8, 16, 84
+#: Texts that agree in 4 of 5 of their distinct shingles or more are all linked, also those whose fingerprints miss each other.
+SHARE = (4, 5)
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,7 +35,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     Rows without an id cannot be named by a component and are left alone.  The join and the choice
     among repeated ids share one shuffle of the texts.
     """
-    groups = simhash.near_duplicates(docs.select("doc_id", "text"), budget=BUDGET, shingle=SHINGLE, lanes=LANES, width=WIDTH)
+    groups = simhash.near_duplicates(docs.select("doc_id", "text"), budget=BUDGET, shingle=SHINGLE, lanes=LANES, width=WIDTH, share=SHARE)
     first = groups.where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
     chosen = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     return chosen.unionByName(docs.where("doc_id is null")).select(*docs.columns)

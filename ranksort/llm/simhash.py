@@ -37,6 +37,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import similar
 from .storage import materialize, release
 from .words import lower, pieces
 
@@ -70,20 +71,27 @@ def _lanes(hashes: np.ndarray, lanes: int) -> np.ndarray:
     return out
 
 
-def fingerprint(text: bytes, shingle: int = 3, seed: int = 42, lanes: int = 1) -> np.ndarray:
-    """The SimHash of a text, a word a lane: each bit is set if it is in over half of the shingles' XXH64 values."""
+def shingle_hashes(text: bytes, shingle: int = 3, seed: int = 42) -> np.ndarray:
+    """XXH64 of each of a text's shingles, repeats included."""
     from xxhash import xxh64_intdigest
 
     words = lower(text).split()
     if not words:
-        return np.zeros(lanes, np.uint64)
+        return np.empty(0, np.uint64)
     joined = b" ".join(words)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     width = min(shingle, len(words))
     stops = ends[width - 1 :].tolist()
     begins = [0, *(ends[: len(words) - width] + 1).tolist()]
     view = memoryview(joined)
-    hashes = np.fromiter(map(xxh64_intdigest, map(view.__getitem__, map(slice, begins, stops)), repeat(seed)), np.uint64, len(stops))
+    return np.fromiter(map(xxh64_intdigest, map(view.__getitem__, map(slice, begins, stops)), repeat(seed)), np.uint64, len(stops))
+
+
+def fingerprint(text: bytes, shingle: int = 3, seed: int = 42, lanes: int = 1) -> np.ndarray:
+    """The SimHash of a text, a word a lane: each bit is set if it is in over half of the shingles' XXH64 values."""
+    hashes = shingle_hashes(text, shingle, seed)
+    if not len(hashes):
+        return np.zeros(lanes, np.uint64)
     votes = np.zeros(BITS * lanes, np.int64)
     part = max(1, (1 << 16) // lanes)
     for at in range(0, len(hashes), part):
@@ -335,18 +343,30 @@ def _digest(edges: DataFrame) -> tuple:
     return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
 
 
-def near_duplicates(df: DataFrame, *, id: str = "doc_id", text: str = "text", budget: int = 2, shingle: int = 3, lanes: int = 1, width: int = 16) -> DataFrame:
+def near_duplicates(df: DataFrame, *, id: str = "doc_id", text: str = "text", budget: int = 2, shingle: int = 3, lanes: int = 1, width: int = 16, share: tuple[int, int] | None = None) -> DataFrame:
     """One row a document: id, fingerprint (signed long, or an array of them), component_id (the smallest id that links reach).
 
     With several lanes a fingerprint goes by its 64-bit hash where documents are joined to their components.
+    share: (part, whole); all texts that agree in this share of their distinct shingles or more are linked too,
+    whatever their fingerprints (``similar.links``), where fingerprints alone miss some of them.
     """
-    marked = fingerprints(df.select(F.col(id).alias("id"), F.col(text).alias("text")), shingle=shingle, lanes=lanes).select("id", "fingerprint")
+    unit = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+    marked = fingerprints(df.select(F.col(id).alias("id"), F.col(text).alias("text"), unit.alias("unit")), shingle=shingle, lanes=lanes)
+    marked = marked.select("id", "fingerprint", *(["unit"] if share else []))
     node = F.col("fingerprint") if lanes == 1 else F.xxhash64("fingerprint")
     marked = materialize(marked.withColumn("node", node), "simhash")
     print_ = F.first("fingerprint").alias("fingerprint")
     distinct = materialize(marked.groupBy("node").agg(F.min("id").alias("first"), print_, F.count("*").alias("copies")), "simhash-distinct")
     edges = materialize(links(distinct, node="node", budget=budget, lanes=lanes, width=width), "simhash-links")
     groups = components(edges, edges.count())
+    if share:
+        roots = marked.select("unit", "node").distinct().join(groups, "node", "left").select("unit", "node", F.coalesce("root", "node").alias("root"))
+        roots = materialize(roots, "simhash-roots", marked.count())
+        further = similar.links(df.select(unit.alias("unit"), F.col(text).alias("text")), roots, share=share, shingle=shingle)
+        n_further = further.count()
+        if n_further:
+            groups = components(edges.unionByName(further), edges.count() + n_further)
+        release(roots, further)
     rooted = distinct.select("node", "first", "copies").join(groups, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
     named = materialize(rooted.join(least, "root").select("node", "component_id", "copies"), "simhash-named", distinct.count())

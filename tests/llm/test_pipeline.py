@@ -71,6 +71,28 @@ def test_recall_of_near_copies(spark, similarity, least):
     assert all(2 * k in kept for k in range(pairs)) and sum(2 * k + 1 not in kept for k in range(pairs)) >= least * pairs
 
 
+def test_no_pair_of_the_share_is_left_out(spark):
+    """Pairs just at four fifths of their five-word shingles, many of which fingerprints miss; of short and long texts."""
+    import random
+
+    rng, rows = random.Random(11), []
+    word = lambda: f"w{rng.randrange(50_000)}"
+    grams = lambda w: {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+    for k in range(150):
+        words = [word() for _ in range(rng.choice([40, 60, 120, 300]))]
+        near, own = list(words), grams(words)
+        while True:
+            other = list(near)
+            other[rng.randrange(len(other))] = word()
+            if len(own & grams(other)) * 5 < len(own | grams(other)) * 4:
+                break
+            near = other
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(near))]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()}
+    assert kept == {2 * k for k in range(150)}
+
+
 def test_stages_keep_the_columns(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").limit(30)
     extra = docs.selectExpr("*", "'x' as fingerprint", "1 as component_id", "2 as work", "3 as _work", "4 as __stage")
