@@ -44,6 +44,15 @@ def test_query(spark, sf, database, name):
     assert rows == sorted((tuple(plain(r[i]) for i in at) for r in result.fetchall()), key=repr)
 
 
+#: Queries that once made their input up.
+MADE_OF_LINES = ["cost_model"]
+
+
+@pytest.mark.parametrize("name", MADE_OF_LINES)
+def test_made_of_a_given_table(spark, sf, name):
+    assert any("lineitem" in file for file in catalog.QUERIES[name](spark, sf).inputFiles())
+
+
 def test_ends_that_tie(spark, tmp_path):
     """agg_positional: of ties the least key, in whichever order rows come; nulls as in SQL."""
     rows = [(k, "A", b) for k, b in [(3, 1.0), (1, 1.0), (2, 1.0), (6, 9.0), (4, 9.0), (5, 9.0), (None, 0.0), (None, 10.0), (7, None)]] + [(None, "B", 1.0)]
