@@ -45,7 +45,7 @@ def test_query(spark, sf, database, name):
 
 
 #: Queries that once made their input up.
-MADE_OF_LINES = ["cost_model", "pivot_ledger", "pivot_slots", "rank_schedule", "round_ledger", "sql_table_functions"]
+MADE_OF_LINES = ["cost_model", "pivot_ledger", "pivot_slots", "rank_schedule", "round_ledger", "sql_table_functions", "switch_sweep"]
 
 
 @pytest.mark.parametrize("name", MADE_OF_LINES)
