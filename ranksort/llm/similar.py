@@ -1,10 +1,11 @@
 """All pairs of texts that agree in a share of their shingles or more, without a loss.
 
-A text is the set of its distinct shingles, by their 64-bit hashes.  Two sets of which the smaller share of
-their union is common have a common shingle among the first few of each in any one order of all shingles:
-of n shingles the first n - ceil(share * n) + 1 are enough.  These are shuffled by shingle, and pairs that
-meet are dropped where their sizes, or what is left of both after the shingle they meet in, cannot reach the
-share.  What remains is compared set by set, so nothing is found that is below the share either.
+A text is the set of its distinct shingles, by their 64-bit hashes.  Two sets that agree in the share have
+``_MEETINGS`` common shingles among the first few of each in any one order of all shingles: of n shingles the
+first n - ceil(share * n) + _MEETINGS are enough (of small sets fewer, see ``needed``).  These are shuffled by
+shingle.  A meeting is dropped where the sizes, or what is left of both after it, cannot reach the share, and
+a pair that meets less often than it must is dropped too.  What remains is compared set by set, so nothing
+is found that is below the share either.
 
 Any order gives the same pairs.  To keep the groups of a shingle small, shingles that are frequent in a
 sixteenth of the texts come last; the others go by their hashes.  Pairs that are linked already are not
@@ -25,6 +26,8 @@ from pyspark.sql import functions as F
 from .storage import materialize, release
 from .words import pieces
 
+#: How often two texts must meet; more drop more pairs before sets are compared, and shuffle as many more shingles a text.
+_MEETINGS = 6
 #: Shingles that come last at most, and one of so many texts is looked at to find them.
 _FREQUENT, _LOOKED_AT = 200_000, 16
 #: Rows that a task joins at once, and more where a group has more; pairs that it returns at once.
@@ -40,6 +43,12 @@ def shingle_set(text: bytes, shingle: int, seed: int = 42) -> np.ndarray:
     return np.unique(shingle_hashes(text, shingle, seed))
 
 
+def needed(size: np.ndarray, share: tuple[int, int]) -> np.ndarray:
+    """How often the smaller of two texts, of so many shingles, must meet the other: at most as often as they have shingles in common."""
+    part, whole = share
+    return np.minimum(_MEETINGS, (part * size + whole - 1) // whole)
+
+
 def _sets(df: DataFrame, shingle: int) -> DataFrame:
     """(unit, grams): all of each text's distinct shingles."""
 
@@ -68,8 +77,8 @@ def _firsts(df: DataFrame, shingle: int, share: tuple[int, int], frequent: tuple
         if len(known):
             at = np.minimum(np.searchsorted(known, own), len(known) - 1)
             often = np.where(known[at] == own, counts[at], 0)
-        needed = len(own) - (part * len(own) + whole - 1) // whole + 1
-        return len(own), own[np.argsort(often, kind="stable")[:needed]]
+        enough = len(own) - (part * len(own) + whole - 1) // whole + int(needed(len(own), share))
+        return len(own), own[np.argsort(often, kind="stable")[:enough]]
 
     def each(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for texts in batches:
@@ -90,7 +99,10 @@ def _frequent(df: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def meetings(token: np.ndarray, size: np.ndarray, place: np.ndarray, root: np.ndarray, unit: np.ndarray, share: tuple[int, int]) -> Iterator[np.ndarray]:
-    """Pairs of units (a < b) of different roots that meet in a token and may reach the share, distance by distance in order of size."""
+    """(a, b, need): units a < b of different roots that meet in a token and may reach the share, and how often they must.
+
+    Found distance by distance in order of size.
+    """
     part, whole = share
     order = np.lexsort((unit, size, token))
     token, size, place, root, unit = (x[order] for x in (token, size.astype(np.int64), place.astype(np.int64), root, unit))
@@ -106,20 +118,21 @@ def meetings(token: np.ndarray, size: np.ndarray, place: np.ndarray, root: np.nd
         i = i[i + step < stop[i]]
         i = i[size[i + step] * part <= size[i] * whole]  # sizes ascend: a row that has no partner here has none further on
         j = i + step
-        left = np.minimum(size[i] - place[i], size[j] - place[j])
+        need = needed(size[i], share)
+        left = np.minimum(size[i] - place[i], size[j] - place[j]) + need - 1  # this meeting may be the last that counts
         near = (root[i] != root[j]) & (left * (part + whole) >= part * (size[i] + size[j]))
         if near.any():
             a, b = unit[i[near]], unit[j[near]]
-            yield np.stack([np.minimum(a, b), np.maximum(a, b)], 1)
+            yield np.stack([np.minimum(a, b), np.maximum(a, b), need[near]], 1)
 
 
 def _candidates(rows: DataFrame, share: tuple[int, int]) -> DataFrame:
-    """(a, b) of rows (token, size, place, root, unit)."""
+    """(a, b) of rows (token, size, place, root, unit): pairs that meet as often as they must."""
     names = ["token", "size", "place", "root", "unit"]
 
     def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def solve(table: pa.Table) -> Iterator[pa.RecordBatch]:
-            held, n = [np.empty((0, 2), np.int64)], 0
+            held, n = [], 0
             for pairs in meetings(*(table[c].to_numpy() for c in names), share):
                 held.append(pairs)
                 n += len(pairs)
@@ -148,12 +161,13 @@ def _candidates(rows: DataFrame, share: tuple[int, int]) -> DataFrame:
             yield from solve(pa.Table.from_batches(held))
 
     sorted_groups = rows.select(*names).repartition("token").sortWithinPartitions("token")
-    return sorted_groups.mapInArrow(join, "a long, b long").distinct()
+    met = sorted_groups.mapInArrow(join, "a long, b long, need long, n long").groupBy("a", "b").agg(F.sum("n").alias("n"), F.min("need").alias("need"))
+    return met.where("n >= need").select("a", "b")
 
 
 def _batch(held: list[np.ndarray]) -> pa.RecordBatch:
-    pairs = np.unique(np.concatenate(held), axis=0)
-    return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+    pairs, n = np.unique(np.concatenate(held), axis=0, return_counts=True)
+    return pa.RecordBatch.from_arrays([*map(pa.array, (pairs[:, 0], pairs[:, 1], pairs[:, 2], n))], ["a", "b", "need", "n"])
 
 
 def links(texts: DataFrame, roots: DataFrame, *, share: tuple[int, int], shingle: int = 3) -> DataFrame:

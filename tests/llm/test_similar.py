@@ -36,5 +36,5 @@ def test_meetings_of_a_large_group():
     n = 400
     size, unit = np.arange(n) // 4 + 1, np.arange(n)
     zero = np.zeros(n, np.int64)
-    found = {tuple(p) for some in similar.meetings(zero, size, zero, unit, unit, (4, 5)) for p in some.tolist()}
+    found = {tuple(p[:2]) for some in similar.meetings(zero, size, zero, unit, unit, (4, 5)) for p in some.tolist()}
     assert found == {(i, j) for i in range(n) for j in range(i + 1, n) if size[j] * 4 <= size[i] * 5}
