@@ -16,7 +16,7 @@ Defined results: a text of fewer words than a shingle is one shingle; texts with
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -30,6 +30,8 @@ from .words import pieces
 _MEETINGS = 6
 #: Shingles that come last at most, and one of so many texts is looked at to find them.
 _FREQUENT, _LOOKED_AT = 200_000, 16
+#: Bytes of text whose shingles a task holds at once.
+_PIECE = 1 << 20
 #: Rows that a task joins at once, and more where a group has more; pairs that it returns at once.
 _TOGETHER, _RETURNED = 200_000, 100_000
 #: Units that are broadcast; more are shuffled.
@@ -49,15 +51,23 @@ def needed(size: np.ndarray, share: tuple[int, int]) -> np.ndarray:
     return np.minimum(_MEETINGS, (part * size + whole - 1) // whole)
 
 
-def _sets(df: DataFrame, shingle: int) -> DataFrame:
-    """(unit, grams): all of each text's distinct shingles."""
+def _by_piece(df: DataFrame, schema: str, columns: Callable[[list[bytes]], dict[str, pa.Array]]) -> DataFrame:
+    """(unit, ...): a batch of rows for each piece of texts, as sets take more room than their texts."""
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = 0
+            for some in pieces(batch["text"], _PIECE):
+                found = columns(some)
+                yield pa.RecordBatch.from_arrays([batch["unit"].slice(at, len(some)), *found.values()], ["unit", *found])
+                at += len(some)
 
-    def each(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        for texts in batches:
-            found = [shingle_set(t, shingle) for some in pieces(texts) for t in some]
-            yield _lists(found)
+    return df.select("unit", "text").mapInArrow(each, f"unit long, {schema}")
 
-    return df.select("unit", F.arrow_udf(each, "array<long>")("text").alias("grams"))
+
+def _sets(df: DataFrame, shingle: int) -> DataFrame:
+    """(unit, grams): all of each text's distinct shingles."""
+    return _by_piece(df, "grams array<long>", lambda some: {"grams": _lists([shingle_set(t, shingle) for t in some])})
 
 
 def _lists(found: list[np.ndarray]) -> pa.ListArray:
@@ -80,17 +90,16 @@ def _firsts(df: DataFrame, shingle: int, share: tuple[int, int], frequent: tuple
         enough = len(own) - (part * len(own) + whole - 1) // whole + int(needed(len(own), share))
         return len(own), own[np.argsort(often, kind="stable")[:enough]]
 
-    def each(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        for texts in batches:
-            found = [first(t) for some in pieces(texts) for t in some]
-            yield pa.StructArray.from_arrays([pa.array([n for n, _ in found], pa.int32()), _lists([x for _, x in found])], ["size", "grams"])
+    def columns(some: list[bytes]) -> dict[str, pa.Array]:
+        found = [first(t) for t in some]
+        return {"size": pa.array([n for n, _ in found], pa.int32()), "grams": _lists([x for _, x in found])}
 
-    return df.select("unit", F.arrow_udf(each, "size int, grams array<long>")("text").alias("x")).select("unit", "x.size", "x.grams")
+    return _by_piece(df, "size int, grams array<long>", columns)
 
 
 def _frequent(df: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
     """Shingles that several of some texts have, ascending, and how many; the order alone depends on them."""
-    some = df.where(F.pmod("unit", F.lit(_LOOKED_AT)) == 0).dropDuplicates(["unit"])
+    some = df.where(F.pmod("unit", F.lit(_LOOKED_AT)) == 0)  # with copies: texts need not be shuffled to put shingles in order
     counted = _sets(some, shingle).select(F.explode("grams").alias("gram")).groupBy("gram").agg(F.count("*").alias("n")).where("n > 1")
     found = counted.orderBy(F.desc("n"), "gram").limit(_FREQUENT).toArrow()
     grams = found["gram"].to_numpy().view(np.uint64)
